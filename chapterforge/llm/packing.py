@@ -241,7 +241,7 @@ def piece_table(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: in
     end, step = int(end_id).to_bytes(4, "little"), 4 * capacity
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, part, seen = WordIds(path), TaskContext.get().partitionId(), Counter()
+        words, part, seen = WordIds.shared(path), TaskContext.get().partitionId(), Counter()
         for batch in batches:
             out = [[] for _ in names]
             for doc_id, ids in zip(batch.column(0).to_pylist(), words.batch(batch.column(1).to_pylist())):

@@ -9,6 +9,8 @@ _NOT_BY_WORD = re.compile("[\x1c-\x1f]")
 # Latin letters that no normal form changes, then marks other than the apostrophe
 _LETTERS_MARKS = re.compile(r"([a-z\xdf-\xf6\xf8-\xff]+)([!-&(-/:-@\[-`{-~]*)").fullmatch
 
+_SHARED: dict[str, WordIds] = {}
+
 
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     import public_tokenizers
@@ -33,6 +35,13 @@ class WordIds:
         self.most, self.split_marks = most, split_marks
         self.known: dict[str, bytes] = {}
 
+    @classmethod
+    def shared(cls, path: str) -> WordIds:
+        """One for each Python worker, which may run many tasks."""
+        if path not in _SHARED:
+            _SHARED[path] = cls(path)
+        return _SHARED[path]
+
     def _whole(self, text: str) -> bytes:
         return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
 
