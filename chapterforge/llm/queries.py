@@ -47,6 +47,12 @@ def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_classes(_read(spark, sf_dir, "documents"))
 
 
+def op7_lattice_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .lattice import score_corpus
+
+    return score_corpus(_read(spark, sf_dir, "documents"))
+
+
 def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .packing import pack_documents
 
