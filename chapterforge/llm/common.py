@@ -55,6 +55,21 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: rows of a table that may be broadcast; beyond it, joins shuffle
+BROADCAST_ROWS = 1_000_000
+
+
+def small(df: DataFrame) -> DataFrame:
+    """For a join: broadcast if a count shows that it has few rows, as it is otherwise. Call it on written tables."""
+    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+
+
+def without_ids(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """``docs`` without the rows whose doc_id is in the only column of ``ids``; null is an id like others."""
+    gone = small(written(ids.select(F.col(ids.columns[0]).cast("long").alias("__gone_id")).distinct(), "gone-ids"))
+    return docs.join(gone, F.col("doc_id").cast("long").eqNullSafe(F.col("__gone_id")), "left_anti")
+
+
 def fold(id_column: str = "doc_id", folds: int = 5) -> Column:
     """crc32 of the id as text, modulo ``folds``; a null id counts as the empty text."""
     return F.crc32(F.coalesce(F.col(id_column).cast("string"), F.lit("")).cast("binary")) % folds

@@ -19,11 +19,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import rows_of, written
+from .common import rows_of, small, without_ids, written
 
 WORDS, CONTAINMENT = 5, 0.8
-#: rows of a table that may be broadcast; beyond it, joins shuffle
-BROADCAST_ROWS = 1_000_000
 
 
 def words(text: Column) -> Column:
@@ -58,10 +56,6 @@ def _grams_of(tokens: Column, widths: list[int], of) -> Column:
     return F.concat(*[F.coalesce(shingles(tokens, w, of), none) for w in widths])
 
 
-def _small(df: DataFrame) -> DataFrame:
-    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
-
-
 def find_leaks(
     docs: DataFrame, items: DataFrame, n: int = WORDS, threshold: float = CONTAINMENT, text_column: str = "text", item_id: str = "item_id", item_text: str = "text"
 ) -> DataFrame:
@@ -80,13 +74,13 @@ def find_leaks(
     tokens = F.col("tokens")
     split = rows.select("doc_id", words(F.col("text")).alias("tokens"))
     hashes = split.select("doc_id", F.explode(_grams_of(tokens, widths, lambda run: F.xxhash64(run))).alias("h"))
-    candidates = written(hashes.join(_small(sketch), "h").select("doc_id", "item_id").distinct(), "leak-candidates")
+    candidates = written(hashes.join(small(sketch), "h").select("doc_id", "item_id").distinct(), "leak-candidates")
 
     # exact, on candidates alone
     ids = candidates.select(F.col("doc_id").alias("candidate_id")).distinct()
-    texts = rows.join(_small(ids), F.col("doc_id").eqNullSafe(F.col("candidate_id")), "left_semi")
+    texts = rows.join(small(written(ids, "leak-ids")), F.col("doc_id").eqNullSafe(F.col("candidate_id")), "left_semi")
     found = texts.select("doc_id", words(F.col("text")).alias("tokens")).select("doc_id", F.explode(F.array_distinct(_grams_of(tokens, widths, _text_of))).alias("gram"))
-    matched = found.join(_small(grams.select("item_id", "gram", "total")), "gram").groupBy("doc_id", "item_id", "total").agg(F.countDistinct("gram").alias("matched"))
+    matched = found.join(small(grams.select("item_id", "gram", "total")), "gram").groupBy("doc_id", "item_id", "total").agg(F.countDistinct("gram").alias("matched"))
     share = F.col("matched") / F.col("total")
     pair = candidates.select(F.col("doc_id").alias("d"), F.col("item_id").alias("i"))
     return (
@@ -98,8 +92,7 @@ def find_leaks(
 
 def drop_leaks(docs: DataFrame, items: DataFrame, **options) -> DataFrame:
     """``docs`` without the documents that hold an item; its columns as they are."""
-    leaked = find_leaks(docs, items, **options).select(F.col("doc_id").alias("leaked_id")).distinct()
-    return docs.join(leaked, F.col("doc_id").cast("long").eqNullSafe(F.col("leaked_id")), "left_anti")
+    return without_ids(docs, find_leaks(docs, items, **options).select("doc_id"))
 
 
 ORACLE = r"""

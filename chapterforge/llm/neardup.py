@@ -28,13 +28,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_batches, rows_of, written
+from .common import arrow_batches, rows_of, small, without_ids, written
 
 WORDS, THRESHOLD = 5, 0.8
 BANDS, ROWS = 24, 5
 SIZE = BANDS * ROWS
 SMALL = 32
-BROADCAST_ROWS = 1_000_000
 
 _WORD = re.compile(r"[^\W_]+")
 _ODD = np.uint64(0x9E3779B97F4A7C15)
@@ -267,8 +266,7 @@ def find_classes(docs: DataFrame, threshold: float = THRESHOLD, text_column: str
         close = written(likely(pairs, nodes, threshold), "likely-pairs")
         wanted = close.select(F.col("a").alias("node")).unionByName(close.select(F.col("b").alias("node"))).distinct()
         ids = written(nodes.join(wanted, "node", "left_semi").select(F.col("doc_id").alias("wanted_id")), "wanted")
-        few = F.broadcast(ids) if ids.count() <= BROADCAST_ROWS else ids
-        sets = multisets(rows.join(few, F.col("doc_id").eqNullSafe(F.col("wanted_id")), "left_semi")).dropDuplicates(["node"])
+        sets = multisets(rows.join(small(ids), F.col("doc_id").eqNullSafe(F.col("wanted_id")), "left_semi")).dropDuplicates(["node"])
         found = written(overlaps(close, written(sets, "multisets")).filter(F.col("similarity") >= threshold), "links")
         links = found if links is None else links.unionByName(found)
         classes = components(links)
@@ -284,10 +282,10 @@ def find_classes(docs: DataFrame, threshold: float = THRESHOLD, text_column: str
 def keep_one(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """``docs`` with one document of each class: that of the smallest doc_id (one of its rows, if they repeat). Rows with a
     null doc_id have no name to be told apart by and stay."""
-    found = find_classes(docs, threshold)
-    gone = found.filter("doc_id is not null and doc_id <> class_id").select(F.col("doc_id").alias("gone_id")).distinct()
-    kept = docs.join(gone, F.col("doc_id").cast("long") == F.col("gone_id"), "left_anti")
-    twice = found.filter("doc_id = class_id").groupBy("doc_id").count().filter("count > 1").select(F.col("doc_id").alias("twice_id"))
-    again = kept.join(twice, F.col("doc_id").cast("long") == F.col("twice_id"), "left_semi")
-    once = kept.join(twice, F.col("doc_id").cast("long") == F.col("twice_id"), "left_anti")
-    return once.unionByName(again.dropDuplicates(["doc_id"]))
+    found = written(find_classes(docs, threshold), "classes")
+    kept = without_ids(docs, found.filter("doc_id is not null and doc_id <> class_id").select("doc_id"))
+    twice = found.filter("doc_id = class_id").groupBy("doc_id").count().filter("count > 1")
+    twice = small(written(twice.select(F.col("doc_id").alias("__twice_id")), "repeated-ids"))
+    same = F.col("doc_id").cast("long") == F.col("__twice_id")
+    again = kept.join(twice, same, "left_semi").dropDuplicates(["doc_id"])
+    return kept.join(twice, same, "left_anti").unionByName(again)
