@@ -7,10 +7,9 @@ what is left is packed into sequences.
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from chapterforge.llm import decontamination, neardup, packing, secrets, toxicity
-from chapterforge.llm.common import written
+from chapterforge.llm.common import without_ids, written
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -18,8 +17,7 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 def without_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rows whose document is predicted toxic go. Of rows that repeat an id, all go if one does; null ids stay."""
     scores = toxicity.score_toxicity(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    toxic = scores.filter("predicted = 1 and doc_id is not null").select(F.col("doc_id").alias("toxic_id")).distinct()
-    return docs.join(toxic, F.col("doc_id").cast("long") == F.col("toxic_id"), "left_anti").select(*COLUMNS)
+    return without_ids(docs, scores.filter("predicted = 1 and doc_id is not null").select("doc_id")).select(*COLUMNS)
 
 
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
