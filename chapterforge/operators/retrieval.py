@@ -85,7 +85,7 @@ def dense_rank(q_vecs: DataFrame, t_vecs: DataFrame, k: int = 1, block_rows: int
                     top = np.lexsort((t, -row))[:k]
                     yield pd.DataFrame({"q_id": ids[i], "id": t[top], "score": row[top]})
 
-        one = t_vecs.select("id", "embedding").mapInPandas(best, "q_id long, id long, score double")
+        one = t_vecs.select("id", "embedding").mapInPandas(best, f"q_id {q_vecs.schema['q_id'].dataType.simpleString()}, id {t_vecs.schema['id'].dataType.simpleString()}, score double")
         out = one if out is None else out.unionByName(one)
     return ranked(out, k)
 

@@ -204,10 +204,10 @@ def w2_assess(spark, sf_dir):
 @workload(
     _MARKED
     + f""", ids as (select conv_id || '-' || row_number() over (partition by conv_id order by turn) as pair_id from native),
-    some as (select pair_id from ids order by md5(pair_id || '|5'), pair_id limit 300),
-    votes as (select pair_id, not ({sample_sql("pair_id", 0.03, 101)}) as v1, not ({sample_sql("pair_id", 0.03, 102)}) as v2 from some),
-    each as (select (v1 and v2)::int as lo, (v1 or v2)::int as hi, (v1::int + v2::int) / 2 as share from votes),
-    sums as (select count(*) as n, avg(lo) as valid_share, avg((lo = hi)::int) as agreement, avg(share) as p from each)
+    picked as (select pair_id from ids order by md5(pair_id || '|5'), pair_id limit 300),
+    votes as (select pair_id, not ({sample_sql("pair_id", 0.03, 101)}) as v1, not ({sample_sql("pair_id", 0.03, 102)}) as v2 from picked),
+    pairwise as (select (v1 and v2)::int as lo, (v1 or v2)::int as hi, (v1::int + v2::int) / 2 as share from votes),
+    sums as (select count(*) as n, avg(lo) as valid_share, avg((lo = hi)::int) as agreement, avg(share) as p from pairwise)
     select n, valid_share, agreement, round(case when p * p + (1 - p) * (1 - p) < 1 then (agreement - (p * p + (1 - p) * (1 - p))) / (1 - (p * p + (1 - p) * (1 - p))) else 1.0 end, 6) as kappa from sums"""
 )
 def w2_pilot(spark, sf_dir):

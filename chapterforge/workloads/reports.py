@@ -65,9 +65,9 @@ def w9_contrasts(spark, sf_dir):
 
 
 @workload(
-    f"""with s as {published.CORPUS_SQL} select chapter, task, sum(examples) as examples, sum(tokens) as tokens, grouping(chapter, task)::bigint as level
+    f"""with s as {published.CORPUS_SQL} select coalesce(chapter, 0) as chapter, coalesce(task, 'all') as task, sum(examples) as examples, sum(tokens) as tokens, grouping(chapter, task)::bigint as level
     from s where in_total group by rollup(chapter, task)"""
 )
 def w10_published_corpus(spark, sf_dir):
     held = published.corpus(spark).filter("in_total")
-    return held.rollup("chapter", "task").agg(F.sum("examples").alias("examples"), F.sum("tokens").alias("tokens"), F.grouping_id().alias("level"))
+    return held.rollup("chapter", "task").agg(F.sum("examples").alias("examples"), F.sum("tokens").alias("tokens"), F.grouping_id().alias("level")).fillna(0, ["chapter"]).fillna("all", ["task"])
