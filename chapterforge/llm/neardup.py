@@ -252,7 +252,7 @@ def find_classes(docs: DataFrame, threshold: float = THRESHOLD, text_column: str
             held, left = written(held.join(open_keys, "key", "left_semi"), "open-buckets"), left.join(open_keys, "key", "left_semi")
             if held.isEmpty():
                 break
-        slots = F.when(F.col("n") <= SMALL, F.xxhash64("node")).otherwise(F.pmod(F.xxhash64("node"), F.lit(4**turn)))
+        slots = F.when(F.col("n") <= SMALL, F.xxhash64("node")).otherwise(F.pmod(F.xxhash64("node"), F.lit(16**turn)))
         fresh = left.groupBy("key", slots.alias("slot")).agg(F.min("node").alias("node"))
         fresh = written(fresh.select("key", "node"), "pivots")
         pivots = fresh if turn == 0 else pivots.unionByName(fresh)
