@@ -53,6 +53,14 @@ def op7_lattice_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_corpus(_read(spark, sf_dir, "documents"))
 
 
+def op8_top_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Queries: the whole texts of every row whose doc_id is divisible by 50, against all rows."""
+    from .topk import search_all
+
+    docs = _read(spark, sf_dir, "documents")
+    return search_all(docs, docs.filter("doc_id % 50 = 0"))
+
+
 def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .packing import pack_documents
 
