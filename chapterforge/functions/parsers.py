@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-from .text import tagged
+from .text import strip, tagged
 
 
 def _filled(c: Column) -> Column:
@@ -20,7 +20,7 @@ def parse_choice(output: Column) -> tuple[Column, Column]:
 
 
 def _names(text: Column, separator: str) -> Column:
-    return F.array_sort(F.array_distinct(F.filter(F.transform(F.split(text, separator), lambda x: F.trim(x)), lambda x: x != "")))
+    return F.array_sort(F.array_distinct(F.filter(F.transform(F.split(text, separator), lambda x: strip(x)), lambda x: x != "")))
 
 
 def parse_tables(output: Column, tag: str = "tables", fallback: str | None = "lines") -> tuple[Column, Column]:
@@ -37,7 +37,7 @@ def parse_tables(output: Column, tag: str = "tables", fallback: str | None = "li
 def parse_sql(output: Column, tag: str = "sql") -> tuple[Column, Column]:
     """In the tag, else in a fenced block."""
     inside = tagged(output, tag)
-    fenced = _filled(F.trim(F.regexp_extract(output, r"(?is)```(?:sql)?\s*(.*?)```", 1)))
+    fenced = _filled(strip(F.regexp_extract(output, r"(?is)```(?:sql)?\s*(.*?)```", 1)))
     return F.coalesce(inside, fenced), F.when(inside.isNotNull(), "tag").when(fenced.isNotNull(), "fallback").otherwise("none")
 
 

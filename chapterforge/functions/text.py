@@ -53,10 +53,15 @@ def head_tail(words: Column, limit: int) -> Column:
     return F.when(F.size(words) <= limit, words).otherwise(F.concat(F.slice(words, 1, limit - half), F.slice(words, -half, half)))
 
 
+def strip(text: Column) -> Column:
+    """Without white space at its ends; trim alone takes only spaces."""
+    return F.trim(text, F.lit(" \n\r\t"))
+
+
 def tagged(text: Column, tag: str) -> Column:
     """What stands in <tag> … </tag>, any case, trimmed; null without the tag."""
     held = F.regexp_extract(text, rf"(?is)<{tag}>(.*?)</{tag}>", 1)
-    return F.when(F.regexp_like(text, F.lit(rf"(?is)<{tag}>.*?</{tag}>")), F.trim(held))
+    return F.when(F.regexp_like(text, F.lit(rf"(?is)<{tag}>.*?</{tag}>")), strip(held))
 
 
 #: SQL functions that ``register_macros`` makes; they run as expressions
