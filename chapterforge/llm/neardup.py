@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_batches, rows_of, small, without_ids, written
+from .common import arrow_batches, rows_of, small, written
 
 WORDS, THRESHOLD = 5, 0.8
 BANDS, ROWS = 24, 5
@@ -144,7 +144,7 @@ def tagged(owner: np.ndarray, grams: np.ndarray, weight: np.ndarray) -> tuple[np
 
 
 def signed_rows(rows: DataFrame) -> DataFrame:
-    """doc_id, node, short (signature), keys (of the bands; none for empty texts)."""
+    """doc_id, text_key, node, short (signature), keys (of the bands; none for empty texts)."""
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
@@ -154,11 +154,11 @@ def signed_rows(rows: DataFrame) -> DataFrame:
             keys, short = band_keys(found), short_signatures(found)
             some = np.isfinite(found[:, 0])
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(names, pa.binary()), pa.array([s.tobytes() for s in short], pa.binary()), pa.array([k if ok else [] for k, ok in zip(keys, some)], pa.list_(pa.int64()))],
-                ["doc_id", "node", "short", "keys"],
+                [batch.column(0), batch.column(2), pa.array(names, pa.binary()), pa.array([s.tobytes() for s in short], pa.binary()), pa.array([k if ok else [] for k, ok in zip(keys, some)], pa.list_(pa.int64()))],
+                ["doc_id", "text_key", "node", "short", "keys"],
             )
 
-    return rows.mapInArrow(sign, "doc_id long, node binary, short binary, keys array<long>")
+    return rows.select("doc_id", "text", F.md5("text").alias("text_key")).mapInArrow(sign, "doc_id long, text_key string, node binary, short binary, keys array<long>")
 
 
 def multisets(rows: DataFrame) -> DataFrame:
@@ -231,6 +231,11 @@ def components(links: DataFrame) -> DataFrame:
 
 def find_classes(docs: DataFrame, threshold: float = THRESHOLD, text_column: str = "text") -> DataFrame:
     """doc_id, class_id (smallest doc_id of the class), n_links (of its text with different ones found) of each row."""
+    return _classes(docs, threshold, text_column).select("doc_id", "class_id", "n_links")
+
+
+def _classes(docs: DataFrame, threshold: float, text_column: str = "text") -> DataFrame:
+    """The same with the md5 of each row's text and the class itself, which has a name even if all its ids are null."""
     spark: SparkSession = docs.sparkSession
     arrow_batches(spark, 256)
     rows = rows_of(docs, text_column=text_column)
@@ -275,17 +280,21 @@ def find_classes(docs: DataFrame, threshold: float = THRESHOLD, text_column: str
     degree = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("n_links"))
     by_class = nodes.select("node", "doc_id").join(classes, "node", "left").withColumn("class", F.coalesce("class", "node"))
     names = by_class.groupBy("class").agg(F.min("doc_id").alias("class_id"))
-    named = by_class.join(names, "class").join(degree, "node", "left").select("node", "class_id", F.coalesce("n_links", F.lit(0)).alias("n_links"))
-    return signed.select("doc_id", "node").join(named, "node").select("doc_id", "class_id", "n_links")
+    named = by_class.join(names, "class").join(degree, "node", "left").select("node", "class", "class_id", F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    return signed.select("doc_id", "text_key", "node").join(named, "node").select("doc_id", "text_key", "class", "class_id", "n_links")
 
 
 def keep_one(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """``docs`` with one document of each class: that of the smallest doc_id (one of its rows, if they repeat). Rows with a
-    null doc_id have no name to be told apart by and stay."""
-    found = written(find_classes(docs, threshold), "classes")
-    kept = without_ids(docs, found.filter("doc_id is not null and doc_id <> class_id").select("doc_id"))
-    twice = found.filter("doc_id = class_id").groupBy("doc_id").count().filter("count > 1")
-    twice = small(written(twice.select(F.col("doc_id").alias("__twice_id")), "repeated-ids"))
-    same = F.col("doc_id").cast("long") == F.col("__twice_id")
-    again = kept.join(twice, same, "left_semi").dropDuplicates(["doc_id"])
-    return kept.join(twice, same, "left_anti").unionByName(again)
+    """``docs`` with one row of each class: that of the smallest doc_id, null last, and of its texts the one with the smallest md5. Rows
+    are told apart by id and text, so rows that repeat an id with other texts are judged each."""
+    found = written(_classes(docs, threshold).select("doc_id", "text_key", "class"), "classes")
+    row = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col("text_key").alias("key"))
+    first = found.groupBy("class").agg(F.min(row).alias("first"))
+    judged = found.join(first, "class").select(F.col("doc_id").alias("__id"), F.col("text_key").alias("__key"), (row == F.col("first")).alias("__first"))
+    counts = written(judged.groupBy("__id", "__key").agg(F.max("__first").alias("__first"), F.count("*").alias("__n")), "judged-rows")
+    same = F.col("doc_id").cast("long").eqNullSafe(F.col("__id")) & (F.md5(F.coalesce(F.col("text").cast("string"), F.lit(""))) == F.col("__key"))
+    kept = docs.join(small(counts.filter("not __first")), same, "left_anti")
+    twice = small(counts.filter("__first and __n > 1"))
+    once = kept.join(twice, same, "left_anti")
+    again = kept.join(twice, same, "inner").dropDuplicates(["__id", "__key"])
+    return once.unionByName(again.select(*[F.col(f"`{c}`") for c in docs.columns]))
