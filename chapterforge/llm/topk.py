@@ -110,8 +110,8 @@ class Shard:
             self.matrix[self.places[at], j] = self.weight[at]
         self.maxima = self.matrix.reshape(self.blocks, PLACES, -1).max(axis=1)
 
-    def search(self, queries: list[tuple[np.ndarray, np.ndarray]], k: int) -> list[tuple[np.ndarray, np.ndarray]]:
-        """queries: (term hashes, idf weights). For each, places and scores of its k best here."""
+    def search(self, queries: list[tuple[np.ndarray, np.ndarray]], k: int, floors: list[float] | None = None) -> list[tuple[np.ndarray, np.ndarray]]:
+        """queries: (term hashes, idf weights). For each, places and scores of its k best here that reach its floor."""
         m, width = len(queries), self.blocks * PLACES
         rare, q = np.zeros((m, width)), np.zeros((m, len(self.dense)))
         for i, (terms, weights) in enumerate(queries):
@@ -126,7 +126,9 @@ class Shard:
                 where = np.repeat(self.start[at] - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())
                 rare[i] = np.bincount(self.places[where], np.repeat(w, sizes) * self.weight[where], minlength=width)
         bound = rare.reshape(m, self.blocks, PLACES).max(axis=2) + q @ self.maxima.T
-        best = np.full((m, k), 0.0)  # the k best scores so far; a result scores above 0
+        best = np.zeros((m, k))  # the k best scores so far, at least the floor; a result scores above 0
+        if floors is not None:
+            best += np.array(floors)[:, None]
         found: list[list] = [[] for _ in range(m)]
         for b in np.argsort(-bound.max(axis=0), kind="stable"):
             live = np.flatnonzero(bound[:, b] + 1e-6 >= np.maximum(best[:, 0], 1e-12))
@@ -150,6 +152,24 @@ class Shard:
         return out
 
 
+def _looked_up(index: DataFrame, queries: list[tuple], floors: dict[int, float], k: int, mean: float) -> DataFrame:
+    """q, query_id, doc_id, score of the k best of each shard that reach the query's floor."""
+    held = index.sparkSession.sparkContext.broadcast([(*q, floors.get(q[0], 0.0)) for q in queries])
+
+    def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                shard, out = Shard(row, mean), []
+                for at in range(0, len(held.value), TOGETHER):
+                    few = held.value[at : at + TOGETHER]
+                    for (q, query_id, *_), (places, scores) in zip(few, shard.search([x[2:4] for x in few], k, [x[4] for x in few])):
+                        out += [(q, query_id, None if shard.null[p] else int(shard.ids[p]), float(s)) for p, s in zip(places, scores)]
+                cols = list(zip(*out)) if out else [[], [], [], []]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.float64()))], ["q", "query_id", "doc_id", "score"])
+
+    return index.mapInArrow(look, "q long, query_id long, doc_id long, score double")
+
+
 def search_all(docs: DataFrame, queries: DataFrame, k: int = 10, block: int = BLOCK, text_column: str = "text") -> DataFrame:
     """query_id, rank, doc_id, score: the k documents of the largest BM25 score for each row of ``queries`` (doc_id, text)."""
     spark = docs.sparkSession
@@ -190,24 +210,18 @@ def search_all(docs: DataFrame, queries: DataFrame, k: int = 10, block: int = BL
 
     out = None
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1")
+    # an eighth of the shards first: a query's k-th best score there is a floor for all others, which prune by it from the start
+    # and return only what reaches it
+    early = F.pmod(F.xxhash64("lengths"), F.lit(8)) == 0
     for b in range(max(1, -(-asked.count() // block))):
         some = weighed.filter(F.col("block") == b).select("q", "query_id", "terms.term", "terms.w").collect()  # about ``block`` queries
         if not some:
             continue
-        held = spark.sparkContext.broadcast([(r["q"], r["query_id"], np.array(r["term"], np.int64), np.array(r["w"])) for r in some])
-
-        def look(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                for row in batch.to_pylist():
-                    shard, out = Shard(row, mean), []
-                    for at in range(0, len(held.value), TOGETHER):
-                        few = held.value[at : at + TOGETHER]
-                        for (q, query_id, _, _), (places, scores) in zip(few, shard.search([(t, w) for _, _, t, w in few], k)):
-                            out += [(q, query_id, None if shard.null[p] else int(shard.ids[p]), float(s)) for p, s in zip(places, scores)]
-                    cols = list(zip(*out)) if out else [[], [], [], []]
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.float64()))], ["q", "query_id", "doc_id", "score"])
-
-        one = index.mapInArrow(look, "q long, query_id long, doc_id long, score double")
+        queries_held = [(r["q"], r["query_id"], np.array(r["term"], np.int64), np.array(r["w"])) for r in some]
+        first = written(_looked_up(index.filter(early), queries_held, {}, k, mean), "first-shards")
+        kth = first.groupBy("q").agg(F.count("*").alias("n"), F.slice(F.sort_array(F.collect_list("score"), asc=False), k, 1)[0].alias("floor"))  # k a shard
+        floors = {r["q"]: r["floor"] for r in kth.filter(F.col("n") >= k).collect()}
+        one = first.unionByName(_looked_up(index.filter(~early), queries_held, floors, k, mean))
         out = one if out is None else out.unionByName(one)
     if out is None:
         return spark.createDataFrame([], "query_id long, rank int, doc_id long, score double")
