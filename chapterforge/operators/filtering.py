@@ -91,23 +91,50 @@ def train_bayes(rated: DataFrame, classes: list[int] | None = None, limit: int =
     return BayesModel(sums, terms, names, terms.count())
 
 
-def bayes_scores(docs: DataFrame, model: BayesModel, limit: int = CONTEXT, broadcast_terms: int = 2_000_000) -> DataFrame:
+def bayes_scores(docs: DataFrame, model: BayesModel, limit: int = CONTEXT, map_terms: int = 500_000) -> DataFrame:
     """doc_id, predicted, margin (best log score less the next). Terms the model lacks are passed over; ties go to the lower class.
 
-    Counts of a document's terms are joined with the terms' table: broadcast while it has ``broadcast_terms`` rows at most, shuffled
-    beyond. Term counts are summed for each document before they move.
+    While the model has ``map_terms`` terms at most it goes out to the tasks and scoring is one pass without a shuffle; beyond, term
+    counts of each document are joined with the terms' table. Both give the same scores.
     """
     words = docs.select("doc_id", tokens(F.col("text")).alias("tokens")).select("doc_id", truncate(F.col("tokens"), limit).alias("tokens"))
-    counts = words.select("doc_id", F.explode("tokens").alias("term")).groupBy("doc_id", "term").agg(F.count("*").alias("tf"))
-    terms = F.broadcast(model.terms) if model.vocabulary <= broadcast_terms else model.terms
-    part = [F.sum(F.col("tf") * F.log((F.col(f"n{c}") + 1) / F.lit(float(model.sizes[c] + model.vocabulary)))).alias(f"s{c}") for c in model.names]
-    sums = counts.join(terms, "term").groupBy("doc_id").agg(*part)
-    scored = docs.select("doc_id").join(sums, "doc_id", "left")
-    scored = scored.select("doc_id", *[F.round(F.coalesce(f"s{c}", F.lit(0.0)) + model.prior(c), 6).alias(f"s{c}") for c in model.names])
+    scored = _scores_by_map(words, model) if model.vocabulary <= map_terms else _scores_by_join(docs, words, model)
     ranked = F.array_sort(F.array(*[F.struct((-F.col(f"s{c}")).alias("s"), F.lit(c).alias("c")) for c in model.names]))
     return scored.withColumn("r", ranked).select("doc_id", F.col("r")[0]["c"].alias("predicted"), F.round(F.col("r")[1]["s"] - F.col("r")[0]["s"], 6).alias("margin"))
 
 
+def _scores_by_map(words: DataFrame, model: BayesModel) -> DataFrame:
+    import numpy as np
+    import pandas as pd
+
+    held, names = model.terms.collect(), [f"s{c}" for c in model.names]  # ``map_terms`` rows at most
+    counts = np.array([[r[f"n{c}"] for c in model.names] for r in held], dtype=float).reshape(len(held), len(model.names))
+    weights = np.log((counts + 1) / (np.array([float(model.sizes[c]) for c in model.names]) + model.vocabulary)) if held else counts
+    place = words.sparkSession.sparkContext.broadcast(({r["term"]: i for i, r in enumerate(held)}, weights, np.array([model.prior(c) for c in model.names])))
+
+    def score(batches):
+        at, w, prior = place.value
+        for pdf in batches:
+            out = np.tile(prior, (len(pdf), 1))
+            for i, run in enumerate(pdf["tokens"]):
+                known = [at[t] for t in run if t in at]
+                if known:
+                    out[i] += w[known].sum(axis=0)
+            done = pd.DataFrame(np.round(out, 6), columns=names)
+            done.insert(0, "doc_id", pdf["doc_id"].to_numpy())
+            yield done
+
+    return words.mapInPandas(score, ", ".join(["doc_id long", *[f"{n} double" for n in names]]))
+
+
+def _scores_by_join(docs: DataFrame, words: DataFrame, model: BayesModel) -> DataFrame:
+    counts = words.select("doc_id", F.explode("tokens").alias("term")).groupBy("doc_id", "term").agg(F.count("*").alias("tf"))
+    part = [F.sum(F.col("tf") * F.log((F.col(f"n{c}") + 1) / F.lit(float(model.sizes[c] + model.vocabulary)))).alias(f"s{c}") for c in model.names]
+    sums = counts.join(model.terms, "term").groupBy("doc_id").agg(*part)
+    every = docs.select("doc_id").join(sums, "doc_id", "left")
+    return every.select("doc_id", *[F.round(F.coalesce(f"s{c}", F.lit(0.0)) + model.prior(c), 6).alias(f"s{c}") for c in model.names])
+
+
 def train_logistic(rated: DataFrame, features: int = 1 << 12, limit: int = CONTEXT, rounds: int = 20):
     """The hashed-feature variant: multinomial logistic regression, a pipeline model."""
     from pyspark.ml import Pipeline

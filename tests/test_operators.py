@@ -167,3 +167,12 @@ def test_filter_samples(spark, data):
     docs = spark.read.parquet(f"{data}/documents.parquet")
     for method in ("bernoulli", "stratified", "files"):
         assert filtering.rating_sample(docs, 0.5, method=method, strata="lang").count() <= docs.count()
+
+
+def test_bayes_forms_agree(spark, data):
+    docs = spark.read.parquet(f"{data}/documents.parquet")
+    model = filtering.train_bayes(docs.join(filtering.ratings_from_labels(spark.read.parquet(f"{data}/labels.parquet")), "doc_id"))
+    a, b = filtering.bayes_scores(docs, model), filtering.bayes_scores(docs, model, map_terms=0)
+    key = lambda df: sorted((r["doc_id"], r["predicted"], round(r["margin"], 4)) for r in df.collect())
+    assert key(a) == key(b)
+    assert "Exchange" not in filtering.bayes_scores(docs, model)._jdf.queryExecution().executedPlan().toString()
