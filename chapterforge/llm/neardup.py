@@ -8,9 +8,11 @@ random component and weight; points above the shingle's count are passed over, a
 past all components' minima. A component is the time of its first point.
 
 Nodes that agree on a band of ``ROWS`` components are compared. Buckets of up to ``SMALL`` nodes compare all pairs. Larger
-ones compare pivots with all members of other classes, with more pivots in each round, until whatever is left uncompared lies
-within one class: no link that could join two classes is lost. Pairs that the whole signature puts more than five
-standard deviations below the threshold are dropped; the rest are decided by exact multiset overlap.
+ones first compare their smallest node with the others, which makes a group of near copies one class in linear work. Those
+whose members then lie in more than one class are joined where they share nodes, and dealt in chunks of ``CHUNK`` nodes: a task has two
+chunks, with their multisets, and compares all pairs of different classes, so no link that could join two classes is lost. Pairs
+that the whole signature puts more than five standard deviations below the threshold are dropped; the rest are decided by
+exact multiset overlap.
 
 Defined results: null texts are empty, and empty texts are one class; repeated rows (or ids) are of one class if their
 texts are; a class is named by its smallest doc_id (null only if it has no other); an empty table gives no rows; other
@@ -24,6 +26,7 @@ import re
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -33,7 +36,7 @@ from .common import arrow_batches, rows_of, small, written
 WORDS, THRESHOLD = 5, 0.8
 BANDS, ROWS = 24, 5
 SIZE = BANDS * ROWS
-SMALL = 32
+SMALL, CHUNK = 32, 512
 
 _WORD = re.compile(r"[^\W_]+")
 _ODD = np.uint64(0x9E3779B97F4A7C15)
@@ -185,7 +188,7 @@ def _paired(pairs: DataFrame, table: DataFrame, value: str) -> DataFrame:
 
 def likely(pairs: DataFrame, nodes: DataFrame, threshold: float) -> DataFrame:
     """Pairs whose signatures agree on enough components."""
-    least = int(np.floor(SIZE * threshold - 5 * np.sqrt(SIZE * threshold * (1 - threshold))))
+    least = _least(threshold)
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -210,6 +213,53 @@ def overlaps(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return _paired(pairs, sets, "grams").mapInArrow(compare, "a binary, b binary, similarity double")
 
 
+def _least(threshold: float) -> int:
+    return int(np.floor(SIZE * threshold - 5 * np.sqrt(SIZE * threshold * (1 - threshold))))
+
+
+def linked_by_chunks(groups: DataFrame, threshold: float) -> DataFrame:
+    """a, b, similarity: links that join all classes of a group that can be joined. groups: group, size, node, class, short, grams.
+
+    A task holds two chunks at most. Within it, pairs that its own links have joined already are passed over.
+    """
+    chunks = F.ceil(F.col("size") / CHUNK).cast("int")
+    dealt = groups.withColumn("c", F.pmod(F.xxhash64("node"), chunks).cast("int")).withColumn("x", F.explode(F.sequence(F.lit(0), chunks - 1)))
+    dealt = dealt.select("group", F.least("c", "x").alias("lo"), F.greatest("c", "x").alias("hi"), "c", "node", "class", "short", "grams")
+    least = _least(threshold)
+
+    def compare(pdf: pd.DataFrame) -> pd.DataFrame:
+        lo, hi = int(pdf["lo"].iloc[0]), int(pdf["hi"].iloc[0])
+        pdf = pdf.sort_values(["c", "node"]).reset_index(drop=True)
+        short = np.frombuffer(b"".join(pdf["short"]), dtype=np.uint8).reshape(-1, SIZE)
+        sets = [np.frombuffer(g, dtype=np.uint64) for g in pdf["grams"]]
+        sizes, first = np.array([len(x) for x in sets]), int((pdf["c"] == lo).sum())
+        parent: dict = {}
+
+        def root(x):
+            while parent.get(x, x) != x:
+                parent[x] = x = parent.get(parent[x], parent[x])
+            return x
+
+        out, names = [], pdf["class"].tolist()
+        for i in range(first):
+            start = i + 1 if lo == hi else first
+            fits = np.minimum(sizes[start:], sizes[i]) >= threshold * np.maximum(sizes[start:], sizes[i])
+            at = np.flatnonzero(fits)
+            at = at[(short[start + at] == short[i]).sum(axis=1) >= least] + start
+            for j in at:
+                p, q = root(names[i]), root(names[j])
+                if p == q:
+                    continue
+                both = len(np.intersect1d(sets[i], sets[j], assume_unique=True))
+                similarity = both / (sizes[i] + sizes[j] - both)
+                if similarity >= threshold:
+                    parent[p] = q
+                    out.append((pdf["node"][i], pdf["node"][j], similarity))
+        return pd.DataFrame(out, columns=["a", "b", "similarity"])
+
+    return dealt.groupBy("group", "lo", "hi").applyInPandas(compare, "a binary, b binary, similarity double")
+
+
 def components(links: DataFrame) -> DataFrame:
     """node, class (the smallest node it is linked with): large and small stars in turn, each written, until nothing changes."""
     edges = written(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct(), "edges")
@@ -230,7 +280,7 @@ def components(links: DataFrame) -> DataFrame:
 
 
 def find_classes(docs: DataFrame, threshold: float = THRESHOLD, text_column: str = "text") -> DataFrame:
-    """doc_id, class_id (smallest doc_id of the class), n_links (of its text with different ones found) of each row."""
+    """doc_id, class_id (smallest doc_id of the class), n_links (that were found on the way from its text to others) of each row."""
     return _classes(docs, threshold, text_column).select("doc_id", "class_id", "n_links")
 
 
@@ -245,37 +295,34 @@ def _classes(docs: DataFrame, threshold: float, text_column: str = "text") -> Da
     sizes = keyed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
     members = written(keyed.join(sizes, "key"), "buckets")
 
-    links, compared, classes, turn = None, None, None, 0
-    while True:
-        if classes is None:
-            held, left = members.withColumn("class", F.col("node")), members
-        else:
-            held = members.filter(F.col("n") > SMALL).join(classes, "node", "left").withColumn("class", F.coalesce("class", "node"))
-            # a bucket is through when all members that have not been pivots lie in one class
-            left = held.join(pivots.select("key", "node"), ["key", "node"], "left_anti")
-            open_keys = left.groupBy("key").agg(F.min("class").alias("x"), F.max("class").alias("y")).filter("x <> y").select("key")
-            held, left = written(held.join(open_keys, "key", "left_semi"), "open-buckets"), left.join(open_keys, "key", "left_semi")
-            if held.isEmpty():
-                break
-        slots = F.when(F.col("n") <= SMALL, F.xxhash64("node")).otherwise(F.pmod(F.xxhash64("node"), F.lit(16**turn)))
-        fresh = left.groupBy("key", slots.alias("slot")).agg(F.min("node").alias("node"))
-        fresh = written(fresh.select("key", "node"), "pivots")
-        pivots = fresh if turn == 0 else pivots.unionByName(fresh)
-        first = fresh.join(held.select("key", "node", "class"), ["key", "node"]).select("key", F.col("node").alias("pivot"), F.col("class").alias("pivot_class"))
-        pairs = held.join(first, "key").filter("node <> pivot and class <> pivot_class").select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b")).distinct()
-        if compared is not None:
-            pairs = pairs.join(compared, ["a", "b"], "left_anti")
-        pairs = written(pairs, "pairs")
-        compared = pairs if compared is None else compared.unionByName(pairs)
-
-        close = written(likely(pairs, nodes, threshold), "likely-pairs")
-        wanted = close.select(F.col("a").alias("node")).unionByName(close.select(F.col("b").alias("node"))).distinct()
+    def sets_of(wanted: DataFrame) -> DataFrame:
+        """Multisets of these nodes, from one document of each."""
         ids = written(nodes.join(wanted, "node", "left_semi").select(F.col("doc_id").alias("wanted_id")), "wanted")
-        sets = multisets(rows.join(small(ids), F.col("doc_id").eqNullSafe(F.col("wanted_id")), "left_semi")).dropDuplicates(["node"])
-        found = written(overlaps(close, written(sets, "multisets")).filter(F.col("similarity") >= threshold), "links")
-        links = found if links is None else links.unionByName(found)
+        texts = rows.join(small(ids), F.col("doc_id").eqNullSafe(F.col("wanted_id")), "left_semi")
+        return written(multisets(texts).dropDuplicates(["node"]), "multisets")
+
+    # small buckets: all pairs; large ones: their smallest node with the others
+    few = F.col("n") <= SMALL
+    least = members.filter(~few).groupBy("key").agg(F.min("node").alias("pivot"))
+    pairs = members.filter(few).select("key", F.col("node").alias("pivot")).unionByName(least)
+    pairs = members.join(pairs, "key").filter("node > pivot").select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
+    close = written(likely(written(pairs, "pairs"), nodes, threshold), "likely-pairs")
+    wanted = close.select(F.col("a").alias("node")).unionByName(close.select(F.col("b").alias("node"))).distinct()
+    links = written(overlaps(close, sets_of(wanted)).filter(F.col("similarity") >= threshold), "links")
+    classes = components(links)
+
+    # large buckets whose members lie in different classes
+    held = members.filter(~few).join(classes, "node", "left").withColumn("class", F.coalesce("class", "node"))
+    spread = held.groupBy("key").agg(F.min("class").alias("x"), F.max("class").alias("y"), F.min("node").alias("pivot")).filter("x <> y").select("key", "pivot")
+    rest = written(held.join(spread, "key").select("node", "class", "pivot"), "open-buckets")
+    if not rest.isEmpty():
+        near = components(rest.select(F.col("node").alias("a"), F.col("pivot").alias("b"))).withColumnRenamed("class", "group")
+        groups = rest.select("node", "class").distinct().join(near, "node", "left").withColumn("group", F.coalesce("group", "node"))
+        groups = written(groups.join(nodes.select("node", "short"), "node"), "groups")
+        sizes = groups.groupBy("group").agg(F.count("*").alias("size"))
+        dealt = groups.join(sizes, "group").join(sets_of(groups.select("node")), "node")
+        links = links.unionByName(written(linked_by_chunks(dealt, threshold), "chunk-links"))
         classes = components(links)
-        turn += 1
 
     degree = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("n_links"))
     by_class = nodes.select("node", "doc_id").join(classes, "node", "left").withColumn("class", F.coalesce("class", "node"))

@@ -38,9 +38,10 @@ def classes(rows):
     return collections.Counter(frozenset(collections.Counter(rows[i][0] for i in range(len(rows)) if find(i) == r).items()) for r in {find(i) for i in range(len(rows))})
 
 
-@pytest.mark.parametrize("small", [32, 2])
-def test_classes_equal_brute_force(spark, data, small, monkeypatch):
-    monkeypatch.setattr(neardup, "SMALL", small)  # 2: buckets go through rounds of pivots
+@pytest.mark.parametrize("small,chunk", [(32, 512), (2, 512), (2, 4)])
+def test_classes_equal_brute_force(spark, data, small, chunk, monkeypatch):
+    monkeypatch.setattr(neardup, "SMALL", small)  # 2: buckets go through pivots and chunks
+    monkeypatch.setattr(neardup, "CHUNK", chunk)
     rows = [(r["doc_id"], r["text"]) for r in spark.read.parquet(f"{data}/documents.parquet").collect()]
     base = [f"t{i}" for i in range(120)]
     for k in range(25):  # a group in which some pairs are close and some are not
