@@ -119,9 +119,9 @@ def w3_context_failures(spark, sf_dir):
 # ---- multiple choice --------------------------------------------------------------------------------------
 
 _FACTS = """
-select 'da' as category, 'Which segment has customer ' || c_custkey || '?' as question, c_mktsegment as fact, c_custkey::bigint as k, 'segment' as kind from customer where c_custkey % 25 = 0
+select 'da' as category, 'Which segment has customer ' || c_custkey || '?' as question, c_mktsegment as fact, c_custkey::bigint as k, 'segment' as kind from customer
 union all select 'db', 'Which table has the column ' || col || '?', tab, ordinal, 'table' from cat
-union all select 'ml', 'Which event type has event ' || event_id || '?', event_type, event_id, 'event' from events where event_id % 200 = 0
+union all select 'ml', 'Which event type has event ' || event_id || '?', event_type, event_id, 'event' from events
 """
 _MCQ = f"""with cat as (select * from {values_sql(CATALOG, "tab, ordinal, col, kind")}), facts as ({_FACTS}),
 vals as (select distinct kind, fact as v from facts),
