@@ -76,7 +76,7 @@ _CELL_ROWS = "select 'customer|' || n_name || '|' || c_mktsegment as id, c_custk
 _CELL_POOL = f"""
 select s.id, s.title || coalesce(' ' || r.cells, '') as text from slices s left join (select id, string_agg(cells, ' ' order by nth) as cells from
   (select *, row_number() over (partition by id order by md5(row_key || '|0'), row_key) as nth from ({_CELL_ROWS})) where nth <= 3 group by 1) r using (id)"""
-_CELL = f"with slices as ({POOL}), gold as (select row_key as q_id, id, cells from ({_CELL_ROWS}) where row_key::bigint % 5 = 0), " + bm25_sql(
+_CELL = f"with slices as ({POOL}), gold as (select row_key as q_id, id, cells from ({_CELL_ROWS})), " + bm25_sql(
     _CELL_POOL, "select q_id, 'in which table is ' || cells as text from gold"
 )
 
@@ -87,12 +87,11 @@ def cell_rows(spark, sf_dir) -> DataFrame:
 
 
 def cell(spark, sf_dir) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """The pool with three sampled rows of each customer table; questions that name only a customer; their gold."""
+    """The pool with three sampled rows of each customer table; a question for each customer that names only it; their gold."""
     rows = cell_rows(spark, sf_dir)
     some = selection.sample_rows(rows, 3, 0, "id").groupBy("id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("nth", "cells"))), lambda s: s["cells"]), " ").alias("cells"))
     held = pool(spark, sf_dir).join(some, "id", "left").select("id", F.concat_ws(" ", "title", "cells").alias("text"))
-    asked = rows.filter(F.col("row_key").cast("long") % 5 == 0)
-    return held, asked.select(F.col("row_key").alias("q_id"), F.concat(F.lit("in which table is "), "cells").alias("text")), asked.select(F.col("row_key").alias("q_id"), "id")
+    return held, rows.select(F.col("row_key").alias("q_id"), F.concat(F.lit("in which table is "), "cells").alias("text")), rows.select(F.col("row_key").alias("q_id"), "id")
 
 
 _PARTIAL = f"with slices as ({POOL}), " + bm25_sql("select id, title as text from slices", "select id as q_id, 'which table lists ' || partial as text from slices where family <> 'supplier'")

@@ -1,9 +1,18 @@
 """Queries cover every row of their tables; recounted in plain Python, apart from the SQL beside them."""
 
+import collections
 import hashlib
+import math
+import re
+
+import pytest
+from pyspark.sql import functions as F
 
 from chapterforge import workloads
+from chapterforge.operators import filtering, lm
+from chapterforge.plans import curriculum
 
+words = lambda s: re.findall(r"[^\W_]+", s.lower())
 md5 = lambda s: hashlib.md5(s.encode()).hexdigest()
 
 
@@ -25,3 +34,30 @@ def test_mcq_item_for_every_customer_and_event(spark, data):
             assert [got[q][c] for c in "abcd"] == placed and got[q]["answer"] == "ABCD"[placed.index(fact)]
     counts = {(r["predictor"], r["category"]): r["n"] for r in workloads.queries()["w1_mcq_accuracy"](spark, data).collect()}
     assert counts["first_choice", "da"] == len(facts) and counts["hash_choice", "ml"] == len(events)
+
+
+def test_cell_question_for_every_customer(spark, data):
+    nations = {r["n_nationkey"]: r["n_name"] for r in rows(spark, data, "nation")}
+    gold = {str(r["c_custkey"]): (f"customer|{nations[r['c_nationkey']]}|{r['c_mktsegment']}", r["c_name"]) for r in rows(spark, data, "customer")}
+    cells = collections.defaultdict(list)
+    for key, (slice_id, name) in sorted(gold.items(), key=lambda x: (md5(f"{x[0]}|0"), x[0])):
+        cells[slice_id].append(name)
+    pool = {r["id"]: words(" ".join([r["title"], *cells[r["id"]][:3]])) for r in workloads.queries()["w4_pool"](spark, data).collect()}
+    df = collections.Counter(t for w in pool.values() for t in set(w))
+    mean, top1, in_ten, mrr = sum(map(len, pool.values())) / len(pool), 0, 0, 0.0
+    for slice_id, name in gold.values():
+        scores = []
+        for i, w in pool.items():
+            both = set(words(f"in which table is {name}")) & set(w)
+            if both:
+                s = sum(math.log(1 + (len(pool) - df[t] + 0.5) / (df[t] + 0.5)) * w.count(t) * 2.2 / (w.count(t) + 1.2 * (0.25 + 0.75 * len(w) / mean)) for t in sorted(both))
+                scores.append((-round(s, 6), i))
+        best = [i for _, i in sorted(scores)[:10]]
+        at = best.index(slice_id) + 1 if slice_id in best else 0
+        top1, in_ten, mrr = top1 + (at == 1), in_ten + (at > 0), mrr + (1 / at if at else 0)
+    got = next(r for r in workloads.queries()["w4_bm25_top1"](spark, data).collect() if r["style"] == "cell")
+    n = len(gold)
+    assert n == 150 and got["questions"] == n
+    assert (got["top1"], got["in_ten"], got["mrr"]) == pytest.approx((top1 / n, in_ten / n, mrr / n), abs=1e-6)
+    made = workloads.queries()["w4_examples"](spark, data).collect()
+    assert {r["q_id"] for r in made if r["policy"] == "force"} == set(gold) and sum(r["policy"] == "filter" for r in made) == in_ten
