@@ -69,10 +69,30 @@ def temper(next_tokens: DataFrame, t: float) -> DataFrame:
 def nucleus(next_tokens: DataFrame, top_p: float) -> DataFrame:
     """The smallest set of most likely tokens that reaches ``top_p``, normalized anew."""
     before = F.coalesce(F.sum("p").over(W.partitionBy("ctx").orderBy(F.desc("p"), "token").rowsBetween(W.unboundedPreceding, -1)), F.lit(0.0))
-    kept = next_tokens.withColumn("before", before).filter((F.round("before", 9) < top_p) & (F.col("p") > 0)).drop("before")
+    kept = next_tokens.withColumn("before", before).filter((F.lit(top_p >= 1) | (F.round("before", 9) < top_p)) & (F.col("p") > 0)).drop("before")
     return kept.withColumn("p", F.col("p") / F.sum("p").over(W.partitionBy("ctx")))
 
 
+def nucleus_grid(next_tokens: DataFrame, temperatures: tuple[float, ...], top_ps: tuple[float, ...]) -> DataFrame:
+    """temperature, top_p, ctx, kept (how many tokens stay), top (the first one's probability among them): ``temper`` then
+    ``nucleus`` for every setting, over one sort of each context, as a temperature leaves the order as it is."""
+    ctx = W.partitionBy("ctx")
+    order = ctx.orderBy(F.desc("p"), "token")
+    place = next_tokens.withColumn("place", F.row_number().over(order))
+    hot = lambda t: F.pow("p", 1.0 / t) if t else F.when(F.col("place") == 1, 1.0).otherwise(0.0)
+    at = [(i, t) for i, t in enumerate(temperatures)]
+    one = place.select("*", *[hot(t).alias(f"h{i}") for i, t in at]).select("*", *[(F.col(f"h{i}") / F.sum(f"h{i}").over(ctx)).alias(f"p{i}") for i, _ in at])
+    before = lambda i: F.coalesce(F.sum(f"p{i}").over(order.rowsBetween(W.unboundedPreceding, -1)), F.lit(0.0))
+    cut = one.select("ctx", *[f"p{i}" for i, _ in at], *[before(i).alias(f"b{i}") for i, _ in at])
+    sums, settings = [], []
+    for i, t in at:
+        for j, top_p in enumerate(top_ps):
+            p = F.when((F.lit(top_p >= 1) | (F.round(f"b{i}", 9) < top_p)) & (F.col(f"p{i}") > 0), F.col(f"p{i}"))
+            sums += [F.count(p).alias(f"n{i}_{j}"), (F.max(p) / F.sum(p)).alias(f"t{i}_{j}")]
+            settings.append(F.struct(F.lit(float(t)).alias("temperature"), F.lit(float(top_p)).alias("top_p"), F.col(f"n{i}_{j}").alias("kept"), F.col(f"t{i}_{j}").alias("top")))
+    return cut.groupBy("ctx").agg(*sums).select("ctx", F.inline(F.array(*settings)))
+
+
 # fixed values: temperature and top_p by family
 DECODE_DEFAULTS = {"mcq": (0.0, 0.99), "ts": (0.7, 0.95), "t2s": (1.0, 1.0)}
 

@@ -115,25 +115,35 @@ def w13_sequence_nll(spark, sf_dir):
     return lm.sequence_nll(texts, lm.fit_bigrams(texts))
 
 
-_NEXT = "with " + _bigram_sql("select conv_id * 1000 + turn as id, text from conversations") + ", nxt as (select ctx, tok as token, n / total as p from counts join contexts using (ctx) where total >= 20)"
+_NEXT = "with " + _bigram_sql("select conv_id * 1000 + turn as id, text from conversations") + ", nxt as (select ctx, tok as token, n / total as p from counts join contexts using (ctx))"
 
 
 def next_tokens(spark, sf_dir) -> DataFrame:
     texts = table(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), "text")
     model = lm.fit_bigrams(texts)
-    return model.counts.join(model.contexts.filter("total >= 20"), "ctx").select("ctx", F.col("tok").alias("token"), (F.col("n") / F.col("total")).alias("p"))
+    return model.counts.join(model.contexts, "ctx").select("ctx", F.col("tok").alias("token"), (F.col("n") / F.col("total")).alias("p"))
+
+
+# the tried settings, and the top_p of 1 that one family has
+TEMPERATURES, TOP_PS = (0.0, 0.7, 1.0), (0.95, 0.99, 1.0)
+
+
+def _hot_sql(t: float) -> str:
+    p = f"pow(p, 1.0 / {t})" if t else "(row_number() over (partition by ctx order by p desc, token) = 1)::int::double"
+    return f"select {t}::double as temperature, ctx, token, {p} as p from nxt"
 
 
 @workload(
     _NEXT
-    + """, hot as (select ctx, token, pow(p, 1.0 / 0.7) as p from nxt), one as (select ctx, token, p / sum(p) over (partition by ctx) as p from hot),
-    cut as (select *, coalesce(sum(p) over (partition by ctx order by p desc, token rows between unbounded preceding and 1 preceding), 0) as before from one),
-    kept as (select ctx, token, p / sum(p) over (partition by ctx) as p from cut where round(before, 9) < 0.95)
-    select ctx, count(*) as kept, round(max(p), 6) as top from kept group by 1"""
+    + f""", hot as ({" union all ".join(map(_hot_sql, TEMPERATURES))}), one as (select temperature, ctx, token, p / sum(p) over (partition by temperature, ctx) as p from hot),
+    cut as (select *, coalesce(sum(p) over (partition by temperature, ctx order by p desc, token rows between unbounded preceding and 1 preceding), 0) as before from one),
+    kept as (select temperature, top_p, ctx, p from cut cross join (values {", ".join(f"({x}::double)" for x in TOP_PS)}) as s(top_p) where p > 0 and (top_p = 1 or round(before, 9) < top_p))
+    select temperature, top_p, ctx, count(*) as kept, round(round(max(p) / sum(p), 12), 6) as top from kept group by 1, 2, 3"""
 )
 def w13_nucleus(spark, sf_dir):
-    cut = lm.nucleus(lm.temper(next_tokens(spark, sf_dir), 0.7), 0.95)
-    return cut.groupBy("ctx").agg(F.count("*").alias("kept"), F.round(F.max("p"), 6).alias("top"))
+    """Every context under each setting: how many tokens stay, and the share of the most likely."""
+    cut = lm.nucleus_grid(next_tokens(spark, sf_dir), TEMPERATURES, TOP_PS)
+    return cut.select("temperature", "top_p", "ctx", "kept", F.round(F.round("top", 12), 6).alias("top"))
 
 
 @workload(_NEXT + "select ctx, arg_max(token, struct_pack(p := p, n := 0)) filter (r = 1) as token from (select *, row_number() over (partition by ctx order by p desc, token) as r from nxt) group by 1")

@@ -61,3 +61,37 @@ def test_cell_question_for_every_customer(spark, data):
     assert (got["top1"], got["in_ten"], got["mrr"]) == pytest.approx((top1 / n, in_ten / n, mrr / n), abs=1e-6)
     made = workloads.queries()["w4_examples"](spark, data).collect()
     assert {r["q_id"] for r in made if r["policy"] == "force"} == set(gold) and sum(r["policy"] == "filter" for r in made) == in_ten
+
+
+def test_next_tokens_of_every_context_and_setting(spark, data):
+    follow = collections.defaultdict(collections.Counter)
+    for r in rows(spark, data, "conversations"):
+        w = ["<s>", *words(r["text"] or "")]
+        for a, b in zip(w, w[1:]):
+            follow[a][b] += 1
+    greedy = {r["ctx"]: r["token"] for r in workloads.queries()["w13_greedy"](spark, data).collect()}
+    assert greedy == {c: min(n, key=lambda t: (-n[t], t)) for c, n in follow.items()}
+    assert min(sum(n.values()) for n in follow.values()) < 20
+    got = {(r["temperature"], r["top_p"], r["ctx"]): (r["kept"], r["top"]) for r in workloads.queries()["w13_nucleus"](spark, data).collect()}
+    assert set(got) == {(t, p, c) for t in (0.0, 0.7, 1.0) for p in (0.95, 0.99, 1.0) for c in follow}
+    for (t, top_p, c), (kept, top) in got.items():
+        n = sorted(follow[c].values(), reverse=True)
+        p = [x ** (1 / t) for x in n] if t else [1.0]
+        before, want = 0.0, []
+        for x in p:
+            if top_p == 1 or round(before, 9) < top_p:
+                want.append(x)
+            before += x / sum(p)
+        assert kept == len(want) and top == pytest.approx(want[0] / sum(want), abs=2e-6)
+
+
+def test_grid_equals_single_settings(spark):
+    p = spark.createDataFrame([("c", "x", 0.6), ("c", "y", 0.3), ("c", "z", 0.1), ("d", "x", 1.0)], "ctx string, token string, p double")
+    for r in lm.nucleus_grid(p, (0.0, 0.7), (0.85, 1.0)).collect():
+        cut = [x["p"] for x in lm.nucleus(lm.temper(p, r["temperature"]), r["top_p"]).filter(F.col("ctx") == r["ctx"]).collect()]
+        assert (r["kept"], r["top"]) == (len(cut), pytest.approx(max(cut)))
+
+
+def test_whole_nucleus_keeps_rare_tokens(spark):
+    p = spark.createDataFrame([("c", "x", 1 - 1e-11), ("c", "y", 1e-11)], "ctx string, token string, p double")
+    assert lm.nucleus(p, 1.0).count() == 2 and lm.nucleus_grid(p, (1.0,), (1.0,)).first()["kept"] == 2
