@@ -81,23 +81,23 @@ class BayesModel:
         return log((self.rows[c] + 1) / (sum(self.rows.values()) + len(self.names)))
 
 
-def train_bayes(rated: DataFrame, classes: list[int] | None = None, limit: int = CONTEXT, binarize_at: int | None = None) -> BayesModel:
-    """rated: text and score. ``binarize_at``: two classes, 1 from that score on. One shuffle, by term, after partial sums."""
+def train_bayes(rated: DataFrame, classes: list[int] | None = None, binarize_at: int | None = None) -> BayesModel:
+    """rated: text and score; all words of a text count, however many. ``binarize_at``: two classes, 1 from that score on. One shuffle, by term, after partial sums."""
     names = [0, 1] if binarize_at else classes or [1, 2, 3, 4, 5]
     score = (F.col("score") >= binarize_at).cast("int") if binarize_at else F.col("score")
-    words = rated.select(score.alias("score"), tokens(F.col("text")).alias("tokens")).select("score", truncate(F.col("tokens"), limit).alias("tokens"))
+    words = rated.select(score.alias("score"), tokens(F.col("text")).alias("tokens"))
     sums = words.groupBy("score").agg(F.count("*").alias("n"), F.sum(F.size("tokens")).cast("long").alias("tokens"))
     terms = words.select("score", F.explode("tokens").alias("term")).groupBy("term").agg(*[F.count_if(F.col("score") == c).alias(f"n{c}") for c in names])
     return BayesModel(sums, terms, names, terms.count())
 
 
-def bayes_scores(docs: DataFrame, model: BayesModel, limit: int = CONTEXT, map_terms: int = 500_000) -> DataFrame:
+def bayes_scores(docs: DataFrame, model: BayesModel, map_terms: int = 500_000) -> DataFrame:
     """doc_id, predicted, margin (best log score less the next). Terms the model lacks are passed over; ties go to the lower class.
 
     While the model has ``map_terms`` terms at most it goes out to the tasks and scoring is one pass without a shuffle; beyond, term
     counts of each document are joined with the terms' table. Both give the same scores.
     """
-    words = docs.select("doc_id", tokens(F.col("text")).alias("tokens")).select("doc_id", truncate(F.col("tokens"), limit).alias("tokens"))
+    words = docs.select("doc_id", tokens(F.col("text")).alias("tokens"))
     scored = _scores_by_map(words, model) if model.vocabulary <= map_terms else _scores_by_join(docs, words, model)
     ranked = F.array_sort(F.array(*[F.struct((-F.col(f"s{c}")).alias("s"), F.lit(c).alias("c")) for c in model.names]))
     return scored.withColumn("r", ranked).select("doc_id", F.col("r")[0]["c"].alias("predicted"), F.round(F.col("r")[1]["s"] - F.col("r")[0]["s"], 6).alias("margin"))

@@ -49,7 +49,7 @@ def _bayes_sql(score: str, classes: list[int]) -> str:
     return f"""
 with scores as (select doc_id, case when quality = 1 and toxic = 0 then 5 when quality = 1 then 3 when toxic = 0 then 2 else 1 end as rating from labels),
 split as (select doc_id, rating, {score} as score, not ({sample_sql("doc_id", 0.2, 11)}) as train from scores),
-words as (select doc_id, list_slice({tok("text")}, 1, 4096) as w from documents),
+words as (select doc_id, {tok("text")} as w from documents),
 trained as (select s.score, w.w from words w join split s using (doc_id) where s.train),
 classes(c) as (values {", ".join(f"({c})" for c in classes)}),
 sizes as (select c, count(t.score) as n, coalesce(sum(len(t.w)), 0) as toks from classes left join trained t on t.score = c group by c),

@@ -95,3 +95,13 @@ def test_grid_equals_single_settings(spark):
 def test_whole_nucleus_keeps_rare_tokens(spark):
     p = spark.createDataFrame([("c", "x", 1 - 1e-11), ("c", "y", 1e-11)], "ctx string, token string, p double")
     assert lm.nucleus(p, 1.0).count() == 2 and lm.nucleus_grid(p, (1.0,), (1.0,)).first()["kept"] == 2
+
+
+def test_bayes_reads_whole_texts(spark):
+    rated = spark.createDataFrame([("good " * 9, 5), ("bad " * 9, 1), ("good " * 4096 + "rare", 5)], "text string, score int")
+    model = filtering.train_bayes(rated)
+    assert model.sizes[5] == 9 + 4097 and model.terms.filter("term = 'rare' and n5 = 1").count() == 1
+    even = filtering.train_bayes(rated.limit(2), classes=[1, 5])
+    long = spark.createDataFrame([(1, "bad " * 4100 + "good " * 5000), (2, "good " * 4100 + "bad " * 5000), (3, "good")], "doc_id long, text string")
+    for form in ({}, {"map_terms": 0}):
+        assert {r["doc_id"]: r["predicted"] for r in filtering.bayes_scores(long, even, **form).collect()} == {1: 5, 2: 1, 3: 5}
