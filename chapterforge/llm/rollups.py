@@ -106,14 +106,15 @@ def token_counts(docs: DataFrame, path: str | None = None, version: str = "word_
 
 
 def rollup(docs: DataFrame, path: str | None = None, version: str = "word_bpe_49k") -> DataFrame:
-    """The whole table through a ledger: all rows enter with estimates, exact counts revise them, empty documents
-    leave, and each commit is tried twice. The totals are those of exact counts over documents with tokens."""
+    """The whole table through a ledger: all rows enter with estimates, exact counts revise them, all rows enter once more
+    and the same rows leave, and each commit is tried twice. The totals are those of exact counts over all rows."""
     spark = docs.sparkSession
     counts = written(token_counts(docs, path, version), "token-counts")
     ledger = Ledger(spark, new_path(spark, "token-ledger"))
     for _ in range(2):
         ledger.commit("1-estimates", signed(counts.withColumn("n_tokens", F.col("estimate"))))
         ledger.commit("2-exact", revised(F.col("estimate"), F.col("n_tokens"), counts))
-        ledger.commit("3-empty", signed(counts.filter("n_tokens = 0"), -1))
+        ledger.commit("3-again", signed(counts))
+        ledger.commit("4-taken", signed(counts, -1))
     ledger.compact()
     return ledger.totals()
