@@ -115,3 +115,9 @@ def test_rollup_holds_empty_documents(spark):
     assert {(r["source"], r["lang"]): r["docs"] for r in held} == {("a", "en"): 2, ("b", "en"): 2, ("c", None): 1, (None, "de"): 1}
     tokens = {(r["source"], r["lang"]): r["tokens"] for r in held}
     assert tokens["a", "en"] == 2 and tokens["b", "en"] == 0 and tokens[None, "de"] == 0
+
+
+def test_loss_of_every_recipe(spark, data):
+    got = workloads.queries()["w9_recipe_loss"](spark, data).collect()
+    assert {(r["recipe"], r["mask"]) for r in got} == {(x, m) for x in curriculum.RECIPES if x != "base" for m in ("all", "output")}
+    assert len(got) == 12 and len({r["tokens"] for r in got if r["mask"] == "all"}) == 1 and all(r["mean_nll"] > 0 for r in got)
