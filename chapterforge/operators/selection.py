@@ -33,11 +33,16 @@ def sample_rows(rows: DataFrame, n: int = 3, seed: int = 0, table: str = "table_
     return rows.withColumn("nth", nth).filter(F.col("nth") <= n)
 
 
-def selection_from_schema(questions: DataFrame, catalog: DataFrame) -> DataFrame:
-    """questions: q_id, db, question, gold. All tables of the database are candidates, by schema alone."""
+def schemas(catalog: DataFrame) -> DataFrame:
+    """db, candidates (its tables), data (a line for each table with its columns and types)."""
     line = F.concat(F.col("table"), F.lit("("), F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("ordinal", F.concat_ws(" ", "column", "type").alias("c")))), lambda s: s["c"]), ", "), F.lit(")"))
     ddl = catalog.groupBy("db", "table").agg(line.alias("ddl"))
-    by_db = ddl.groupBy("db").agg(F.array_sort(F.collect_list("table")).alias("candidates"), F.array_join(F.array_sort(F.collect_list("ddl")), "\n").alias("data"))
+    return ddl.groupBy("db").agg(F.array_sort(F.collect_list("table")).alias("candidates"), F.array_join(F.array_sort(F.collect_list("ddl")), "\n").alias("data"))
+
+
+def selection_from_schema(questions: DataFrame, catalog: DataFrame) -> DataFrame:
+    """questions: q_id, db, question, gold. All tables of the database are candidates, by schema alone."""
+    by_db = schemas(catalog)
     out = questions.join(F.broadcast(by_db), "db")
     return out.withColumn("prompt", assemble(F.col("data"), F.col("question")))
 
@@ -50,6 +55,17 @@ def assemble(data, question, instruction: str = INSTRUCTION, order=("data", "ins
     return F.concat_ws("\n", *[parts[p] for p in order])
 
 
+SQL_INSTRUCTION = "Write one SQL query that answers the question, between <sql> and </sql>."
+
+
+def sql_examples(questions: DataFrame, catalog: DataFrame, knowledge: bool = True) -> DataFrame:
+    """questions: q_id, db, question, hint (null if there is none). Schema, instruction, with ``knowledge`` the hint, question;
+    no cell values."""
+    out = questions.join(F.broadcast(schemas(catalog)), "db")
+    hint = F.concat(F.lit("Knowledge: "), "hint") if knowledge else F.lit(None).cast("string")
+    return out.withColumn("prompt", F.concat_ws("\n", "data", F.lit(SQL_INSTRUCTION), hint, F.concat(F.lit("Question: "), "question")))
+
+
 def with_gold_policy(ranks: DataFrame, gold: DataFrame, policy: str, k: int = 10) -> DataFrame:
     """ranks: q_id, id, score, rank (k at most); gold: q_id, id. filter: questions whose gold is among them; force: where it is
     not, it takes the last place."""

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators import retrieval, selection
+from ..operators import measures, retrieval, selection
 from . import table, workload
 from .knowledge import tok
 
@@ -171,6 +171,15 @@ def w4_examples(spark, sf_dir):
     return out
 
 
+@workload(
+    _EXAMPLES
+    + f"""select policy, count(*) as questions, avg(len({tok("prompt")})) as avg_tokens, max(len({tok("prompt")}))::bigint as max_tokens, avg(n_candidates) as avg_candidates,
+    avg(has_gold) as avg_gold, count(*) filter (has_gold > 1) as several_gold from prompts group by 1"""
+)
+def w4_profile(spark, sf_dir):
+    return measures.input_profile(w4_examples(spark, sf_dir).withColumnRenamed("has_gold", "n_gold"), ["policy"])
+
+
 @workload(
     _LITERAL
     + """, tops as (select *, max(score) over (partition by q_id) as top, score - lead(score) over (partition by q_id order by rank) as gap from ranks),

@@ -72,6 +72,32 @@ def w3_profile(spark, sf_dir):
     return measures.input_profile(ex, ["dataset"])
 
 
+def _sql_prompts(spark, sf_dir, items) -> DataFrame:
+    """Text-to-SQL prompts of a set, with and without its hints."""
+    catalog = alignment.catalog_of(spark, "sales", {t: table(spark, sf_dir, t) for t in ALL}, alignment.SALES_KEYS)
+    asked = spark.createDataFrame([(q, "sales", question, hint) for q, question, hint, _ in items], "q_id string, db string, question string, hint string")
+    made = [selection.sql_examples(asked, catalog, knowledge).withColumn("knowledge", F.lit(knowledge)) for knowledge in (True, False)]
+    return made[0].unionByName(made[1]).select("q_id", "knowledge", count_tokens(F.col("prompt")).alias("n_in"), F.md5("prompt").alias("prompt_md5"))
+
+
+def _sql_prompts_sql(items) -> str:
+    quoted = lambda x: "null" if x is None else "'" + x.replace("'", "''") + "'"
+    asked = ", ".join(f"({', '.join(map(quoted, (q, question, hint)))})" for q, question, hint, _ in items)
+    return _W3 + f""", asked as (select * from (values {asked}) as t(q_id, question, hint) cross join (values (true), (false)) as k(knowledge)),
+    made as (select q_id, knowledge, concat_ws(chr(10), data, '{selection.SQL_INSTRUCTION}', case when knowledge then 'Knowledge: ' || hint end, 'Question: ' || question) as prompt from asked cross join shown)
+    select q_id, knowledge, len({tok("prompt")})::bigint as n_in, md5(prompt) as prompt_md5 from made"""
+
+
+@workload(_sql_prompts_sql(sqltask.EASY))
+def w6_examples(spark, sf_dir):
+    return _sql_prompts(spark, sf_dir, sqltask.EASY)
+
+
+@workload(_sql_prompts_sql(sqltask.HARD))
+def w7_examples(spark, sf_dir):
+    return _sql_prompts(spark, sf_dir, sqltask.HARD)
+
+
 KINDS = ("lines", "comma", "extra", "missing", "nonsense", "empty")
 
 

@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from chapterforge import workloads
-from chapterforge.operators import filtering, lm
+from chapterforge.operators import filtering, lm, selection
 from chapterforge.plans import curriculum
 
 words = lambda s: re.findall(r"[^\W_]+", s.lower())
@@ -121,3 +121,16 @@ def test_loss_of_every_recipe(spark, data):
     got = workloads.queries()["w9_recipe_loss"](spark, data).collect()
     assert {(r["recipe"], r["mask"]) for r in got} == {(x, m) for x in curriculum.RECIPES if x != "base" for m in ("all", "output")}
     assert len(got) == 12 and len({r["tokens"] for r in got if r["mask"] == "all"}) == 1 and all(r["mean_nll"] > 0 for r in got)
+
+
+def test_sql_prompts_with_and_without_knowledge(spark):
+    catalog = spark.createDataFrame([("d", "t", 1, "b", "int"), ("d", "t", 0, "a", "string")], "db string, table string, ordinal int, column string, type string")
+    asked = spark.createDataFrame([("x", "d", "How many?", "many: 3 or more"), ("y", "d", "Which?", None)], "q_id string, db string, question string, hint string")
+    for knowledge in (True, False):
+        got = {r["q_id"]: r["prompt"].split("\n") for r in selection.sql_examples(asked, catalog, knowledge).collect()}
+        assert got["x"] == ["t(a string, b int)", selection.SQL_INSTRUCTION, *["Knowledge: many: 3 or more"] * knowledge, "Question: How many?"]
+        assert got["y"] == ["t(a string, b int)", selection.SQL_INSTRUCTION, "Question: Which?"]
+
+
+def test_sql_prompts_and_profile_are_registered():
+    assert {"w4_profile", "w6_examples", "w7_examples"} <= set(workloads.queries())
