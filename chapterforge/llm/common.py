@@ -3,9 +3,13 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,13 +17,16 @@ _OWN_FOLDERS: list = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``; a temporary one only where that is unset."""
+    """The folder all executors share: ``spark.checkpoint.dir``. Where that is unset, a temporary one, and that only on a local
+    master, whose executors share the driver's disk; on a cluster an error says what to set."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     held = spark.sparkContext._jsc.sc().getCheckpointDir()
     if held.isDefined():
         return held.get().rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     folder = tempfile.mkdtemp(prefix="chapterforge-")
     spark.sparkContext.setCheckpointDir(folder)
     return spark.sparkContext._jsc.sc().getCheckpointDir().get().rstrip("/")
@@ -83,6 +90,27 @@ def rows_of(df: DataFrame, id_column: str = "doc_id", text_column: str = "text")
     )
 
 
-def arrow_batches(spark: SparkSession, rows: int = 512) -> None:
-    """Keep Arrow batches small enough for very long texts; a session setting that may change at any time."""
+def arrow_batches(spark: SparkSession, rows: int = 512, megabytes: int = 4) -> None:
+    """Keep Arrow batches small, by rows and by bytes, for very long texts; session settings that may change at any time."""
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(megabytes << 20))
+
+
+def frugal(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """A pass over batches that hands freed memory back to the system when it ends: Python workers live on after a task."""
+
+    def passed(batches: Iterator) -> Iterator:
+        try:
+            yield from run(batches)
+        finally:
+            hand_back()
+
+    return passed
+
+
+def hand_back() -> None:
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # only glibc has it
+    if trim:
+        trim(0)

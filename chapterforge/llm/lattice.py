@@ -26,7 +26,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_batches, fold, written
+from .common import arrow_batches, fold, frugal, written
 from .tokens import tokenizer_path
 
 HEAD = 100_000
@@ -207,7 +207,7 @@ def score_corpus(docs: DataFrame, path: str | None = None, held_fold: int = 1, h
                 train, rest = Counter(), set()
         yield out()
 
-    words = rows.select("held_out", "text").mapInArrow(tally, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
+    words = rows.select("held_out", "text").mapInArrow(frugal(tally), "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
     words = written(words, "words")
     ends = rows.filter("not held_out").count()
     total, kinds = words.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.expr("if(c > 0, 1, null)"))).first()
@@ -229,7 +229,7 @@ def score_corpus(docs: DataFrame, path: str | None = None, held_fold: int = 1, h
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "20000")
     log_p = start
     for _ in range(passes):
-        gathered = words.filter("c > 0").mapInArrow(expected(log_p), "piece long, n double").groupBy("piece").agg(F.sum("n").alias("n")).collect()  # a row a piece
+        gathered = words.filter("c > 0").mapInArrow(frugal(expected(log_p)), "piece long, n double").groupBy("piece").agg(F.sum("n").alias("n")).collect()  # a row a piece
         counts = np.where(np.isfinite(start), np.exp(start) * len(pieces) * 0.1, 0)
         for r in gathered:
             counts[r["piece"]] += r["n"]
@@ -245,7 +245,7 @@ def score_corpus(docs: DataFrame, path: str | None = None, held_fold: int = 1, h
             s = lattice.score([w.decode("utf-8", "surrogatepass") for w in batch.column(0).to_pylist()]) / LOG10 + math.log10(1 - p_end)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array((c > 0).astype("int64")), pa.array(np.log10((c + 0.5) / rare)), pa.array(s), batch.column(1)], ["word", "known", "base", "lp", "c"])
 
-    lexicon = written(words.mapInArrow(rate, "word binary, known long, base double, lp double, c long"), "lexicon")
+    lexicon = written(words.mapInArrow(frugal(rate), "word binary, known long, base double, lp double, c long"), "lexicon")
     top = lexicon.filter("c > 1").orderBy(F.desc("c"), "word").limit(head).select("word", "base", "lp").collect()  # head rows
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "512")
     frequent = spark.sparkContext.broadcast({r["word"]: (r["base"], r["lp"]) for r in top})
@@ -277,7 +277,7 @@ def score_corpus(docs: DataFrame, path: str | None = None, held_fold: int = 1, h
                 row += 1
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, kinds_of)], names)
 
-    parts = written(rows.mapInArrow(look_up, schema), "document-parts")
+    parts = written(rows.mapInArrow(frugal(look_up), schema), "document-parts")
     tail = parts.select("row", F.explode(F.arrays_zip("words", "times")).alias("x")).select("row", F.col("x.words").alias("word"), F.col("x.times").alias("k"))
     tail = tail.join(lexicon, "word").groupBy("row").agg(F.sum(F.col("k") * F.col("known")).alias("k1"), F.sum(F.col("k") * F.col("base")).alias("b1"), F.sum(F.col("k") * F.col("lp")).alias("s1"))
     none = F.lit(0)

@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_batches, rows_of, small, written
+from .common import arrow_batches, frugal, rows_of, small, written
 
 WORDS, THRESHOLD = 5, 0.8
 BANDS, ROWS = 24, 5
@@ -53,7 +53,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 class WordHashes(dict):
     """Word -> 64-bit hash, remembered for ``most`` words."""
 
-    most = 400_000
+    most = 150_000
 
     def __missing__(self, word: str) -> int:
         if len(self) >= self.most:
@@ -161,7 +161,7 @@ def signed_rows(rows: DataFrame) -> DataFrame:
                 ["doc_id", "text_key", "node", "short", "keys"],
             )
 
-    return rows.select("doc_id", "text", F.md5("text").alias("text_key")).mapInArrow(sign, "doc_id long, text_key string, node binary, short binary, keys array<long>")
+    return rows.select("doc_id", "text", F.md5("text").alias("text_key")).mapInArrow(frugal(sign), "doc_id long, text_key string, node binary, short binary, keys array<long>")
 
 
 def multisets(rows: DataFrame) -> DataFrame:
@@ -176,7 +176,7 @@ def multisets(rows: DataFrame) -> DataFrame:
             sets = [np.sort(what[a:b]).tobytes() for a, b in zip(ends[:-1], ends[1:])]
             yield pa.RecordBatch.from_arrays([pa.array(names, pa.binary()), pa.array(sets, pa.binary())], ["node", "grams"])
 
-    return rows.mapInArrow(lay, "node binary, grams binary")
+    return rows.mapInArrow(frugal(lay), "node binary, grams binary")
 
 
 def _paired(pairs: DataFrame, table: DataFrame, value: str) -> DataFrame:
@@ -195,7 +195,7 @@ def likely(pairs: DataFrame, nodes: DataFrame, threshold: float) -> DataFrame:
             a, b = (np.frombuffer(b"".join(batch.column(i).to_pylist()), dtype=np.uint8).reshape(-1, SIZE) for i in (2, 3))
             yield batch.select(["a", "b"]).filter(pa.array((a == b).sum(axis=1) >= least))
 
-    return _paired(pairs, nodes, "short").mapInArrow(compare, "a binary, b binary")
+    return _paired(pairs, nodes, "short").mapInArrow(frugal(compare), "a binary, b binary")
 
 
 def overlaps(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -210,7 +210,7 @@ def overlaps(pairs: DataFrame, sets: DataFrame) -> DataFrame:
                 out.append(both / max(len(x) + len(y) - both, 1))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.float64())], ["a", "b", "similarity"])
 
-    return _paired(pairs, sets, "grams").mapInArrow(compare, "a binary, b binary, similarity double")
+    return _paired(pairs, sets, "grams").mapInArrow(frugal(compare), "a binary, b binary, similarity double")
 
 
 def _least(threshold: float) -> int:

@@ -22,7 +22,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import arrow_batches, rows_of, written
+from .common import arrow_batches, frugal, rows_of, written
 from .tokens import WordIds, tokenizer_path
 
 CAPACITY, END_ID = 4096, 1
@@ -95,139 +95,176 @@ def fewest(histogram: dict[int, int], capacity: int = CAPACITY) -> int:
     n = np.zeros(capacity + 1, dtype=np.int64)
     for length, times in histogram.items():
         n[length] = times
-    count, total = np.cumsum(n), np.cumsum(n * np.arange(capacity + 1))
-    best = -(-int(total[-1]) // capacity)
-    for t in range(0, capacity // 2 + 1):
-        huge = int(count[-1] - count[capacity - t])
-        large = int(count[capacity - t] - count[capacity // 2])
-        large_sum = int(total[capacity - t] - total[capacity // 2])
-        small_sum = int(total[capacity // 2] - (total[t - 1] if t else 0))
-        best = max(best, huge + large + max(0, -(-(small_sum - (large * capacity - large_sum)) // capacity)))
-    return best
-
+    return _least_sequences(n, capacity)
 
-def _fillings(room: int, lengths: np.ndarray, counts: np.ndarray, most: int) -> list[tuple[int, tuple[int, ...]]]:
-    """Undominated fillings of ``room`` as (waste, lengths), best first. lengths: ascending, those still left.
 
-    One piece that fills the room exactly dominates all else. A set with less in it than the best single piece
-    is dominated by that piece, and a set of three with less than the best pair by that pair.
+def _least_sequences(n: np.ndarray, capacity: int) -> int:
+    """``fewest`` of counts by length, for all thresholds at once."""
+    count, total = np.cumsum(n), np.cumsum(n * np.arange(capacity + 1))
+    t = np.arange(capacity // 2 + 1)
+    huge, middle = count[-1] - count[capacity - t], capacity // 2
+    large, large_sum = count[capacity - t] - count[middle], total[capacity - t] - total[middle]
+    small_sum = total[middle] - np.concatenate([[0], total])[t]
+    more = -((large * capacity - large_sum - small_sum) // capacity)
+    return max(-(-int(total[-1]) // capacity), int((huge + large + np.maximum(more, 0)).max()))
+
+
+def _spread(bits: int, least: int, most: int, inside: int) -> int:
+    """Bits moved up by each of least..most places: what sums of ``bits`` reach with that much added."""
+    if most < least:
+        return 0
+    out, wide, goal = bits << least, 1, most - least + 1
+    while wide < goal:
+        step = min(wide, goal - wide)
+        out |= out << step
+        wide += step
+    return out & inside
+
+
+def _dominated(filling: tuple[int, ...], slack: int, spare: int, inside: int) -> bool:
+    """Whether a spare length takes the place of some of the filling's lengths and fills no less: one of a larger
+    length for one, or one for several that together are at most as long, in both cases with at most ``slack`` more."""
+    one, several, sums = 0, 0, 1  # sums of one length, of several, of any number
+    for x in filling:
+        several |= ((sums & ~1) << x) & inside
+        one |= 1 << x
+        sums |= sums << x
+    return bool(spare & (_spread(one, 1, slack, inside) | _spread(several, 0, slack, inside)))
+
+
+def fillings(room: int, lengths: list[int], counts: list[int], waste: int) -> Iterator[tuple[int, tuple[int, ...]]]:
+    """All undominated fillings of ``room`` that waste at most ``waste``, as (waste, lengths), those of least waste first."""
+    return ((slack, found) for slack, found, dominated in _looked_at(room, lengths, counts, waste) if not dominated)
+
+
+def _looked_at(room: int, lengths: list[int], counts: list[int], waste: int) -> Iterator[tuple[int, tuple[int, ...], bool]]:
+    """All fillings of at most this waste, and whether each is dominated.
+
+    lengths: ascending, with how many of each are left. Which sums the lengths up to each can reach is known
+    beforehand, as bits, so the search for a sum never goes where nothing is. Any number of lengths may go in.
     """
-    fit = int(np.searchsorted(lengths, room, "right"))
-    if not fit:
-        return [(room, ())]
-    pool, have = lengths[:fit], counts[:fit]
-    one = int(pool[-1])
-    found = [(room - one, (one,))]
-    if one == room:
-        return found
-
-    def pairs(space: int, taken: int = 0, most: int = most) -> list[tuple[int, tuple[int, ...]]]:
-        """Best partner for each first piece."""
-        top = int(np.searchsorted(pool, space, "right"))
-        if not top:
-            return []
-        a = pool[:top]
-        at = np.minimum(np.searchsorted(pool, space - a, "right") - 1, np.arange(top))
-        # equal pieces need as many in stock
-        own = have[:top] - (a == taken)
-        bad = (at == np.arange(top)) & (own < 2)
-        at = np.where(bad, at - 1, at)
-        ok = (at >= 0) & (own > 0) & (have[np.maximum(at, 0)] - (pool[np.maximum(at, 0)] == taken) > 0)
-        sums = np.where(ok, a + pool[np.maximum(at, 0)], -1)
-        order = [int(np.argmax(sums))] if most == 1 else np.lexsort((-np.arange(top), -sums))[:most]
-        return [(space - int(sums[i]), (int(a[i]), int(pool[at[i]]))) for i in order if sums[i] > 0]
-
-    two = [x for x in pairs(room) if x[0] < found[0][0]]
-    found += two
-    least = min(x[0] for x in found)
-    if least:
-        for i in range(fit - 1, max(-1, fit - 1 - 16), -1):
-            first = int(pool[i])
-            for waste, rest in pairs(room - first, first, 1):
-                if waste < least and Counter((first, *rest))[first] <= int(have[i]):
-                    found.append((waste, tuple(sorted((first, *rest), reverse=True))))
-                    least = waste
-            if not least:
-                break
-    found = [x for x in found if all(n <= int(have[np.searchsorted(pool, p)]) for p, n in Counter(x[1]).items())]
-    return sorted(found, key=lambda x: (x[0], tuple(-p for p in x[1])))[:most]
-
-
-def completion_plan(histogram: dict[int, int], capacity: int = CAPACITY, branch: int = 3, budget: int | None = None) -> Plan:
-    """Bin completion: take the longest piece left, enumerate undominated fillings of its sequence, search depth
-    first; a branch ends when its waste so far passes what the incumbent allows. The incumbent starts as the
-    best-fit-decreasing plan. ``budget`` bounds the nodes visited (by default two for each distinct length and
-    500 more); the search ends earlier at the lower bound. The result is never worse than best fit.
+    inside = (1 << (room + 1)) - 1
+    held = [(x, min(n, room // x)) for x, n in zip(lengths, counts) if x <= room and n > 0]
+    spare_of = {x: n for x, n in zip(lengths, counts) if x <= room and n > 0}
+    reach = [1]  # by the number of lengths that may be used
+    for x, n in held:
+        bits, step = reach[-1], 1
+        while n:  # binary parts of the count
+            part = min(step, n)
+            bits |= (bits << (part * x)) & inside
+            n, step = n - part, step * 2
+        reach.append(bits)
+
+    def exactly(most: int, goal: int) -> Iterator[tuple[int, ...]]:
+        """Multisets of the first ``most`` lengths with this sum, longest lengths first."""
+        if not goal:
+            yield ()
+            return
+        for i in range(most, 0, -1):
+            if not reach[i] >> goal & 1:
+                return
+            x, n = held[i - 1]
+            for k in range(min(n, goal // x), 0, -1):
+                if reach[i - 1] >> (goal - k * x) & 1:
+                    for rest in exactly(i - 1, goal - k * x):
+                        yield (x,) * k + rest
+
+    for slack in range(min(waste, room) + 1):
+        if not reach[-1] >> (room - slack) & 1:
+            continue
+        for found in exactly(len(held), room - slack):
+            used, spare = Counter(found), 0
+            for x, n in spare_of.items():
+                if n > used[x]:
+                    spare |= 1 << x
+            yield slack, found, _dominated(found, slack, spare, inside)
+
+
+def completion_plan(histogram: dict[int, int], capacity: int = CAPACITY, budget: int | None = None, report: dict | None = None) -> Plan:
+    """Bin completion: take the longest piece left, enumerate the undominated fillings of its sequence by rising waste, search
+    depth first. The incumbent starts as the best-fit-decreasing plan; a branch ends when its waste, or the lower bound of what
+    is left, leaves no room below the incumbent. A filling is used as often as pieces allow, then once less, and so on
+    down to once; with what follows, fillings already tried around the same longest piece aren't tried again.
+
+    No filling is left out, so where the search ends by itself the plan has the fewest sequences. ``budget`` bounds the nodes
+    it visits (by default two for each distinct length and 1,000 more) and 50 times that the fillings it looks at; beyond it the best
+    plan so far holds, never worse than best fit. ``report`` gets nodes, sequences, bound (a lower one) and whether the plan is proven (minimal).
     """
     best = best_fit_plan(histogram, capacity)
-    sequences = sum(times for _, times in best)
-    bound, total = fewest(histogram, capacity), sum(k * v for k, v in histogram.items())
-    budget = 2 * len(histogram) + 500 if budget is None else budget
-    lengths = np.array(sorted(histogram), dtype=np.int64)
-    counts = np.array([histogram[int(x)] for x in lengths], dtype=np.int64)
-    path: list[tuple[tuple[int, ...], int, list, int]] = []  # items, times, fillings left, waste before
-    waste, nodes, used = 0, 0, 0
-
-    def fillings() -> list:
-        """Fillings around the longest piece left, the best last. Their room is filled further, up to the first without waste."""
-        live = np.flatnonzero(counts)
-        longest, stock = int(lengths[live[-1]]), counts.copy()
-        stock[live[-1]] -= 1
-        rest = live[stock[live] > 0]
-        out = []
-        for w, f in _fillings(capacity - longest, lengths[rest], stock[rest], branch):
-            out.append(_filled(w, (longest, *f), lengths, counts))
-            if not out[-1][0]:
-                break
-        return sorted(out, key=lambda x: -x[0])
-
-    def take(items: tuple[int, ...], sign: int, times: int) -> None:
-        for p, n in Counter(items).items():
-            counts[np.searchsorted(lengths, p)] += sign * n * times
-
-    options = fillings() if counts.any() else []
-    while nodes < budget and sequences > bound:
-        if options:
-            nodes += 1
-            w, items = options.pop()
-            times = min(int(counts[np.searchsorted(lengths, p)]) // n for p, n in Counter(items).items())
-            # with this waste, at best so many sequences are needed
-            if -(-(total + waste + w * times) // capacity) >= sequences and (waste + w * times):
-                times = max(0, ((sequences - 1) * capacity - total - waste) // w) if w else times
-                if not times:
-                    continue
-            take(items, -1, times)
-            path.append((items, times, options, waste))
-            waste, used = waste + w * times, used + times
-            if not counts.any():
-                if used < sequences:
-                    best, sequences = [(i, t) for i, t, _, _ in path], used
-                options = []
+    sequences, bound = sum(times for _, times in best), fewest(histogram, capacity)
+    total = sum(k * v for k, v in histogram.items())
+    budget = 2 * len(histogram) + 1000 if budget is None else budget
+    left = np.zeros(capacity + 1, dtype=np.int64)
+    for length, n in histogram.items():
+        left[length] = n
+    # a level: longest piece, its fillings still to come, those tried, the current one, how often, waste before
+    levels: list[dict] = []
+    nodes, looked, used, waste, ended = 0, 0, 0, 0, False
+
+    def allowed() -> int:
+        """Waste that a plan of one sequence less than the incumbent may have."""
+        return (sequences - 1) * capacity - total
+
+    def move(items: tuple[int, ...], by: int) -> None:
+        for x, n in Counter(items).items():
+            left[x] += by * n
+
+    def descend() -> None:
+        live = np.flatnonzero(left)
+        longest = int(live[-1])
+        over = levels[-1] if levels else None
+        tried = {*over["tried"], over["items"]} if over and over["longest"] == longest else set()
+        rest = left[live].tolist()
+        rest[-1] -= 1
+        levels.append({"longest": longest, "coming": _looked_at(capacity - longest, live.tolist(), rest, allowed() - waste), "tried": tried, "items": None, "times": 0, "waste": 0})
+
+    if sequences > bound and histogram:
+        descend()
+    else:
+        ended = True
+    while levels and sequences > bound and nodes < budget and looked < 50 * budget:
+        at = levels[-1]
+        if at["times"]:  # back from below: the same filling once less, then the next one
+            move(at["items"], at["times"])
+            used, waste = used - at["times"], waste - at["times"] * at["waste"]
+            at["times"] -= 1
+        if not at["times"]:
+            if at["items"] is not None:
+                at["tried"].add(at["items"])
+                at["items"] = None
+            for slack, filling, dominated in at["coming"]:
+                looked += 1
+                items = (at["longest"], *filling)
+                if not dominated and items not in at["tried"]:
+                    at["items"], at["waste"] = items, slack
+                    at["times"] = min(int(left[x]) // n for x, n in Counter(items).items())
+                    break
+                if looked >= 50 * budget:
+                    break
             else:
-                options = fillings()
-        elif path:
-            items, times, options, waste = path.pop()
-            take(items, 1, times)
-            used -= times
-        else:
-            break
+                levels.pop()
+                continue
+            if at["items"] is None:
+                break
+        room = allowed() - waste
+        if at["waste"]:
+            at["times"] = min(at["times"], room // at["waste"])
+        if room < 0 or at["times"] <= 0:
+            levels.pop()  # fillings come by rising waste: the others waste no less
+            continue
+        nodes += 1
+        move(at["items"], -at["times"])
+        used, waste = used + at["times"], waste + at["times"] * at["waste"]
+        if not left.any():
+            if used < sequences:
+                best, sequences = [(x["items"], x["times"]) for x in levels], used
+        elif used + _least_sequences(left, capacity) < sequences:
+            descend()
+    if report is not None:
+        report.update(nodes=nodes, sequences=sequences, bound=bound, proven=ended or not levels or sequences <= bound)
     return best
 
 
-def _filled(waste: int, items: tuple[int, ...], lengths: np.ndarray, counts: np.ndarray) -> tuple[int, tuple[int, ...]]:
-    """``items`` with the room they leave filled by the best of the rest, until nothing fits."""
-    while waste and waste >= int(lengths[0]):
-        left = counts.copy()
-        for p, n in Counter(items).items():
-            left[np.searchsorted(lengths, p)] -= n
-        live = left > 0
-        more = _fillings(waste, lengths[live], left[live], 1) if live.any() else []
-        if not more or not more[0][1]:
-            break
-        waste, items = more[0][0], items + more[0][1]
-    return waste, items
-
-
 # ---- pieces -----------------------------------------------------------------------------------------------
 
 
@@ -244,7 +281,7 @@ def piece_table(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: in
         words, part, seen = WordIds.shared(path), TaskContext.get().partitionId(), Counter()
         for batch in batches:
             out = [[] for _ in names]
-            for doc_id, ids in zip(batch.column(0).to_pylist(), words.batch(batch.column(1).to_pylist())):
+            for doc_id, ids in zip(batch.column(0).to_pylist(), words.each(batch.column(1).to_pylist())):
                 ids += end
                 for k, at in enumerate(range(0, len(ids), step)):
                     piece = ids[at : at + step]
@@ -258,7 +295,7 @@ def piece_table(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: in
     kinds = {"long": pa.int64(), "int": pa.int32(), "binary": pa.binary()}
     types = [kinds[x.split()[1]] for x in schema.split(", ")]
     arrow_batches(docs.sparkSession)
-    return rows_of(docs, text_column=text_column).mapInArrow(cut, schema)
+    return rows_of(docs, text_column=text_column).mapInArrow(frugal(cut), schema)
 
 
 def placed(pieces: DataFrame, planner, capacity: int = CAPACITY) -> DataFrame:

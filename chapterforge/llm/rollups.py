@@ -1,17 +1,25 @@
 """Token counts as rollups that deltas maintain.
 
-A ledger is a folder of committed batches. A batch holds signed changes of additive totals (documents, tokens) by
+A ledger is a folder with a log and data. A batch holds signed changes of additive totals (documents, tokens) by
 source, language and tokenizer version, already summed: an insert adds a document and its tokens, a delete takes
-them away, a revision adds the difference of two counts. A batch is staged, then renamed in one step to
-``batch=<id>``; committing an id that is there already changes nothing. ``totals`` sums batches; ``compact`` replaces
-all batches up to an id by one of their sums, under a new name that says which ids it holds.
+them away, a revision adds the difference of two counts.
+
+The log has one small file a version, 1, 2, 3, ..., made in one atomic step that fails if the version is there; what the log
+doesn't name doesn't count. A commit writes its data first, under a name of its own, then the next version with the
+batch's id. If another writer was first it reads the log again: an id that is there by now changes nothing, otherwise the version
+after is tried. A compaction is a version too: it names the sum of all versions up to one of them and the ids they hold.
+Totals are the sum of the last compaction and of all commits after what it covers, so a crash between any two steps leaves
+either the state before or the state after, and data that no version names. Compaction deletes nothing, so readers keep what
+they read; ``vacuum`` does, at a time of one's choice.
 
 Defined results: null texts count as empty, with no tokens; a null source or language is a group of its own; repeated rows count
-each; empty batches commit; other columns are not read.
+each; empty batches commit; keys whose changes cancel out have no row in totals; other columns are not read.
 """
 
 from __future__ import annotations
 
+import json
+import os
 import re
 import uuid
 from collections.abc import Iterator
@@ -20,61 +28,149 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_batches, new_path, written
+from .common import arrow_batches, frugal, new_path, written
 from .tokens import WordIds, tokenizer_path
 
 KEYS = ("source", "lang", "tokenizer")
 SCHEMA = "source string, lang string, tokenizer string, docs long, tokens long"
+#: file systems whose rename would replace its goal, where a hard link fails if the goal is there
+_LINKS = ("file",)
 
 
 class Ledger:
     def __init__(self, spark: SparkSession, path: str):
         self.spark, self.path = spark, path.rstrip("/")
-        jvm = spark.sparkContext._jvm
-        self._path = jvm.org.apache.hadoop.fs.Path
-        self._fs = self._path(self.path).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
-        self._fs.mkdirs(self._path(self.path))
+        self._jvm = spark.sparkContext._jvm
+        self._hadoop = spark.sparkContext._jsc.hadoopConfiguration()
+        self._path = self._jvm.org.apache.hadoop.fs.Path
+        self._fs = self._path(self.path).getFileSystem(self._hadoop)
+        for part in ("log", "data"):
+            self._fs.mkdirs(self._path(f"{self.path}/{part}"))
+
+    # -- the log --
+
+    def _names(self, part: str) -> list[str]:
+        return [s.getPath().getName() for s in self._fs.listStatus(self._path(f"{self.path}/{part}"))]
+
+    def _read(self, version: int) -> dict:
+        stream = self._fs.open(self._path(f"{self.path}/log/{version:012d}.json"))
+        try:
+            return json.loads(self._jvm.org.apache.commons.io.IOUtils.toString(stream, "UTF-8"))
+        finally:
+            stream.close()
+
+    def _log(self) -> list[dict]:
+        """The last compaction, if there is one, and what follows the versions that it covers."""
+        versions = sorted((int(n[:-5]) for n in self._names("log") if re.fullmatch(r"\d{12}\.json", n)), reverse=True)
+        found, covered = [], 0
+        for v in versions:
+            if v <= covered:
+                break
+            entry = self._read(v) | {"version": v}
+            if "covers" not in entry:
+                found.append(entry)
+            elif not covered:
+                covered = entry["covers"]
+                found.append(entry)
+        return found[::-1]
+
+    def _publish(self, version: int, entry: dict) -> bool:
+        """Make this version, whole and at once; False if it is there."""
+        staged, goal = f"{self.path}/.staged-{uuid.uuid4().hex}", f"{self.path}/log/{version:012d}.json"
+        out = self._fs.create(self._path(staged), False)
+        out.write(json.dumps(entry).encode())
+        out.close()
+        try:
+            if self._fs.getScheme() in _LINKS:
+                local = lambda p: str(self._path(p).toUri().getPath())
+                os.link(local(staged), local(goal))
+            else:
+                kinds = getattr(self._jvm.org.apache.hadoop.fs, "Options$Rename")
+                none = self.spark.sparkContext._gateway.new_array(kinds, 1)
+                none[0] = kinds.NONE
+                self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(self._path(goal).toUri(), self._hadoop).rename(self._path(staged), self._path(goal), none)
+            return True
+        except Exception:
+            if not self._fs.exists(self._path(goal)):
+                raise
+            return False
+        finally:
+            self._fs.delete(self._path(staged), False)
+
+    @staticmethod
+    def _ids(log: list[dict]) -> set[str]:
+        return {i for e in log for i in ([e["id"]] if "id" in e else e["ids"])}
 
     def batches(self) -> list[str]:
-        return sorted(s.getPath().getName().removeprefix("batch=") for s in self._fs.listStatus(self._path(self.path)) if s.getPath().getName().startswith("batch="))
+        """Ids of all committed batches."""
+        return sorted(self._ids(self._log()))
 
     def committed(self, batch_id: str) -> bool:
-        return any(batch_id in b.split("+") for b in self.batches())
+        return batch_id in self._ids(self._log())
+
+    # -- batches --
+
+    def _store(self, rows: DataFrame) -> str:
+        name = uuid.uuid4().hex
+        rows.write.parquet(f"{self.path}/data/{name}")  # a row for each key
+        return name
 
     def commit(self, batch_id: str, changes: DataFrame) -> bool:
         """changes: the keys, docs and tokens, signed. False if this id was committed before."""
-        if not re.fullmatch(r"[A-Za-z0-9_.-]+", batch_id):
-            raise ValueError(f"not a batch id: {batch_id!r}")
+        if not batch_id:
+            raise ValueError("a batch needs an id")
         if self.committed(batch_id):
             return False
-        summed = changes.groupBy(*KEYS).agg(F.sum("docs").alias("docs"), F.sum("tokens").alias("tokens"))
-        return self._publish(batch_id, summed.filter("docs <> 0 or tokens <> 0"))
-
-    def _publish(self, name: str, rows: DataFrame) -> bool:
-        staged = f"{self.path}/.staged-{uuid.uuid4().hex}"
-        rows.coalesce(1).write.parquet(staged)  # a row for each key
-        if self._fs.exists(self._path(f"{self.path}/batch={name}")) or not self._fs.rename(self._path(staged), self._path(f"{self.path}/batch={name}")):
-            self._fs.delete(self._path(staged), True)  # another writer was first
-            return False
-        return True
-
-    def changes(self) -> DataFrame:
-        found = self.batches()
-        if not found:
+        summed = changes.groupBy(*KEYS).agg(F.sum("docs").cast("long").alias("docs"), F.sum("tokens").cast("long").alias("tokens"))
+        data = self._store(summed.filter("docs <> 0 or tokens <> 0"))
+        while True:
+            log = self._log()
+            if batch_id in self._ids(log):
+                return False  # another writer was first; vacuum takes the data away
+            if self._publish(max((e["version"] for e in log), default=0) + 1, {"id": batch_id, "data": data}):
+                return True
+
+    def _changes(self, log: list[dict]) -> DataFrame:
+        if not log:
             return self.spark.createDataFrame([], SCHEMA)
-        return self.spark.read.schema(SCHEMA).parquet(*[f"{self.path}/batch={b}" for b in found])
+        return self.spark.read.schema(SCHEMA).parquet(*[f"{self.path}/data/{e['data']}" for e in log])
+
+    def _totals(self, log: list[dict]) -> DataFrame:
+        summed = self._changes(log).groupBy(*KEYS).agg(F.sum("docs").alias("docs"), F.sum("tokens").alias("tokens"))
+        return summed.filter("docs <> 0 or tokens <> 0")
 
     def totals(self) -> DataFrame:
         """Totals by source, language and tokenizer; keys whose documents are all gone have no row."""
-        summed = self.changes().groupBy(*KEYS).agg(F.sum("docs").alias("docs"), F.sum("tokens").alias("tokens"))
-        return summed.filter("docs <> 0 or tokens <> 0")
+        return self._totals(self._log())
 
-    def compact(self) -> None:
-        """One batch in place of all; its name keeps their ids, so they stay committed."""
-        old = self.batches()
-        if len(old) > 1 and self._publish("+".join(sorted(x for b in old for x in b.split("+"))), self.totals()):
-            for b in old:
-                self._fs.delete(self._path(f"{self.path}/batch={b}"), True)
+    def compact(self) -> bool:
+        """One batch in place of all that are committed by now. False if there is nothing to sum, or another compaction came first."""
+        log = self._log()
+        if len(log) < 2:
+            return False
+        entry = {"covers": max(e["version"] for e in log), "ids": sorted(self._ids(log)), "data": self._store(self._totals(log))}
+        while True:
+            now = self._log()
+            if any("covers" in e and e not in log for e in now):
+                return False
+            if self._publish(max(e["version"] for e in now) + 1, entry):
+                return True
+
+    def vacuum(self) -> int:
+        """Delete what the log's last compaction covers, data that no version names, and staged leftovers; the number of data folders.
+
+        For times when no writer is between its two steps and no reader works with totals from before the last compaction.
+        """
+        log = self._log()
+        covered, needed = max((e.get("covers", 0) for e in log), default=0), {e["data"] for e in log}
+        unused = [n for n in self._names("data") if n not in needed]
+        for path in (
+            *[f"log/{n}" for n in self._names("log") if re.fullmatch(r"\d{12}\.json", n) and int(n[:-5]) <= covered],
+            *[f"data/{n}" for n in unused],
+            *[s.getPath().getName() for s in self._fs.listStatus(self._path(self.path)) if s.getPath().getName().startswith(".staged-")],
+        ):
+            self._fs.delete(self._path(f"{self.path}/{path}"), True)
+        return len(unused)
 
 
 def signed(counts: DataFrame, sign: int = 1) -> DataFrame:
@@ -99,10 +195,10 @@ def token_counts(docs: DataFrame, path: str | None = None, version: str = "word_
     def count(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         words = WordIds.shared(path)
         for texts in batches:
-            yield pd.Series([len(ids) // 4 for ids in words.batch(texts.tolist())], dtype="int64")
+            yield pd.Series([len(ids) // 4 for ids in words.each(texts.tolist())], dtype="int64")
 
     estimate = F.ceil(F.length("text") / 4).cast("long").alias("estimate")
-    return rows.select("doc_id", "source", "lang", F.lit(version).alias("tokenizer"), estimate, F.pandas_udf(count, "long", F.PandasUDFType.SCALAR_ITER)("text").alias("n_tokens"))
+    return rows.select("doc_id", "source", "lang", F.lit(version).alias("tokenizer"), estimate, F.pandas_udf(frugal(count), "long", F.PandasUDFType.SCALAR_ITER)("text").alias("n_tokens"))
 
 
 def rollup(docs: DataFrame, path: str | None = None, version: str = "word_bpe_49k") -> DataFrame:

@@ -23,7 +23,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_batches, rows_of, written
+from .common import arrow_batches, frugal, rows_of, written
 
 # fixed values: the base patterns, their kinds in order, and how long a match must be
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII | re.IGNORECASE)
@@ -159,7 +159,7 @@ class SecretModel:
         s = symbols(text)
         known = self.memo.get(s)
         if known is None:
-            if len(self.memo) > 100_000:
+            if len(self.memo) > 50_000:
                 self.memo.clear()
             plain = self.ordinary.rate(s) if self.ordinary else -math.inf
             known = self.memo[s] = any(r >= least and r > plain for m, least in self.formats for r in [m.rate(s)])
@@ -192,7 +192,7 @@ def learn_formats(rows: DataFrame, per_kind: int = 500) -> SecretModel:
                     found.add(("ordinary", m[0]))
             yield pd.DataFrame(sorted(found), columns=["kind", "text"])
 
-    found = written(rows.select("text").mapInPandas(harvest, "kind string, text string").distinct(), "credentials")
+    found = written(rows.select("text").mapInPandas(frugal(harvest), "kind string, text string").distinct(), "credentials")
     kinds = {k: [r["text"] for r in found.filter(F.col("kind") == k).orderBy(F.xxhash64("text"), "text").limit(per_kind).collect()] for k in (*KINDS[:3], "ordinary")}
     return SecretModel({k: v for k, v in kinds.items() if k != "ordinary"}, kinds["ordinary"])
 
@@ -214,7 +214,7 @@ def scan_secrets(docs: DataFrame, per_kind: int = 500, text_column: str = "text"
             done["doc_id"] = done["doc_id"].astype("Int64")
             yield done
 
-    return rows.mapInPandas(scan, "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string, n_learned long")
+    return rows.mapInPandas(frugal(scan), "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string, n_learned long")
 
 
 def masked(text: str, spans: list, mark: str = "[SECRET]") -> str:
@@ -236,5 +236,5 @@ def mask_secrets(docs: DataFrame, per_kind: int = 500, mark: str = "[SECRET]") -
         for texts in batches:
             yield pd.Series([None if t is None else masked(t, held.value.spans(t)[1], mark) for t in texts], dtype=object)
 
-    out = docs.withColumn("text", F.pandas_udf(mask, "string", F.PandasUDFType.SCALAR_ITER)("text"))
+    out = docs.withColumn("text", F.pandas_udf(frugal(mask), "string", F.PandasUDFType.SCALAR_ITER)("text"))
     return out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else out

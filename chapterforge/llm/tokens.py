@@ -4,8 +4,10 @@ from __future__ import annotations
 
 import re
 from array import array
+from collections.abc import Iterator
 
 _NOT_BY_WORD = re.compile("[\x1c-\x1f]")
+_SPACE = re.compile(r"\s")
 # Latin letters that no normal form changes, then marks other than the apostrophe
 _LETTERS_MARKS = re.compile(r"([a-z\xdf-\xf6\xf8-\xff]+)([!-&(-/:-@\[-`{-~]*)").fullmatch
 
@@ -22,18 +24,25 @@ class WordIds:
     """Ids of whole texts as little-endian unsigned 32-bit bytes.
 
     For tokenizers whose own split never joins characters over white space: ids of a text are those of its
-    white-space words, one after the other. Words come from a dictionary of at most ``most`` entries; new
-    ones go through the tokenizer itself, many at a time. Texts with the four separator controls, which
+    white-space words, one after the other. Words come from a dictionary that is held to about ``most_bytes``; new
+    ones go through the tokenizer itself, many at a time. Texts are taken ``stretch`` characters at a time, so that what is
+    held besides the dictionary doesn't grow with a text or a batch. Texts with the four separator controls, which
     Python takes for white space and the tokenizer doesn't, go through it whole. ``split_marks`` is for
     tokenizers that lower-case and part letters from marks: a new word then shares its letters' entry.
     """
 
-    def __init__(self, path: str, most: int = 1_000_000, split_marks: bool = True):
+    #: bytes of an entry besides its word and ids: two objects and their place in the dictionary
+    ENTRY = 170
+    #: longer words are not kept
+    KEPT = 256
+
+    def __init__(self, path: str, most_bytes: int = 48 << 20, split_marks: bool = True, stretch: int = 1 << 18):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.most, self.split_marks = most, split_marks
+        self.most_bytes, self.split_marks, self.stretch = most_bytes, split_marks, stretch
         self.known: dict[str, bytes] = {}
+        self.held = 0
 
     @classmethod
     def shared(cls, path: str) -> WordIds:
@@ -45,6 +54,10 @@ class WordIds:
     def _whole(self, text: str) -> bytes:
         return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
 
+    def _keep(self, word: str, ids: bytes) -> None:
+        self.known[word] = ids
+        self.held += self.ENTRY + len(word) + len(ids)
+
     def _encode(self, words: list[str]) -> None:
         for at in range(0, len(words), 2000):
             some = words[at : at + 2000]
@@ -53,7 +66,7 @@ class WordIds:
             for i, w in zip(found.ids, found.word_ids):
                 runs[w].append(i)
             for w, run in zip(some, runs):
-                self.known[w] = run.tobytes()
+                self._keep(w, run.tobytes())
 
     def _learn(self, words: set[str]) -> None:
         known, parts, whole = self.known, {}, []
@@ -64,22 +77,65 @@ class WordIds:
                 whole.append(w)
         self._encode(sorted({p for two in parts.values() for p in two if p and p not in known}.union(whole)))
         for w, (letters, marks) in parts.items():
-            known[w] = known[letters] + known[marks] if marks else known[letters]
-
-    def batch(self, texts: list[str]) -> list[bytes]:
-        known = self.known
-        split = [None if _NOT_BY_WORD.search(t) else t.split() for t in texts]
-        fresh = set().union(*(s for s in split if s)).difference(known)
-        if len(known) + 2 * len(fresh) > self.most:
-            if len(texts) > 1:  # half the texts at a time keeps to the bound
-                half = len(texts) // 2
-                return self.batch(texts[:half]) + self.batch(texts[half:])
-            for w in list(known)[self.most // 2 :]:  # by Zipf's law the earliest words are the frequent ones
-                del known[w]
-            fresh = set(split[0] or ()).difference(known)
-            if 4 * len(fresh) > self.most:
-                return [self._whole(texts[0])]
+            if w not in known:
+                self._keep(w, known[letters] + known[marks] if marks else known[letters])
+
+    def _shrink(self, fresh: set[str]) -> None:
+        """By Zipf's law the earliest words are the frequent ones: they stay, as far as they take half the bytes."""
+        for w in fresh:
+            if len(w) > self.KEPT and w in self.known:
+                self.held -= self.ENTRY + len(w) + len(self.known.pop(w))
+        if self.held > self.most_bytes:
+            kept, self.held = {}, 0
+            for w, ids in self.known.items():
+                size = self.ENTRY + len(w) + len(ids)
+                if self.held + size > self.most_bytes // 2:
+                    break
+                kept[w] = ids
+                self.held += size
+            self.known = kept
+
+    def _joined(self, texts: list[str]) -> list[bytes]:
+        split = [t.split() for t in texts]
+        fresh = set().union(*split).difference(self.known)
         if fresh:
             self._learn(fresh)
-        get = known.__getitem__
-        return [self._whole(t) if s is None else b"".join(map(get, s)) for t, s in zip(texts, split)]
+        get = self.known.__getitem__
+        out = [b"".join(map(get, s)) for s in split]
+        if fresh:
+            self._shrink(fresh)
+        return out
+
+    def _stretches(self, text: str) -> Iterator[str]:
+        """The text in parts that begin and end between words."""
+        at = 0
+        while len(text) - at > self.stretch:
+            gap = _SPACE.search(text, at + self.stretch)
+            if gap is None:
+                break
+            yield text[at : gap.start()]
+            at = gap.start()
+        yield text[at:]
+
+    def each(self, texts: list[str]) -> Iterator[bytes]:
+        """Ids of one text after the other."""
+        few, size = [], 0
+        for t in texts:
+            if few and size + len(t) > self.stretch:
+                yield from self._joined(few)
+                few, size = [], 0
+            if _NOT_BY_WORD.search(t):
+                if few:
+                    yield from self._joined(few)
+                    few, size = [], 0
+                yield self._whole(t)
+            elif len(t) > self.stretch:
+                yield b"".join(self._joined([part])[0] for part in self._stretches(t))
+            else:
+                few.append(t)
+                size += len(t)
+        if few:
+            yield from self._joined(few)
+
+    def batch(self, texts: list[str]) -> list[bytes]:
+        return list(self.each(texts))

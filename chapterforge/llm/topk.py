@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import arrow_batches, rows_of, written
+from .common import arrow_batches, frugal, rows_of, written
 
 K1, B = 1.2, 0.75
 SHARD, BLOCK, TOGETHER, PLACES, DENSE = 8192, 2048, 256, 256, 512
@@ -36,7 +36,7 @@ MARKS = string.punctuation + "…«»“”„’‘¿¡"
 
 
 class TermHashes(dict):
-    most = 400_000
+    most = 150_000
 
     def __missing__(self, word: str) -> int:
         if len(self) >= self.most:
@@ -81,7 +81,7 @@ def index_rows(rows: DataFrame, shard: int = SHARD) -> DataFrame:
         if ids:
             yield out()
 
-    return rows.mapInArrow(build, "ids array<long>, lengths binary, terms binary, ends binary, places binary, tfs binary")
+    return rows.mapInArrow(frugal(build), "ids array<long>, lengths binary, terms binary, ends binary, places binary, tfs binary")
 
 
 class Shard:
@@ -167,7 +167,7 @@ def _looked_up(index: DataFrame, queries: list[tuple], floors: dict[int, float],
                 cols = list(zip(*out)) if out else [[], [], [], []]
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.float64()))], ["q", "query_id", "doc_id", "score"])
 
-    return index.mapInArrow(look, "q long, query_id long, doc_id long, score double")
+    return index.mapInArrow(frugal(look), "q long, query_id long, doc_id long, score double")
 
 
 def search_all(docs: DataFrame, queries: DataFrame, k: int = 10, block: int = BLOCK, text_column: str = "text") -> DataFrame:

@@ -25,7 +25,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_batches, fold, rows_of, written
+from .common import arrow_batches, fold, frugal, rows_of, written
 
 MARKS = string.punctuation + "…«»“”„’‘¿¡"
 SHARDS, PREFIXES, LEVELS = 8, (4, 5, 6), 3
@@ -53,7 +53,7 @@ def shard_of(entry: str) -> int:
 class Spotter:
     """Lexicon entries of a text and the number of words that carry one; remembers words, ``most`` at a time."""
 
-    def __init__(self, lexicon: list[str], most: int = 300_000):
+    def __init__(self, lexicon: list[str], most: int = 150_000):
         self.at, self.most, self.memo = {f: i for i, f in enumerate(lexicon)}, most, {}
         self.roots = {f.rpartition("#")[0] for f in lexicon}
         self.shards = [shard_of(f) for f in lexicon]
@@ -216,7 +216,7 @@ def induce_lexicon(texts: DataFrame, entries: int, least: int = 8) -> tuple[list
 
     sums = (
         texts.dropDuplicates(["text", "toxic"])
-        .mapInPandas(count, "f string, y int, n long")
+        .mapInPandas(frugal(count), "f string, y int, n long")
         .groupBy("f")
         .agg(F.sum(F.expr("if(y = 1, n, 0)")).alias("a"), F.sum(F.expr("if(y = 1, 0, n)")).alias("b"))
     )
@@ -249,7 +249,7 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, per_class: int = 6000, en
             found = [find(t) for t in pdf["text"]]
             yield pd.DataFrame({"doc_id": pdf["doc_id"].astype("Int64"), "entries": [e for e, _ in found], "pattern": [v for _, v in found]})
 
-    spotted = written(rows.mapInPandas(spot, "doc_id long, entries array<int>, pattern int"), "toxicity-votes")
+    spotted = written(rows.mapInPandas(frugal(spot), "doc_id long, entries array<int>, pattern int"), "toxicity-votes")
     held = spotted.select("doc_id", (fold() == 0).alias("held_out"), "entries", "pattern")
     if not lexicon:
         return held.select("doc_id", "held_out", F.lit(prior).alias("score"), F.lit(int(prior >= 0.5)).alias("predicted"), F.lit(prior).alias("weak_label"))
@@ -281,4 +281,4 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, per_class: int = 6000, en
             weak = model.posterior(bits(pdf["pattern"].to_numpy())) if len(pdf) else p
             yield pd.DataFrame({"doc_id": pdf["doc_id"].astype("Int64"), "held_out": pdf["held_out"], "score": p, "predicted": (p >= 0.5).astype("int32"), "weak_label": weak})
 
-    return held.mapInPandas(score, "doc_id long, held_out boolean, score double, predicted int, weak_label double")
+    return held.mapInPandas(frugal(score), "doc_id long, held_out boolean, score double, predicted int, weak_label double")
