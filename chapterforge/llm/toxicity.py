@@ -3,14 +3,16 @@
 1. Lexicon: words and word beginnings that mark toxic texts, from a bounded sample of labelled training rows
    (``per_class`` rows of each class, the first by a hash of their id; ``entries`` features at most).
 2. Voters: shards of the lexicon, and patterns. Their votes on *every* training-fold document are counted by pattern.
-3. Label model: EM over these counts, with the labelled sample held to its labels, estimates each voter's accuracy and, by a forest of class-conditional
-   dependencies, which voters are correlated; it gives P(toxic) of each pattern of votes.
-4. A linear classifier, trained on posterior labels (of the labelled sample and as many unlabelled rows), scores
-   every document.
+3. Label model: EM over these counts, started and anchored by the labelled sample, estimates each voter's accuracy and, by a forest of
+   class-conditional dependencies, which voters are correlated; it gives P(toxic) of each pattern of votes.
+4. A linear classifier over lexicon entries scores every document. Its targets are the label model's posteriors, of labelled rows
+   too: no row's own label is a target.
 
 Inputs of a score are the text's words alone. Defined results: a null or empty text gets the score of a text without
-any lexicon entry; rows that repeat an id are scored each; labels that repeat an id count as toxic if one of them is;
-without labelled rows of both classes every score is the share of toxic labels, or 0; an empty table gives no rows.
+any lexicon entry; a score of exactly 0.5 is predicted toxic; rows that repeat an id are scored each, and one of them (that of the
+first votes in order) stands for the id in training; labels that repeat an id count as toxic if one of them is; without labelled rows of
+both classes every score is the share of toxic labels, or 0; an empty table gives no rows; columns other than id and text are
+not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -28,10 +30,13 @@ from pyspark.sql import functions as F
 from .common import arrow_batches, fold, frugal, rows_of, written
 
 MARKS = string.punctuation + "…«»“”„’‘¿¡"
-SHARDS, PREFIXES, LEVELS = 8, (4, 5, 6), 3
-#: after the lexicon shards: at least two words with an entry; one in 100 words; shouting; no entry at all (votes clean)
-PATTERNS = ("several", "dense", "shouting", "none")
+SHARDS, PREFIXES, LEVELS, EARLY = 9, (4, 5, 6), 3, 20
+#: after the lexicon shards: at least two words with an entry; one in 100 words; entries of two shards; one among the first words;
+#: one exclamation mark in 20 words; two in a row; no entry at all (votes clean)
+PATTERNS = ("several", "dense", "roots", "early", "shouting", "repeated", "none")
 VOTERS = SHARDS + len(PATTERNS)
+#: weight of labelled documents against that of all others in the label model
+ANCHOR = 3.0
 
 
 def features_of(word: str) -> tuple[str, ...]:
@@ -71,13 +76,13 @@ class Spotter:
                 for f in found:
                     held[f] += n
         entries = sorted(self.at[e] for f, n in held.items() for e in levels(f, n) if e in self.at)
-        bits = 0
+        bits, n = 0, max(len(words), 1)
         for e in entries:
             bits |= 1 << self.shards[e]
-        bits |= (hits >= 2) << SHARDS
-        bits |= (hits * 100 >= max(len(words), 1)) << (SHARDS + 1)
-        bits |= (text.count("!") * 20 > max(len(words), 1)) << (SHARDS + 2)
-        return entries, bits | (not entries) << (SHARDS + 3)
+        votes = (hits >= 2, hits * 100 >= n, bits.bit_count() >= 2, hits > 0 and any(memo.get(w) for w in words[:EARLY]), text.count("!") * 20 > n, "!!" in text, not entries)
+        for k, vote in enumerate(votes):
+            bits |= vote << (SHARDS + k)
+        return entries, bits
 
 
 # ---- label model ------------------------------------------------------------------------------------------
@@ -89,11 +94,11 @@ class LabelModel:
     def __init__(self, prior: float):
         self.prior, self.parent, self.cpt = prior, np.full(VOTERS, -1), None
 
-    def fit(self, patterns: np.ndarray, counts: np.ndarray, known: np.ndarray, rounds: int = 40, least: float = 0.01) -> LabelModel:
+    def fit(self, patterns: np.ndarray, counts: np.ndarray, known: np.ndarray, rounds: int = 40, least: float = 0.01, anchor: float = ANCHOR) -> LabelModel:
         """patterns: votes as 0/1 rows; counts: how many unlabelled documents voted so; known: labelled ones, a row
-        for each class, weighted to the prior. Labelled documents keep their class and together weigh as much as
-        all others, which anchors the classes. Independent voters first, then the forest."""
-        self.known = known * (counts.sum() / max(known.sum(), 1e-12)) if counts.sum() else known
+        for each class, weighted to the prior. Labelled documents keep their class and together weigh ``anchor`` times as much as
+        all others, so that the classes keep their meaning. Independent voters first, then the forest."""
+        self.known = known * (anchor * counts.sum() / max(known.sum(), 1e-12)) if counts.sum() else known
         self.cpt = np.full((2, VOTERS, 2), 0.5)  # [class, voter, the parent's vote]
         self._update(patterns, np.zeros(len(counts)), counts * 0)
         self._em(patterns, counts, rounds)
@@ -254,9 +259,10 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, per_class: int = 6000, en
     if not lexicon:
         return held.select("doc_id", "held_out", F.lit(prior).alias("score"), F.lit(int(prior >= 0.5)).alias("predicted"), F.lit(prior).alias("weak_label"))
 
-    labelled = spotted.join(F.broadcast(sample), "doc_id").select("entries", "pattern", "toxic").toPandas()
+    # one row an id, so 2 x per_class rows at most
+    labelled = spotted.join(F.broadcast(sample), "doc_id").groupBy("doc_id").agg(F.min(F.struct("pattern", "entries", "toxic")).alias("x")).select("x.*").toPandas()
     free = held.filter("not held_out").join(F.broadcast(sample.select("doc_id")), "doc_id", "left_anti")
-    cast = {r["pattern"]: r["count"] for r in free.groupBy("pattern").count().collect()}  # 2^VOTERS rows at most
+    cast = {r["pattern"]: r["count"] for r in free.groupBy("pattern").count().collect()}  # 2^VOTERS rows at most, that is 65,536
     seen = np.array(sorted(set(cast) | set(labelled["pattern"])), dtype=np.int64)
     share = labelled["toxic"].mean()
     weigh = lambda y: np.where(y == 1, prior / max(share, 1e-9), (1 - prior) / max(1 - share, 1e-9))
@@ -266,12 +272,12 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, per_class: int = 6000, en
     bits = lambda p: (np.asarray(p, dtype=np.int64)[:, None] >> np.arange(VOTERS)) & 1
     model = LabelModel(prior).fit(bits(seen), np.array([cast.get(p, 0) for p in seen], dtype=float), known)
 
-    # a labelled row's posterior is its label; as many unlabelled rows, the first by a hash, get it from their votes
+    # the labelled rows and as many others, the first by a hash; targets of both are posteriors of their votes
     more = free.orderBy(F.xxhash64("doc_id"), "doc_id").limit(2 * per_class).select("entries", "pattern").toPandas()
     x = np.zeros((len(labelled) + len(more), len(lexicon)), dtype=np.float32)
     for i, e in enumerate([*labelled["entries"], *more["entries"]]):
         x[i, list(e)] = 1
-    target = np.concatenate([labelled["toxic"], model.posterior(bits(more["pattern"])) if len(more) else []])
+    target = model.posterior(bits([*labelled["pattern"], *more["pattern"]]))
     beta = linear_fit(x, target, np.concatenate([weigh(labelled["toxic"].to_numpy()), np.ones(len(more))]))
 
     def score(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
