@@ -2,13 +2,15 @@
 
 Grammar inference: for each kind, a prefix tree of a bounded sample of credentials (over classes of characters) is
 turned into a probabilistic automaton by merging states whose outgoing frequencies are compatible under a Hoeffding bound.
-Candidates are all runs of 16 or more credential characters with letters and digits. A candidate is a secret if
-an automaton gives it at least the mean log-probability per character that all but one in a hundred of the
-sample have, and more than an automaton of ordinary long words gives it.
+Candidates are all runs of 8 or more credential characters (without full stops and hyphens at their ends) that hold a letter and a digit
+and overlap no base span; letters alone are words, digits alone numbers. One more automaton learns what is ordinary, from the candidates of
+all texts. A candidate is a secret if a format's automaton gives it at least the mean log-probability per character that all but one in a
+hundred of the sample's held-out fifth have, and more than the ordinary one gives it. ``planted_report`` measures recall by format.
 
 Spans are in code points, end exclusive. Defined results: null and empty texts have none; a repeated row is scanned
-again; without credentials to learn from only the fixed patterns count; an empty table gives no rows; other columns
-are not read.
+again; kinds with fewer than 20 credentials have no automaton, and without any only the fixed patterns count; ties with the ordinary
+automaton are no secrets; texts of any length are scanned whole; an empty table gives no rows; columns other than id and text are not
+read by the scan, whatever their names, and are kept as they are by the mask.
 """
 
 from __future__ import annotations
@@ -32,9 +34,27 @@ HEX = re.compile(r"[0-9a-f]{32,}")
 KINDS = ("assign", "access", "hex", "learned")
 NAMES = ("passw", "secret", "token", "api")
 
-CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{16,}")
+CANDIDATE = re.compile(r"[A-Za-z0-9+/_=.-]{8,}")
 MIXED = re.compile(r"(?=.*[0-9])(?=.*[A-Za-z])")
-LONG_WORD = re.compile(r"[^\W\d_]{8,}")
+LEAST = 8
+
+
+def candidates(text: str, spans: list) -> list[tuple[int, int]]:
+    """(start, end) of the runs that overlap none of ``spans``, which are in order of their starts."""
+    out, k, latest = [], 0, 0
+    for m in CANDIDATE.finditer(text):
+        a, b = m.span()
+        while a < b and text[a] in ".-":
+            a += 1
+        while b > a and text[b - 1] in ".-":
+            b -= 1
+        if b - a < LEAST or not MIXED.match(text, a, b):
+            continue
+        while k < len(spans) and spans[k][0] < b:
+            latest, k = max(latest, spans[k][2]), k + 1
+        if latest <= a:
+            out.append((a, b))
+    return out
 
 
 def base_spans(text: str) -> list[tuple[int, int, int, str]]:
@@ -47,18 +67,12 @@ def base_spans(text: str) -> list[tuple[int, int, int, str]]:
     return sorted(found)
 
 
-def _symbol(c: str) -> str:
-    if c.isdigit():
-        return "0"
-    if "a" <= c <= "f":
-        return "a"
-    if c.isalpha():
-        return "z" if c.islower() else "A"
-    return c
+#: classes of characters: digits, letters that are hexadecimal digits or not, small or capital; marks stand for themselves
+_CLASSES = str.maketrans({c: k for k, group in {"0": "123456789", "a": "bcdef", "z": "ghijklmnopqrstuvwxyz", "A": "BCDEF", "Z": "GHIJKLMNOPQRSTUVWXYZ"}.items() for c in group})
 
 
 def symbols(text: str) -> str:
-    return "".join(map(_symbol, text))
+    return text.translate(_CLASSES)
 
 
 class Automaton:
@@ -147,33 +161,33 @@ class SecretModel:
         for kind in sorted(credentials):
             texts = [symbols(t) for t in credentials[kind]]
             if len(texts) >= 20:
-                machine = Automaton(texts)
-                rates = sorted(machine.rate(t) for t in texts)
+                machine = Automaton([t for i, t in enumerate(texts) if i % 5])
+                rates = sorted(machine.rate(t) for i, t in enumerate(texts) if i % 5 == 0)
                 self.formats.append((machine, rates[len(rates) // 100]))
         self.ordinary = Automaton([symbols(t) for t in ordinary]) if ordinary else None
         self.memo: dict[str, bool] = {}
 
     def secret(self, text: str) -> bool:
-        if not self.formats or not MIXED.match(text):
-            return False
         s = symbols(text)
         known = self.memo.get(s)
         if known is None:
             if len(self.memo) > 50_000:
                 self.memo.clear()
-            plain = self.ordinary.rate(s) if self.ordinary else -math.inf
-            known = self.memo[s] = any(r >= least and r > plain for m, least in self.formats for r in [m.rate(s)])
+            known = self._judge(s)
+            if len(s) <= 256:
+                self.memo[s] = known
         return known
 
+    def _judge(self, s: str) -> bool:
+        found = [r for m, least in self.formats if (r := m.rate(s)) >= least]
+        return bool(found) and (self.ordinary is None or max(found) > self.ordinary.rate(s))
+
     def spans(self, text: str) -> tuple[list, list]:
         """Base spans, and all spans, as (start, kind's place, end)."""
         base = [x[:3] for x in base_spans(text)]
-        more = [
-            (m.start(), 3, m.end())
-            for m in CANDIDATE.finditer(text)
-            if self.secret(m[0]) and not any(a < m.end() and m.start() < b for a, _, b in base)
-        ] if self.formats else []
-        return base, sorted(base + more)
+        if not self.formats:
+            return base, base
+        return base, sorted(base + [(a, 3, b) for a, b in candidates(text, base) if self.secret(text[a:b])])
 
 
 def said(spans: list) -> str:
@@ -181,20 +195,23 @@ def said(spans: list) -> str:
 
 
 def learn_formats(rows: DataFrame, per_kind: int = 500) -> SecretModel:
-    """From ``per_kind`` distinct credentials of each kind, and as many ordinary long words: the first by a hash."""
+    """From ``per_kind`` distinct credentials of each kind, and twice as many ordinary candidates: the first by a hash.
+
+    All texts are read; a batch's distinct findings alone move. Ordinary candidates are told apart by their classes of characters.
+    """
 
     def harvest(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
-            found = set()
+            found: set = set()
             for text in pdf["text"]:
-                found.update((KINDS[k], c) for _, k, _, c in base_spans(text))
-                if m := LONG_WORD.search(text):
-                    found.add(("ordinary", m[0]))
+                base = base_spans(text)
+                found.update((KINDS[k], c) for _, k, _, c in base)
+                found.update(("ordinary", symbols(text[a:b])) for a, b in candidates(text, base) if b - a <= 256)
             yield pd.DataFrame(sorted(found), columns=["kind", "text"])
 
     found = written(rows.select("text").mapInPandas(frugal(harvest), "kind string, text string").distinct(), "credentials")
-    kinds = {k: [r["text"] for r in found.filter(F.col("kind") == k).orderBy(F.xxhash64("text"), "text").limit(per_kind).collect()] for k in (*KINDS[:3], "ordinary")}
-    return SecretModel({k: v for k, v in kinds.items() if k != "ordinary"}, kinds["ordinary"])
+    first = lambda kind, n: [r["text"] for r in found.filter(F.col("kind") == kind).orderBy(F.xxhash64("text"), "text").limit(n).collect()]
+    return SecretModel({k: first(k, per_kind) for k in KINDS[:3]}, first("ordinary", 2 * per_kind))
 
 
 def scan_secrets(docs: DataFrame, per_kind: int = 500, text_column: str = "text") -> DataFrame:
@@ -238,3 +255,10 @@ def mask_secrets(docs: DataFrame, per_kind: int = 500, mark: str = "[SECRET]") -
 
     out = docs.withColumn("text", F.pandas_udf(frugal(mask), "string", F.PandasUDFType.SCALAR_ITER)("text"))
     return out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else out
+
+
+def planted_report(docs: DataFrame, formats: dict[str, list[str]], per_kind: int = 500) -> list[tuple[str, int, int]]:
+    """For each format, (name, credentials, found) of bare credentials, each put between two words of its own text, by what ``docs`` teaches."""
+    model = learn_formats(rows_of(docs), per_kind)
+    lead = "the value is "
+    return [(name, len(texts), sum((len(lead), 3, len(lead) + len(t)) in model.spans(f"{lead}{t} here")[1] for t in texts)) for name, texts in formats.items()]
