@@ -39,6 +39,23 @@ def test_toxicity_edges(spark):
     got = toxicity.score_toxicity(rows, labels).collect()
     assert len(got) == 5 and all(0 <= r["score"] <= 1 for r in got)
     assert toxicity.score_toxicity(docs(spark, []), labels.limit(0)).count() == 0
+    # clashing columns, an id with many rows, no words but marks
+    many = [(i, f"plain words number {i}" if i % 2 else f"clownery idiotic {i}", "a", 1) for i in range(2, 200)] + [(7, f"plain {k}", "b", 2) for k in range(300)] + [(500, "!!! ...", "c", 3)]
+    marked = spark.createDataFrame([(i, 1, 1 - i % 2) for i in range(2, 200)] * 2, "doc_id long, quality int, toxic int")
+    got = toxicity.score_toxicity(spark.createDataFrame(many, "doc_id long, text string, pattern string, toxic int"), marked).collect()
+    assert len(got) == len(many) and all((r["predicted"] == 1) == (r["score"] >= 0.5) for r in got)
+    assert all(r["predicted"] == 1 - r["doc_id"] % 2 for r in got if r["doc_id"] != 500)
+
+
+def test_targets_are_posteriors(spark, monkeypatch):
+    """No row's own label is a target of the classifier: votes that are alike have one target."""
+    seen = {}
+    fit = toxicity.linear_fit
+    monkeypatch.setattr(toxicity, "linear_fit", lambda x, target, weight: seen.update(x=x, target=target) or fit(x, target, weight))
+    d = "/root/testdata/sf0.01"
+    toxicity.score_toxicity(spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet"))
+    bare = seen["target"][seen["x"].sum(axis=1) == 0]
+    assert len(bare) > 100 and ((seen["target"] > 0) & (seen["target"] < 1)).all() and len(np.unique(bare.round(12))) <= 4
 
 
 def test_label_model_recovers_accuracies():
@@ -78,8 +95,6 @@ def test_urls(spark, data):
     rows = [(i, u, "x") for i, u in enumerate(odd)] + [(None, odd[0], "x")]
     got = urls.judge_urls(spark.createDataFrame(rows, "page_id long, url string, host string")).collect()
     assert len(got) == len(rows)
-    for (i, u, _), r in zip(sorted(rows, key=str), sorted(got, key=lambda r: str((r["page_id"],)))):
-        pass
     by = collections.Counter((r["page_id"], r["host"], r["path"], r["rule"]) for r in got)
     want = collections.Counter((i, *judged(u)[:2], judged(u)[2][1] if judged(u)[2] else None) for i, u, _ in rows)
     assert by == want
@@ -91,13 +106,70 @@ def test_urls(spark, data):
     assert urls.judge_urls(spark.createDataFrame([], "page_id long, url string")).count() == 0
 
 
-def test_url_models_tell_classes_apart():
-    good, bad = [f"news.example/{w}/{i}" for i in range(60) for w in ("science", "history")], [f"spam.win/{i}-casino-bonus" for i in range(120)]
-    model = urls.UrlRatio(good, bad)
-    assert model.score("news.example/science/999") > model.cut > model.score("spam.win/999-casino-bonus")
-    assert urls.UrlRatio([], bad).score("x") == 0
+def plain_neutral(host, path):
+    labels = [x for x in host.split(".") if x not in ("net", "example", "com", "org")]
+    return ".".join(labels) + re.sub(r"(?s)\A/(en|de|fr)/", "/", path)
+
+
+def plain_log_p(texts, order=5, alphabet=256):
+    """Witten-Bell by its definition, from the longest context down."""
+    seen = collections.defaultdict(collections.Counter)
+    for t in texts:
+        t = "\x02" + t + "\x03"
+        for i in range(1, len(t)):
+            for n in range(min(order, i) + 1):
+                seen[t[i - n : i]][t[i]] += 1
+
+    def p(context, c):
+        shorter = p(context[1:], c) if context else 1 / alphabet
+        held = seen.get(context)
+        return shorter if held is None else (held[c] + len(held) * shorter) / (sum(held.values()) + len(held))
+
+    return lambda t: sum(math.log(p(t[max(0, i - order) : i], t[i])) for i in range(1, len(t)))
+
+
+def test_url_ratio_equals_brute_force(spark):
+    """Verdicts and ratios of URLs without a rule, from all rules' URLs (fewer than the sample's bound); the cut by trying every one."""
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
+    got = urls.judge_urls(pages).collect()
+    samples = {r: set() for r in urls.RULES}
+    for r in pages.collect():
+        host, path, best = judged(r["url"])
+        if best and plain_neutral(host, path):
+            samples[best].add(plain_neutral(host, path))
+
+    def ratio(texts):
+        both = [plain_log_p([t for (a, _), x in texts.items() if a == side for t in x]) for side in ("allow", "block")]
+        return lambda t: (both[0]("\x02" + t + "\x03") - both[1]("\x02" + t + "\x03")) / (len(t) + 1)
+
+    sides = {"allow": [], "block": []}
+    for rule in urls.RULES:
+        score = ratio({r: x for r, x in samples.items() if r != rule})
+        sides[rule[0]] += [score(t) for t in samples[rule]]
+    mean = lambda c: (np.mean(np.array(sides["allow"]) >= c) + np.mean(np.array(sides["block"]) < c)) / 2
+    whole = ratio(samples)
+    cuts = {round(whole(plain_neutral(*judged(r["host"] and "x://" + r["host"] + r["path"])[:2])) - r["ratio"], 9) for r in got if r["host"]}
+    assert len(cuts) == 1
+    cut = cuts.pop()
+    assert mean(cut) >= max(mean(c) for c in sides["allow"] + sides["block"]) - 1e-9
+    assert all(r["verdict"] == ("allow" if r["ratio"] >= 0 else "block") for r in got if r["rule"] is None)
+    report = {r["rule"]: r["right"] for r in urls.rule_report(pages).collect()}
+    assert np.mean([report["net/"] * len(samples["block", "net/"]) + report["example.com/de/"] * len(samples["block", "example.com/de/"])]) == pytest.approx(sum(s < cut for s in sides["block"]))
+
+
+def test_url_models_tell_classes_apart(spark):
+    good, bad = [f"news.site/{w}/{i}" for i in range(60) for w in ("science", "history")], [f"spam.win/{i}-casino-bonus" for i in range(120)]
+    model, report = urls.fit({("a", "allow"): good[::2], ("b", "allow"): good[1::2], ("c", "block"): bad[::2], ("d", "block"): bad[1::2]})
+    assert model.score("news.site/science/999") > model.cut > model.score("spam.win/999-casino-bonus")
+    assert len(report) == 4 and all(right > 0.9 for *_, right in report)
+    assert urls.UrlRatio([], bad).score("x") == 0 and urls.fit({("a", "allow"): [], ("c", "block"): bad})[0].score("x") == 0
     char = urls.CharModel().learn(good)
     assert sum(math.exp(char.log_p("sci", chr(c))) for c in range(256)) == pytest.approx(1, abs=1e-6)
+    # scores at the cut are allowed; a long url is scored whole; an empty one is allowed whatever the cut
+    assert urls.best_cut([0.5, 0.5], [0.5, 0.4]) == pytest.approx(0.45) and urls.best_cut([1.0], [2.0]) == 1.0
+    rows = [(i, f"https://h{i}.example.net/{w}/x{i}", "t") for i, w in enumerate(["en", "zz"] * 30)] + [(100, "q://host.com/" + "long" * 20000, "t"), (101, None, "t")]
+    got = {r["page_id"]: r for r in urls.judge_urls(spark.createDataFrame(rows, "page_id long, url string, ratio string")).collect()}
+    assert len(got) == 62 and got[101]["verdict"] == "allow" and got[101]["ratio"] == 0 and math.isfinite(got[100]["ratio"])
 
 
 # ---- secrets ----------------------------------------------------------------------------------------------
@@ -129,17 +201,47 @@ def test_secrets_base(spark, data):
     assert secrets.scan_secrets(docs(spark, [])).count() == 0
 
 
-def test_grammar_is_inferred():
+def test_grammar_is_inferred(spark):
     import random
 
     rng = random.Random(2)
-    keys = ["AKIA" + "".join(rng.choice("ABCDEFGHIJKLMNOPQRSTUVWXYZ234567") for _ in range(16)) for _ in range(300)]
-    model = secrets.SecretModel({"access": keys}, ["wonderful", "characteristics", "understanding"] * 10)
-    fresh = "ASIA" + "".join(rng.choice("ABCDEFGHIJKLMNOPQRSTUVWXYZ234567") for _ in range(16))
-    assert model.secret(fresh) and not model.secret("internationalization") and not model.secret("a-very-long-slug-of-2024-words")
+    pick = lambda signs, n: "".join(rng.choice(signs) for _ in range(n))
+    upper = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
+    keys = ["AKIA" + pick(upper, 16) for _ in range(300)]
+    plain = [f"mail{i}.example.com" for i in range(40)] + [f"chapter-{i}-of-book" for i in range(40)] + [f"wort{i}lein" for i in range(40)]
+    model = secrets.SecretModel({"access": keys}, plain)
+    fresh = "ASIA" + pick(upper, 14) + "2Q"
+    assert model.secret(fresh) and not model.secret("a-very-long-slug-of-2024-words") and not model.secret("mail77.example.com")
     assert len(model.formats[0][0].states) < 100
-    assert model.spans(f"see {fresh} here")[1] == [(4, 3, 24)]
+    assert model.spans(f"see {fresh}. Internationalization 12345678901234 here")[1] == [(4, 3, 24)]
     assert secrets.masked(f"see {fresh} here", [(4, 3, 24)]) == "see [SECRET] here"
+    # learnt from a table: bare credentials of the format, and of near ones, are found; ordinary runs with digits are not
+    texts = [f"some words token={pick('0123456789abcdef', 40)} more words, write to mail{i}.example.com or item-{i}-b" for i in range(200)] + ["", None]
+    table = docs(spark, list(enumerate(texts)))
+    formats = {"hex31": [pick("0123456789abcdef", 31) for _ in range(50)], "hex24": [pick("0123456789abcdef", 24) for _ in range(50)], "mail": ["mail9.example.com"], "item": ["item-77-b"]}
+    found = {name: k / n for name, n, k in secrets.planted_report(table, formats)}
+    assert found["hex31"] > 0.8 and found["mail"] == found["item"] == 0
+    assert all(r["n_learned"] == 0 for r in secrets.scan_secrets(table).collect())
+
+
+def test_secret_candidates():
+    for text in ["abc12345 x-12345678-y. a.b.c.d.1.2 ------- 1234567890 abcdefghij", "q1234567" * 3, "", "..a1b2c3d4.."]:
+        want = []
+        for m in re.finditer(r"[A-Za-z0-9+/_.=-]+", text):
+            w = m[0].strip(".-")
+            if len(m[0]) >= 8 and len(w) >= 8 and re.search("[0-9]", w) and re.search("[A-Za-z]", w):
+                a = m.start() + len(m[0]) - len(m[0].lstrip(".-"))
+                want.append((a, a + len(w)))
+        assert secrets.candidates(text, []) == want
+    text = "aaaa1111 bbbb2222 cccc3333"
+    assert secrets.candidates(text, [(0, 0, 9), (17, 0, 20)]) == [(9, 17)] and secrets.candidates(text, [(0, 0, 26), (1, 1, 2)]) == []
+
+
+def test_secrets_keep_other_columns(spark):
+    rows = spark.createDataFrame([(1, "token=abcdefgh9", "x", 5), (None, None, "y", 0)], "doc_id long, text string, spans string, n_hex int")
+    assert [r["n_assign"] for r in secrets.scan_secrets(rows).orderBy(F.desc("doc_id")).collect()] == [1, 0]
+    got = secrets.mask_secrets(rows).orderBy(F.desc("doc_id")).collect()
+    assert [tuple(r) for r in got] == [(1, "[SECRET]", "x", 5), (None, None, "y", 0)]
 
 
 # ---- decontamination --------------------------------------------------------------------------------------
