@@ -27,6 +27,8 @@ from .tokens import WordIds, tokenizer_path
 
 CAPACITY, END_ID = 4096, 1
 Plan = list[tuple[tuple[int, ...], int]]
+#: levels of the search that keep what they know of sums, a megabyte each at most
+KEPT_LEVELS = 8
 
 
 # ---- planners ---------------------------------------------------------------------------------------------
@@ -197,8 +199,9 @@ def completion_plan(histogram: dict[int, int], capacity: int = CAPACITY, budget:
     left = np.zeros(capacity + 1, dtype=np.int64)
     for length, n in histogram.items():
         left[length] = n
-    # a level: longest piece, its fillings still to come, those tried, the current one, how often, waste before
+    # a level: longest piece, its fillings still to come, those tried, the current one, how often, what it wastes each time
     levels: list[dict] = []
+    tried: set[tuple[int, ...]] = set()  # of all levels; a filling has its longest piece in it
     nodes, looked, used, waste, ended = 0, 0, 0, 0, False
 
     def allowed() -> int:
@@ -209,14 +212,19 @@ def completion_plan(histogram: dict[int, int], capacity: int = CAPACITY, budget:
         for x, n in Counter(items).items():
             left[x] += by * n
 
-    def descend() -> None:
+    def coming(longest: int) -> Iterator:
         live = np.flatnonzero(left)
-        longest = int(live[-1])
-        over = levels[-1] if levels else None
-        tried = {*over["tried"], over["items"]} if over and over["longest"] == longest else set()
         rest = left[live].tolist()
         rest[-1] -= 1
-        levels.append({"longest": longest, "coming": _looked_at(capacity - longest, live.tolist(), rest, allowed() - waste), "tried": tried, "items": None, "times": 0, "waste": 0})
+        return _looked_at(capacity - longest, live.tolist(), rest, allowed() - waste)
+
+    def descend() -> None:
+        levels.append({"longest": int(np.flatnonzero(left)[-1]), "coming": None, "mine": [], "items": None, "times": 0, "waste": 0})
+        if len(levels) > KEPT_LEVELS:  # what these know takes much memory; it is found again on the way back
+            levels[-1 - KEPT_LEVELS]["coming"] = None
+
+    def ascend() -> None:
+        tried.difference_update(levels.pop()["mine"])
 
     if sequences > bound and histogram:
         descend()
@@ -229,28 +237,29 @@ def completion_plan(histogram: dict[int, int], capacity: int = CAPACITY, budget:
             used, waste = used - at["times"], waste - at["times"] * at["waste"]
             at["times"] -= 1
         if not at["times"]:
-            if at["items"] is not None:
-                at["tried"].add(at["items"])
-                at["items"] = None
+            at["coming"] = at["coming"] or coming(at["longest"])
             for slack, filling, dominated in at["coming"]:
                 looked += 1
                 items = (at["longest"], *filling)
-                if not dominated and items not in at["tried"]:
+                if not dominated and items not in tried:
                     at["items"], at["waste"] = items, slack
                     at["times"] = min(int(left[x]) // n for x, n in Counter(items).items())
+                    at["mine"].append(items)
+                    tried.add(items)
                     break
                 if looked >= 50 * budget:
                     break
             else:
-                levels.pop()
+                ascend()
                 continue
-            if at["items"] is None:
+            if not at["times"]:
                 break
         room = allowed() - waste
         if at["waste"]:
             at["times"] = min(at["times"], room // at["waste"])
         if room < 0 or at["times"] <= 0:
-            levels.pop()  # fillings come by rising waste: the others waste no less
+            at["times"] = 0
+            ascend()  # fillings come by rising waste: the others waste no less
             continue
         nodes += 1
         move(at["items"], -at["times"])
