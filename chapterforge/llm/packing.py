@@ -139,6 +139,22 @@ def fillings(room: int, lengths: list[int], counts: list[int], waste: int) -> It
     return ((slack, found) for slack, found, dominated in _looked_at(room, lengths, counts, waste) if not dominated)
 
 
+def _exactly(held: list[tuple[int, int]], reach: list[int], most: int, goal: int) -> Iterator[tuple[int, ...]]:
+    """Multisets of the first ``most`` lengths with this sum, longest lengths first. On its own, as a function inside another that
+    calls itself would keep ``reach`` until the next collection of cycles."""
+    if not goal:
+        yield ()
+        return
+    for i in range(most, 0, -1):
+        if not reach[i] >> goal & 1:
+            return
+        x, n = held[i - 1]
+        for k in range(min(n, goal // x), 0, -1):
+            if reach[i - 1] >> (goal - k * x) & 1:
+                for rest in _exactly(held, reach, i - 1, goal - k * x):
+                    yield (x,) * k + rest
+
+
 def _looked_at(room: int, lengths: list[int], counts: list[int], waste: int) -> Iterator[tuple[int, tuple[int, ...], bool]]:
     """All fillings of at most this waste, and whether each is dominated.
 
@@ -157,24 +173,10 @@ def _looked_at(room: int, lengths: list[int], counts: list[int], waste: int) ->
             n, step = n - part, step * 2
         reach.append(bits)
 
-    def exactly(most: int, goal: int) -> Iterator[tuple[int, ...]]:
-        """Multisets of the first ``most`` lengths with this sum, longest lengths first."""
-        if not goal:
-            yield ()
-            return
-        for i in range(most, 0, -1):
-            if not reach[i] >> goal & 1:
-                return
-            x, n = held[i - 1]
-            for k in range(min(n, goal // x), 0, -1):
-                if reach[i - 1] >> (goal - k * x) & 1:
-                    for rest in exactly(i - 1, goal - k * x):
-                        yield (x,) * k + rest
-
     for slack in range(min(waste, room) + 1):
         if not reach[-1] >> (room - slack) & 1:
             continue
-        for found in exactly(len(held), room - slack):
+        for found in _exactly(held, reach, len(held), room - slack):
             used, spare = Counter(found), 0
             for x, n in spare_of.items():
                 if n > used[x]:
