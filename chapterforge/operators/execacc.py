@@ -5,12 +5,15 @@ from __future__ import annotations
 import re
 from concurrent.futures import ThreadPoolExecutor
 from decimal import Decimal
+from itertools import zip_longest
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: plans that read; anything else is refused before it is analyzed
+#: roots of plans that read; any other is refused before it is analyzed
 _READS = ("Project", "Aggregate", "Sort", "GlobalLimit", "LocalLimit", "Filter", "Distinct", "Union", "Intersect", "Except", "UnresolvedWith", "WithCTE", "UnresolvedHaving", "SubqueryAlias", "UnresolvedInlineTable", "OneRowRelation", "UnresolvedOrdinal", "Offset", "Window", "Join", "UnresolvedRelation", "UnresolvedSubqueryColumnAliases", "Deduplicate")
+#: what no node of a query may be: a command, a statement (an insert is one), a program that rows are piped through
+_ACTS = ("Command", "ParsedStatement", "ScriptTransformation")
 
 
 class Refused(Exception):
@@ -18,10 +21,22 @@ class Refused(Exception):
 
 
 def guard(spark: SparkSession, sql: str) -> None:
-    """Raise unless the statement is a query by its parsed plan's class."""
-    kind = spark._jsparkSession.sessionState().sqlParser().parsePlan(sql).getClass().getSimpleName()
-    if kind not in _READS:
-        raise Refused(kind)
+    """Raise unless the statement is a query: by its parsed plan's root, and by every node below it, in common table
+    expressions and subqueries too."""
+    jvm = spark._jvm
+    acts = [jvm.java.lang.Class.forName(f"org.apache.spark.sql.catalyst.plans.logical.{name}") for name in _ACTS]
+    plan = spark._jsparkSession.sessionState().sqlParser().parsePlan(sql)
+    if plan.getClass().getSimpleName() not in _READS:
+        raise Refused(plan.getClass().getSimpleName())
+    left = [plan]
+    while left:
+        node = left.pop()
+        if any(kind.isInstance(node) for kind in acts):
+            raise Refused(node.getClass().getSimpleName())
+        below = [node.children(), node.subqueries()]
+        if node.getClass().getSimpleName() == "UnresolvedWith":
+            below.append(node.innerChildren())
+        left += [some.apply(i) for some in below for i in range(some.size())]
 
 
 def _plain(df: DataFrame) -> DataFrame:
@@ -47,8 +62,9 @@ def fingerprint(df: DataFrame, compare: str = "set") -> tuple:
 def same_result(a: DataFrame, b: DataFrame, compare: str = "set", exact: bool = True) -> bool:
     """Names don't matter, column order does. Equal fingerprints are confirmed row by row if ``exact``."""
     if compare == "ordered":
-        x, y = ([tuple(r) for r in df.collect()] for df in (a, b))  # of a question's result, in its own order
-        return x == y
+        # a partition at a time, up to the first difference: results may be as large as a table
+        x, y = (df.toLocalIterator(prefetchPartitions=False) for df in (a, b))
+        return all(p is not None and q is not None and tuple(p) == tuple(q) for p, q in zip_longest(x, y))
     if [k for _, k in a.dtypes] != [k for _, k in b.dtypes] or fingerprint(a, compare) != fingerprint(b, compare):
         return False
     if not exact:

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.text import count_tokens, order_hash, tokens
+from ..session import settled
 
 QUESTION, ANSWER = "[Qq]uestion:", "[Aa]nswer:"
 
@@ -46,16 +47,18 @@ def sentences(text: Column) -> Column:
     return F.filter(F.transform(F.split(F.coalesce(text, F.lit("")), r"\. "), lambda s: F.trim(s)), lambda s: s != "")
 
 
-def synthesize_pairs(docs: DataFrame, per_doc: int = 2) -> DataFrame:
-    """doc_id, pair_no, form, difficulty, needs_context, question, answer from a document's sentences of five words or more.
+def synthesize_pairs(docs: DataFrame, per_doc: int | None = None) -> DataFrame:
+    """doc_id, pair_no, form, difficulty, needs_context, question, answer from a document's sentences of five words or more: from
+    all of them, or the first ``per_doc``.
 
     Even pairs are simple: the longest word of a sentence is gapped (first of equals), and the sentence is in the question. Odd
     ones are harder: which sentence follows a given one; they carry the sentence before it as their context.
     """
     long = F.filter(F.col("s"), lambda s: F.size(tokens(s)) >= 5)
     own = docs.select("doc_id", sentences(F.col("text")).alias("s")).select("doc_id", long.alias("s"))
-    picked = own.select("doc_id", "s", F.explode(F.sequence(F.lit(0), F.lit(per_doc - 1))).alias("pair_no")).filter(F.size("s") > F.col("pair_no"))
-    here, following = F.get("s", F.col("pair_no")), F.get("s", F.col("pair_no") + 1)
+    two = F.transform("s", lambda x, i: F.struct(x.alias("here"), F.get("s", i + 1).alias("following")))
+    picked = own.select("doc_id", F.posexplode(two if per_doc is None else F.slice(two, 1, per_doc)).alias("pair_no", "x")).select("doc_id", "pair_no", "x.*")
+    here, following = F.col("here"), F.col("following")
     words = F.regexp_extract_all(here, F.lit(r"[\p{L}\p{N}]+"), F.lit(0))
     longest = F.array_sort(F.transform(words, lambda w, i: F.struct((-F.length(w)).alias("n"), i.alias("i"), w.alias("w"))))[0]["w"]
     cloze = F.col("pair_no") % 2 == 0
@@ -67,6 +70,22 @@ def synthesize_pairs(docs: DataFrame, per_doc: int = 2) -> DataFrame:
     return out.filter("answer is not null and answer <> ''")
 
 
+def build_knowledge(docs: DataFrame, kept_ids: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    """The whole pass from documents to pairs: the filter's ids, routes, extraction or synthesis, both judging rounds, distillation.
+
+    docs: doc_id, text; kept_ids: doc_id (all documents without it). Returns (pairs: those of ``distill`` with route and form; report
+    of ``assess``). Each document is of one route, so its pairs are of one kind; nothing is read twice but for the answer's support.
+    """
+    kept = docs if kept_ids is None else docs.join(kept_ids, "doc_id", "left_semi")
+    routed = route_documents(flag_markers(kept.select("doc_id", "text")))
+    native = extract_pairs(routed.filter("route = 'extract'")).select(
+        "doc_id", F.lit("extract").alias("route"), "pair_no", F.lit("native").alias("form"), F.lit(1).alias("difficulty"), F.lit(False).alias("needs_context"), "question", "answer"
+    )
+    made = synthesize_pairs(routed.filter("route = 'synthesize'")).withColumn("route", F.lit("synthesize")).select(*native.columns)
+    pairs, report = assess(grounding(native.unionByName(made), kept))
+    return distill(pairs, "route", "form"), report
+
+
 def grounding(pairs: DataFrame, docs: DataFrame, mode: str = "span") -> DataFrame:
     """pairs with ``grounded``: the answer stands in the document (1 or 0), or the share of its words that do."""
     both = pairs.join(docs.select("doc_id", "text"), "doc_id")
@@ -114,9 +133,9 @@ def assess(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
     return judged.filter(both), report
 
 
-def distill(pairs: DataFrame) -> DataFrame:
-    """Pairs without the source's text; its id stays for lineage."""
-    return pairs.select("doc_id", "pair_no", "question", "answer")
+def distill(pairs: DataFrame, *lineage: str) -> DataFrame:
+    """Pairs without the source's text; its id stays for lineage, and the columns named."""
+    return pairs.select("doc_id", *lineage, "pair_no", "question", "answer")
 
 
 def plain_text_examples(kept: DataFrame) -> DataFrame:
@@ -135,12 +154,13 @@ def pilot_validity(pairs: DataFrame, votes: DataFrame, n: int = 300, seed: int =
 
 def review_loop(draft, vote, reviewers: int = 3, policy: str = "majority", max_rounds: int = 5) -> DataFrame:
     """Drafts that reviewers turn down are drafted again. draft(ids or None, round) -> q_id, ...; vote(drafts, round) -> q_id,
-    reviewer, valid. Each round's drafts are checkpointed and fewer than the last's."""
+    reviewer, valid. Each round's drafts are written, so that they are made once, and are fewer than the last's."""
     accepted, ids, turn = None, None, 0
     while turn < max_rounds:
-        drafts = draft(ids, turn).checkpoint()
+        drafts = settled(draft(ids, turn), "drafts")
         need = reviewers if policy == "unanimous" else reviewers // 2 + 1
-        good = vote(drafts, turn).groupBy("q_id").agg(F.sum(F.col("valid").cast("int")).alias("yes")).filter(F.col("yes") >= need).select("q_id").checkpoint()
+        good = vote(drafts, turn).groupBy("q_id").agg(F.sum(F.col("valid").cast("int")).alias("yes"))
+        good = settled(good.filter(F.col("yes") >= need).select("q_id"), "accepted")
         new = drafts.join(good, "q_id", "left_semi").withColumn("round", F.lit(turn))
         accepted = new if accepted is None else accepted.unionByName(new)
         ids = drafts.join(good, "q_id", "left_anti").select("q_id")

@@ -63,31 +63,47 @@ def ranked(scored: DataFrame, k: int | None) -> DataFrame:
     return out.filter(F.col("rank") <= k) if k else out
 
 
-def dense_rank(q_vecs: DataFrame, t_vecs: DataFrame, k: int = 1, block_rows: int = 2000) -> DataFrame:
-    """q_id, id, score (cosine of unit vectors, 6 digits), rank. Exact: questions go out in blocks of at most ``block_rows``,
-    each task multiplies its part of the pool by the block and keeps its own best; these are merged."""
+def dense_rank(q_vecs: DataFrame, t_vecs: DataFrame, k: int = 1, block_rows: int = 2000, pool_rows: int = 20000) -> DataFrame:
+    """q_id, id, score (cosine of unit vectors, 6 digits), rank; ties by id. Exact.
+
+    Questions are dealt into blocks of about ``block_rows`` by a hash, the pool into blocks of about ``pool_rows``. A task multiplies one
+    of each and keeps each question's k best there, so every block of the pool meets every block of questions once, whatever
+    their number, and nothing but two counts reaches the driver. Vectors move as often as the other side has blocks.
+    """
+    dealt = lambda df, name, rows: (F.pmod(F.xxhash64(name), F.lit(max(1, -(-df.count() // rows)))).cast("int"), max(1, -(-df.count() // rows)))
+    q_block, q_blocks = dealt(q_vecs, "q_id", block_rows)
+    t_block, t_blocks = dealt(t_vecs, "id", pool_rows)
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    asked = q_vecs.select("q_id", "embedding", q_block.alias("q_block"), every(t_blocks).alias("t_block"))
+    held = t_vecs.select("id", "embedding", t_block.alias("t_block"), every(q_blocks).alias("q_block"))
+    schema = f"q_id {q_vecs.schema['q_id'].dataType.simpleString()}, id {t_vecs.schema['id'].dataType.simpleString()}, score double"
+    best = asked.groupBy("q_block", "t_block").cogroup(held.groupBy("q_block", "t_block")).applyInPandas(_best_of_blocks(k), schema)
+    return ranked(best, k)
+
+
+def _best_of_blocks(k: int, together: int = 256):
+    """For ``cogroup``: each question's k best of a block of the pool, by one matrix product for ``together`` questions."""
     import numpy as np
     import pandas as pd
 
-    blocks = q_vecs.select("q_id", "embedding", F.floor((F.row_number().over(W.orderBy("q_id")) - 1) / block_rows).alias("block"))
-    n = q_vecs.count()
-    out = None
-    for at in range(0, max(n, 1), block_rows):
-        part = blocks.filter(F.col("block") == at // block_rows).collect()  # block_rows rows
-        ids, q = [r["q_id"] for r in part], np.array([r["embedding"] for r in part], dtype=float)
-
-        def best(batches, ids=ids, q=q):
-            for pdf in batches:
-                if not len(pdf) or not len(ids):
-                    continue
-                s, t = np.round(q @ np.vstack(pdf["embedding"].to_numpy()).astype(float).T, 6), pdf["id"].to_numpy()
+    def best(questions, pool):
+        ids, names, scores = [], [], []
+        if len(questions) and len(pool):
+            q_ids, t_ids = questions["q_id"].to_numpy(), pool["id"].to_numpy()
+            q, t = (np.vstack(x["embedding"].to_numpy()).astype(float) for x in (questions, pool))
+            for at in range(0, len(q), together):
+                s = np.round(q[at : at + together] @ t.T, 6)
+                least = np.partition(s, -k, axis=1)[:, -k] if s.shape[1] > k else np.full(len(s), -np.inf)
                 for i, row in enumerate(s):
-                    top = np.lexsort((t, -row))[:k]
-                    yield pd.DataFrame({"q_id": ids[i], "id": t[top], "score": row[top]})
+                    top = np.flatnonzero(row >= least[i])  # the k best and what ties with the last
+                    top = top[np.lexsort((t_ids[top], -row[top]))[:k]]
+                    ids.append(np.repeat(q_ids[at + i], len(top)))
+                    names.append(t_ids[top])
+                    scores.append(row[top])
+        flat = lambda x: np.concatenate(x) if x else []
+        return pd.DataFrame({"q_id": flat(ids), "id": flat(names), "score": flat(scores)})
 
-        one = t_vecs.select("id", "embedding").mapInPandas(best, f"q_id {q_vecs.schema['q_id'].dataType.simpleString()}, id {t_vecs.schema['id'].dataType.simpleString()}, score double")
-        out = one if out is None else out.unionByName(one)
-    return ranked(out, k)
+    return best
 
 
 def dense_rank_sql(q_vecs: DataFrame, t_vecs: DataFrame, k: int = 1) -> DataFrame:
@@ -121,11 +137,13 @@ def lsh_rank(q_vecs: DataFrame, t_vecs: DataFrame, k: int = 1, tables: int = 12,
     dim = len(t_vecs.first()["embedding"])
     planes = np.random.default_rng(seed).standard_normal((tables * bits, dim))
     sign = lambda p: F.when(F.aggregate(F.zip_with("embedding", F.array(*[F.lit(float(x)) for x in p]), lambda x, y: x * y), F.lit(0.0), lambda a, x: a + x) >= 0, "1").otherwise("0")
-    keys = lambda df: df.withColumn("key", F.explode(F.array(*[F.concat(F.lit(f"{t}:"), *[sign(p) for p in planes[t * bits : (t + 1) * bits]]) for t in range(tables)])))
-    asked = keys(q_vecs).select("q_id", "key", F.col("embedding").alias("q_embedding"))
+    keys = F.array(*[F.concat(*[sign(p) for p in planes[t * bits : (t + 1) * bits]]) for t in range(tables)])
+    asked = q_vecs.select("q_id", F.col("embedding").alias("q_embedding"), keys.alias("q_keys")).select("*", F.posexplode("q_keys").alias("table", "key"))
+    held = t_vecs.select("id", "embedding", keys.alias("keys")).select("*", F.posexplode("keys").alias("table", "key"))
     dot = F.aggregate(F.zip_with("embedding", "q_embedding", lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda a, x: a + x)
-    found = asked.join(keys(t_vecs).select("id", "key", "embedding"), "key").select("q_id", "id", F.round(dot, 6).alias("score")).distinct()
-    return ranked(found, k)
+    # a pair counts in the first table where it agrees, so none is scored twice and nothing has to be made distinct
+    first = F.array_position(F.zip_with("keys", "q_keys", lambda x, y: x == y), True) - 1 == F.col("table")
+    return ranked(asked.join(held, ["table", "key"]).filter(first).select("q_id", "id", F.round(dot, 6).alias("score")), k)
 
 
 def hash_encode(texts: DataFrame, dim: int = 64, seed: int = 1) -> DataFrame:
@@ -143,10 +161,11 @@ def top1_as_set(ranks: DataFrame) -> DataFrame:
 
 
 def candidate_recall(ranks: DataFrame, gold: DataFrame, k: int = 10) -> DataFrame:
-    """questions, share with gold in the first k, mean reciprocal rank. gold: q_id, id."""
+    """questions, top1 (share with gold first), recall (in the first k), mean reciprocal rank. gold: q_id, id."""
     best = ranks.filter(F.col("rank") <= k).join(gold, ["q_id", "id"]).groupBy("q_id").agg(F.min("rank").alias("rank"))
     every = gold.select("q_id").distinct().join(best, "q_id", "left")
-    return every.agg(F.count("*").alias("questions"), F.avg(F.col("rank").isNotNull().cast("double")).alias("recall"), F.avg(F.coalesce(1 / F.col("rank"), F.lit(0.0))).alias("mrr"))
+    top1 = F.avg(F.coalesce(F.col("rank") == 1, F.lit(False)).cast("double")).alias("top1")
+    return every.agg(F.count("*").alias("questions"), top1, F.avg(F.col("rank").isNotNull().cast("double")).alias("recall"), F.avg(F.coalesce(1 / F.col("rank"), F.lit(0.0))).alias("mrr"))
 
 
 def cutoff_sets(ranks: DataFrame, policy: str = "fixed", k: int = 3, share: float = 0.5) -> DataFrame:

@@ -141,18 +141,22 @@ def w2_extract(spark, sf_dir):
     return qa.extract_pairs(marker_documents(spark, sf_dir))
 
 
-_SYNTH = rf"""
-with sents as (select doc_id, text, list_filter(list_filter(list_transform(string_split(coalesce(text, ''), '. '), lambda s: trim(s)), lambda s: s <> ''), lambda s: len({tok("s")}) >= 5) as s from documents),
-drafts as (select doc_id, text, s[1] as here, s[2] as following, 0 as pair_no from sents where len(s) >= 1 union all select doc_id, text, s[2], s[3], 1 from sents where len(s) >= 2),
+def _synth_sql(source: str) -> str:
+    """Common table expressions, without ``with``, up to ``good``: pairs of all documents of ``source``."""
+    return rf"""sents as (select doc_id, text, list_filter(list_filter(list_transform(string_split(coalesce(text, ''), '. '), lambda s: trim(s)), lambda s: s <> ''), lambda s: len({tok("s")}) >= 5) as s from {source}),
+drafts as (select doc_id, text, s[i + 1] as here, s[i + 2] as following, i::int as pair_no from (select *, unnest(range(0, len(s))) as i from sents)),
 worded as (select *, regexp_extract_all(here, '[\p{{L}}\p{{N}}]+') as w from drafts),
 gapped as (select *, w[list_position(list_transform(w, lambda x: length(x)), list_max(list_transform(w, lambda x: length(x))))] as longest from worded),
-pairs as (select doc_id, text, pair_no, case pair_no when 0 then 'gap' else 'next sentence' end as form, case pair_no when 0 then 1 else 3 end as difficulty, pair_no = 1 as needs_context,
-  case pair_no when 0 then 'Which word is left out: ' || replace(here, longest, '____') else 'What follows this: ' || here end as question,
-  case pair_no when 0 then longest else following end as answer from gapped),
+pairs as (select doc_id, text, pair_no, case pair_no % 2 when 0 then 'gap' else 'next sentence' end as form, case pair_no % 2 when 0 then 1 else 3 end as difficulty, pair_no % 2 = 1 as needs_context,
+  case pair_no % 2 when 0 then 'Which word is left out: ' || replace(here, longest, '____') else 'What follows this: ' || here end as question,
+  case pair_no % 2 when 0 then longest else following end as answer from gapped),
 good as (select * from pairs where answer is not null and answer <> '')
 """
 
 
+_SYNTH = "with " + _synth_sql("documents")
+
+
 def synthesized(spark, sf_dir) -> DataFrame:
     return qa.synthesize_pairs(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
@@ -201,6 +205,31 @@ def w2_assess(spark, sf_dir):
     return qa.assess(qa.grounding(synthesized(spark, sf_dir), docs))[1]
 
 
+_JUDGED = rf"""1 + (len({tok("question")}) >= 5)::int + (length(trim(answer)) > 0)::int + (not needs_context or len({tok("question")}) >= 12)::int
+    + (not regexp_matches(question, '(!!|\*\*\*|###)'))::int >= 4"""
+
+
+@workload(
+    _FIVE
+    + ", " + _MARKED.strip().removeprefix("with ") + """, every as (select -1 - doc_id as doc_id, text from marked union all select d.doc_id, d.text from documents d join best b on b.doc_id = d.doc_id where b.predicted >= 4),
+    routed as (select *, regexp_matches(text, '[Qq]uestion:') and regexp_matches(text, '[Aa]nswer:') as marks from every), plain as (select * from routed where not coalesce(marks, false)),
+    """ + _synth_sql("plain")
+    + f""", chunks as (select doc_id, text, unnest(regexp_split_to_array(text, '[Qq]uestion:')) as x, unnest(range(0, len(regexp_split_to_array(text, '[Qq]uestion:')))) as pair_no from routed where marks),
+    cut as (select *, regexp_replace(x, '[Aa]nswer:(.|\n)*$', '') as q, regexp_extract(x, '^((.|\n)*?)[Aa]nswer:((.|\n)*)$', 3) as a from chunks where pair_no > 0 and regexp_matches(x, '[Aa]nswer:')),
+    found as (select doc_id, text, 'extract' as route, pair_no::int as pair_no, 'native' as form, false as needs_context, trim(regexp_extract(x, '^((.|\n)*?)[Aa]nswer:', 1), ' ' || chr(10) || chr(13) || chr(9)) as question,
+      trim(a, ' ' || chr(10) || chr(13) || chr(9)) as answer from cut),
+    both_kinds as (select * from found where question <> '' and answer <> '' union all select doc_id, text, 'synthesize', pair_no, form, needs_context, question, answer from good)
+    select doc_id, route, pair_no, form, md5(question) as question_md5, md5(answer) as answer_md5 from both_kinds where {_JUDGED} and contains(text, answer)"""
+)
+def w2_chapter(spark, sf_dir):
+    """The whole pass: documents that the five-class filter keeps, and marker documents (under negative ids), to judged pairs."""
+    kept = _predicted(spark, sf_dir).filter("predicted >= 4").select("doc_id")
+    marked = marker_documents(spark, sf_dir).select((F.lit(-1) - F.col("doc_id")).alias("doc_id"), "text")
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text").join(kept, "doc_id", "left_semi").unionByName(marked)
+    pairs, _ = qa.build_knowledge(docs)
+    return pairs.select("doc_id", "route", "pair_no", "form", F.md5("question").alias("question_md5"), F.md5("answer").alias("answer_md5"))
+
+
 @workload(
     _MARKED
     + f""", ids as (select conv_id || '-' || row_number() over (partition by conv_id order by turn) as pair_id from native),
