@@ -3,17 +3,19 @@
 A shard is what one task reads of the documents, in parts of ``SHARD`` documents. Its index is one row: term hashes, postings sorted by term and
 place, term frequencies and lengths. Document frequencies, number and mean length are global, so shards' scores can be merged.
 
-Queries go out in blocks of about ``BLOCK`` rows, of which ``TOGETHER`` are searched at a time. Within a shard, documents lie in blocks of 256 places, and each term has its largest weight
-in each block. As queries are whole texts here, they are handled together: rare terms' postings are summed first; a block's upper bound
-for a query is the largest of these sums and, by one matrix product, what its frequent terms can add at most. Blocks are visited in the order
-of their bounds and scored (one product for all queries for which the block is live) unless the bound is below the query's k-th best score so
-far, as in block-max WAND. Pruned blocks hold no result, so the top k are exact.
+Queries go out in blocks of about ``BLOCK`` rows, a bounded broadcast each. Within a shard, documents lie in blocks of ``PLACES`` places, the same
+for all terms, and each term's postings know where a block's begin and the largest weight there. A query's cursors stand on a block; the pivot
+is the next block in which the largest weights of all its terms together reach the query's k-th best score so far. All cursors skip to it
+without a look at the postings between, the block's postings are summed, the k-th best score rises, and so on to the shard's
+end: block-max WAND whose pivots are blocks instead of documents, as blocks of places are alike for all terms. What is skipped can't
+reach the k-th best, so the top k are exact. An eighth of the shards goes first; its k-th best scores are where the others begin.
 
 Words are split by white space, lower-cased, stripped of marks, and stand for themselves by 64-bit hashes. Scores are rounded to 6 digits;
 equal ones are ordered by doc_id.
 
 Defined results: null and empty texts are indexed without terms and as queries find nothing; queries with fewer than k documents that share
-a word return those; rows that repeat an id are documents (and queries) each; an empty table gives no rows; other columns are not read.
+a word return those; rows that repeat an id are documents (and queries) each; an empty table gives no rows; columns other than id and text
+are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -31,7 +33,7 @@ from pyspark.sql import functions as F
 from .common import arrow_batches, frugal, rows_of, written
 
 K1, B = 1.2, 0.75
-SHARD, BLOCK, TOGETHER, PLACES, DENSE = 8192, 2048, 256, 256, 512
+SHARD, BLOCK, PLACES = 8192, 2048, 64
 MARKS = string.punctuation + "…«»“”„’‘¿¡"
 
 
@@ -60,6 +62,11 @@ def index_rows(rows: DataFrame, shard: int = SHARD) -> DataFrame:
         hashes, ids, lengths, parts = TermHashes(), [], [], []
 
         def out() -> pa.RecordBatch:
+            # alike documents side by side: by their most frequent term (which tells languages apart), then by length; so blocks differ
+            # in what they can score
+            top = np.array([p[0][np.lexsort((p[0], -p[1]))[0]] if len(p[0]) else 0 for p in parts], np.int64)
+            by = np.lexsort((np.array(lengths), top))
+            ids[:], lengths[:], parts[:] = ([x[i] for i in by] for x in (ids, lengths, parts))
             term = np.concatenate([p[0] for p in parts]) if parts else np.empty(0, np.int64)
             tf = np.concatenate([p[1] for p in parts]) if parts else np.empty(0, np.int32)
             place = np.repeat(np.arange(len(ids), dtype=np.int32), [len(p[0]) for p in parts])
@@ -98,72 +105,71 @@ class Shard:
         tf = np.frombuffer(row["tfs"], np.int32).astype(float)
         norm = K1 * (1 - B + B * lengths / max(mean, 1e-9))
         self.weight = tf * (K1 + 1) / (tf + norm[self.places])
-        # the most frequent terms as a matrix, with each block's maxima
-        size = self.end - self.start
-        self.dense = np.sort(np.argsort(-size, kind="stable")[:DENSE])
-        self.slot = np.full(len(self.terms), -1)
-        self.slot[self.dense] = np.arange(len(self.dense))
+        # each term's cells: the blocks where it is, where its postings of that block begin and end, their largest weight
         self.blocks = -(-self.n // PLACES)
-        self.matrix = np.zeros((self.blocks * PLACES, len(self.dense)))
-        for j, t in enumerate(self.dense):
-            at = slice(self.start[t], self.end[t])
-            self.matrix[self.places[at], j] = self.weight[at]
-        self.maxima = self.matrix.reshape(self.blocks, PLACES, -1).max(axis=1)
-
-    def search(self, queries: list[tuple[np.ndarray, np.ndarray]], k: int, floors: list[float] | None = None) -> list[tuple[np.ndarray, np.ndarray]]:
-        """queries: (term hashes, idf weights). For each, places and scores of its k best here that reach its floor."""
-        m, width = len(queries), self.blocks * PLACES
-        rare, q = np.zeros((m, width)), np.zeros((m, len(self.dense)))
-        for i, (terms, weights) in enumerate(queries):
-            at = np.searchsorted(self.terms, terms)
-            ok = (at < len(self.terms)) & (self.terms[np.minimum(at, max(len(self.terms) - 1, 0))] == terms) if len(self.terms) else np.zeros(len(terms), bool)
-            at, w = at[ok], weights[ok]
-            slot = self.slot[at]
-            q[i, slot[slot >= 0]] = w[slot >= 0]
-            at, w = at[slot < 0], w[slot < 0]
-            if len(at):
-                sizes = self.end[at] - self.start[at]
-                where = np.repeat(self.start[at] - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())
-                rare[i] = np.bincount(self.places[where], np.repeat(w, sizes) * self.weight[where], minlength=width)
-        bound = rare.reshape(m, self.blocks, PLACES).max(axis=2) + q @ self.maxima.T
-        best = np.zeros((m, k))  # the k best scores so far, at least the floor; a result scores above 0
-        if floors is not None:
-            best += np.array(floors)[:, None]
-        found: list[list] = [[] for _ in range(m)]
-        for b in np.argsort(-bound.max(axis=0), kind="stable"):
-            live = np.flatnonzero(bound[:, b] + 1e-6 >= np.maximum(best[:, 0], 1e-12))
-            if not len(live):
-                continue
-            at = slice(b * PLACES, (b + 1) * PLACES)
-            scores = np.round(rare[live, at] + q[live] @ self.matrix[at].T, 6)
-            rows, cols = np.nonzero((scores >= best[live, :1]) & (scores > 0))
-            for r in np.unique(rows):
-                i, c = live[r], cols[rows == r]
-                found[i].append((c + b * PLACES, scores[r, c]))
-                best[i] = np.sort(np.concatenate([best[i], scores[r, c]]))[-k:]
-        out = []
-        for i in range(m):
-            if not found[i]:
-                out.append((np.empty(0, np.int64), np.empty(0)))
-                continue
-            places, scores = (np.concatenate(x) for x in zip(*found[i]))
-            order = np.lexsort((self.ids[places], -scores))[:k]
-            out.append((places[order], scores[order]))
-        return out
-
-
-def _looked_up(index: DataFrame, queries: list[tuple], floors: dict[int, float], k: int, mean: float) -> DataFrame:
-    """q, query_id, doc_id, score of the k best of each shard that reach the query's floor."""
-    held = index.sparkSession.sparkContext.broadcast([(*q, floors.get(q[0], 0.0)) for q in queries])
+        key = np.repeat(np.arange(len(self.terms)), self.end - self.start) * max(self.blocks, 1) + self.places // PLACES
+        self.cell_from = np.flatnonzero(np.diff(key, prepend=-1))
+        self.cell_to = np.append(self.cell_from[1:], len(key))
+        self.cell_max = np.maximum.reduceat(self.weight, self.cell_from) if len(key) else np.empty(0)
+        self.cell_block = key[self.cell_from] % max(self.blocks, 1)
+        self.first_cell = np.searchsorted(self.cell_from, np.append(self.start, len(key)))
+        self.postings_read = self.postings_met = 0  # of the queries' terms: summed, and all there are
+
+    def search(self, terms: np.ndarray, weights: np.ndarray, k: int, floor: float = 0.0) -> tuple[np.ndarray, np.ndarray]:
+        """A query's term hashes and idf weights. Places and scores of its k best here that reach the floor."""
+        at = np.searchsorted(self.terms, terms)
+        ok = at < len(self.terms)
+        ok[ok] = self.terms[at[ok]] == terms[ok]
+        at, weights = at[ok], weights[ok]
+        none = np.empty(0, np.int64), np.empty(0)
+        if not len(at):
+            return none
+        self.postings_met += int((self.end[at] - self.start[at]).sum())
+        cells = _runs(self.first_cell[at], self.first_cell[at + 1])
+        weight = np.repeat(weights, self.first_cell[at + 1] - self.first_cell[at])
+        block = self.cell_block[cells]
+        bound = np.bincount(block, weight * self.cell_max[cells], minlength=self.blocks) + 1e-6
+        order = np.argsort(block, kind="stable")
+        cells, weight, ends = cells[order], weight[order], np.searchsorted(block[order], np.arange(self.blocks + 1))
+        best, found, b = np.full(k, floor), [], 0  # the k best scores so far, at least the floor; a result scores above 0
+        while b < self.blocks:
+            ahead = bound[b:] >= max(best[0], 1e-12)
+            b += int(ahead.argmax())  # the pivot
+            if bound[b] < max(best[0], 1e-12):
+                break
+            mine = slice(ends[b], ends[b + 1])
+            begin, end = self.cell_from[cells[mine]], self.cell_to[cells[mine]]
+            where = _runs(begin, end)
+            self.postings_read += len(where)
+            scores = np.round(np.bincount(self.places[where] - b * PLACES, np.repeat(weight[mine], end - begin) * self.weight[where], minlength=PLACES), 6)
+            good = np.flatnonzero((scores >= best[0]) & (scores > 0))
+            if len(good):
+                found.append((good + b * PLACES, scores[good]))
+                best = np.sort(np.concatenate([best, scores[good]]))[-k:]
+            b += 1
+        if not found:
+            return none
+        places, scores = (np.concatenate(x) for x in zip(*found))
+        order = np.lexsort((self.ids[places], -scores))[:k]
+        return places[order], scores[order]
+
+
+def _runs(begin: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """begin[0], ..., end[0] - 1, begin[1], ..., one after the other."""
+    sizes = end - begin
+    return np.repeat(begin - (np.cumsum(sizes) - sizes), sizes) + np.arange(int(sizes.sum()))
+
+
+def _looked_up(index: DataFrame, held, floors: dict[int, float], k: int, mean: float) -> DataFrame:
+    """q, query_id, doc_id, score of the k best of each shard that reach the query's floor. held: the queries, broadcast."""
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
                 shard, out = Shard(row, mean), []
-                for at in range(0, len(held.value), TOGETHER):
-                    few = held.value[at : at + TOGETHER]
-                    for (q, query_id, *_), (places, scores) in zip(few, shard.search([x[2:4] for x in few], k, [x[4] for x in few])):
-                        out += [(q, query_id, None if shard.null[p] else int(shard.ids[p]), float(s)) for p, s in zip(places, scores)]
+                for q, query_id, terms, weights in held.value:
+                    places, scores = shard.search(terms, weights, k, floors.get(q, 0.0))
+                    out += [(q, query_id, None if shard.null[p] else int(shard.ids[p]), float(s)) for p, s in zip(places, scores)]
                 cols = list(zip(*out)) if out else [[], [], [], []]
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.float64()))], ["q", "query_id", "doc_id", "score"])
 
@@ -208,6 +214,8 @@ def search_all(docs: DataFrame, queries: DataFrame, k: int = 10, block: int = BL
     weighed = weighed.groupBy("q", "query_id").agg(F.array_sort(F.collect_list(F.struct("term", idf.alias("w")))).alias("terms"))  # one query's words
     weighed = written(weighed.withColumn("block", F.pmod(F.xxhash64("q"), F.lit(max(1, -(-asked.count() // block))))), "weighed-queries")
 
+    place = F.row_number().over(Window.partitionBy("q").orderBy(F.desc("score"), F.col("doc_id").asc_nulls_first()))
+    best = lambda found: found.withColumn("rank", place).filter(F.col("rank") <= k)
     out = None
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1")
     # an eighth of the shards first: a query's k-th best score there is a floor for all others, which prune by it from the start
@@ -217,13 +225,37 @@ def search_all(docs: DataFrame, queries: DataFrame, k: int = 10, block: int = BL
         some = weighed.filter(F.col("block") == b).select("q", "query_id", "terms.term", "terms.w").collect()  # about ``block`` queries
         if not some:
             continue
-        queries_held = [(r["q"], r["query_id"], np.array(r["term"], np.int64), np.array(r["w"])) for r in some]
-        first = written(_looked_up(index.filter(early), queries_held, {}, k, mean), "first-shards")
-        kth = first.groupBy("q").agg(F.count("*").alias("n"), F.slice(F.sort_array(F.collect_list("score"), asc=False), k, 1)[0].alias("floor"))  # k a shard
-        floors = {r["q"]: r["floor"] for r in kth.filter(F.col("n") >= k).collect()}
-        one = first.unionByName(_looked_up(index.filter(~early), queries_held, floors, k, mean))
+        held = spark.sparkContext.broadcast([(r["q"], r["query_id"], np.array(r["term"], np.int64), np.array(r["w"])) for r in some])
+        del some
+        first = written(best(_looked_up(index.filter(early), held, {}, k, mean)), "first-shards")
+        floors = {r["q"]: r["score"] for r in first.filter(F.col("rank") == k).collect()}  # a row a query of the block
+        one = written(best(first.drop("rank").unionByName(_looked_up(index.filter(~early), held, floors, k, mean))), "found")
+        held.unpersist()  # this block's results are written
         out = one if out is None else out.unionByName(one)
     if out is None:
         return spark.createDataFrame([], "query_id long, rank int, doc_id long, score double")
-    place = F.row_number().over(Window.partitionBy("q").orderBy(F.desc("score"), F.col("doc_id").asc_nulls_first()))
-    return out.withColumn("rank", place).filter(F.col("rank") <= k).select("query_id", "rank", "doc_id", "score")
+    return out.select("query_id", "rank", "doc_id", "score")
+
+
+def pruning_report(docs: DataFrame, queries: DataFrame, k: int = 10, text_column: str = "text") -> tuple[int, int]:
+    """(postings summed, postings of the queries' terms) over all shards, from the results' own floors. For tables that fit the
+    driver; it tells what pruning saves."""
+    ranks = {}
+    for r in search_all(docs, queries, k, text_column=text_column).filter(F.col("rank") == k).collect():
+        ranks[r["query_id"]] = r["score"]
+    arrow_batches(docs.sparkSession, 256)
+    parts, hashes = index_rows(rows_of(docs, text_column=text_column)).collect(), TermHashes()
+    n = sum(len(p["ids"]) for p in parts)
+    words = sum(int(np.frombuffer(p["lengths"], np.int64).sum()) for p in parts)
+    df: Counter = Counter()
+    for p in parts:
+        df.update(dict(zip(np.frombuffer(p["terms"], np.int64).tolist(), np.diff(np.frombuffer(p["ends"], np.int64), prepend=0).tolist())))
+    shards, read, met = [Shard(p.asDict(), words / max(n, 1)) for p in parts], 0, 0
+    for r in rows_of(queries, text_column=text_column).collect():
+        terms = np.array(sorted(terms_of(r["text"], hashes)), np.int64)
+        weights = np.array([np.log(1 + (n - df[t] + 0.5) / (df[t] + 0.5)) for t in terms.tolist()])
+        for shard in shards:
+            shard.search(terms, weights, k, ranks.get(r["doc_id"], 0.0))
+    for shard in shards:
+        read, met = read + shard.postings_read, met + shard.postings_met
+    return read, met
