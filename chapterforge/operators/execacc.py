@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: roots of plans that read; any other is refused before it is analyzed
-_READS = ("Project", "Aggregate", "Sort", "GlobalLimit", "LocalLimit", "Filter", "Distinct", "Union", "Intersect", "Except", "UnresolvedWith", "WithCTE", "UnresolvedHaving", "SubqueryAlias", "UnresolvedInlineTable", "OneRowRelation", "UnresolvedOrdinal", "Offset", "Window", "Join", "UnresolvedRelation", "UnresolvedSubqueryColumnAliases", "Deduplicate")
+_READS = ("LocalRelation", "Project", "Aggregate", "Sort", "GlobalLimit", "LocalLimit", "Filter", "Distinct", "Union", "Intersect", "Except", "UnresolvedWith", "WithCTE", "UnresolvedHaving", "SubqueryAlias", "UnresolvedInlineTable", "OneRowRelation", "UnresolvedOrdinal", "Offset", "Window", "Join", "UnresolvedRelation", "UnresolvedSubqueryColumnAliases", "Deduplicate")
 #: what no node of a query may be: a command, a statement (an insert is one), a program that rows are piped through
 _ACTS = ("Command", "ParsedStatement", "ScriptTransformation")
 
