@@ -3,8 +3,8 @@
 Size-partitioned MinHash containment search. An item's sketch is the set of its smallest shingle hashes; items are
 partitioned by their number of shingles (powers of two), and a partition's sketch is one larger than the number of
 shingles that an item of its largest size may miss at the threshold. So any document that contains enough of an
-item holds a shingle of its sketch, however long the document is: the search loses nothing, and sketches stay
-small. Candidates are verified by the exact share of the item's distinct shingles that the document has.
+item holds a shingle of its sketch, however long the document is. Documents aren't sketched: all their shingles are looked up, which makes
+the search a prefix filter in hash order that loses nothing, where two sketches would lose some; only items' sketches are held, and stay small. Candidates are verified by the exact share of the item's distinct shingles that the document has.
 
 Words are runs of letters and digits, lower-cased; shingles have five words. An item of fewer words is one shingle, of
 all its words. Only DataFrame functions are used.

@@ -73,6 +73,8 @@ class Lattice:
                 h, self.keys[at], held, self.ids[at] = int(self.keys[at]), np.uint64(h), int(self.ids[at]), held
                 one, two = self._places(h)
                 at = two if at == one else one
+            else:
+                raise ValueError(f"no place for piece {piece!r}: the table is too full")
             self.keys[at], self.ids[at], full[at] = np.uint64(h), held, True
 
     def _places(self, h: int) -> tuple[int, int]:

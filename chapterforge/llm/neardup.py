@@ -5,7 +5,8 @@ shingle of all its words). Texts with equal words are one node. A node's signatu
 for weighted Jaccard similarity: each shingle's weight axis is cut into dyadic intervals [0,1), [1,2), [2,4), ...; each
 interval has its own Poisson process, seeded by shingle and interval, whose points arrive in order of time at a
 random component and weight; points above the shingle's count are passed over, and a process ends once its time is
-past all components' minima. A component is the time of its first point.
+past all components' minima. A component is the time of its first point. The law is that of one process over the whole weight axis that is
+split at its points; here the levels are independent processes from the start, which needs no parent's points to draw a child's.
 
 Nodes that agree on a band of ``ROWS`` components are compared. Buckets of up to ``SMALL`` nodes compare all pairs. Larger
 ones first compare their smallest node with the others, which makes a group of near copies one class in linear work. Those

@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from .common import arrow_batches, frugal, rows_of, written
 
 K1, B = 1.2, 0.75
-SHARD, BLOCK, PLACES = 8192, 2048, 64
+SHARD, BLOCK, PLACES = 8192, 2048, 256
 MARKS = string.punctuation + "…«»“”„’‘¿¡"
 
 
