@@ -107,16 +107,6 @@ def test_bayes_reads_whole_texts(spark):
         assert {r["doc_id"]: r["predicted"] for r in filtering.bayes_scores(long, even, **form).collect()} == {1: 5, 2: 1, 3: 5}
 
 
-def test_rollup_holds_empty_documents(spark):
-    from chapterforge.llm import rollups
-
-    texts = [(1, "one two", "en", "a"), (2, "", "en", "a"), (3, None, "en", "b"), (3, None, "en", "b"), (4, "  ", None, "c"), (5, "", "de", None)]
-    held = rollups.rollup(spark.createDataFrame(texts, "doc_id long, text string, lang string, source string")).collect()
-    assert {(r["source"], r["lang"]): r["docs"] for r in held} == {("a", "en"): 2, ("b", "en"): 2, ("c", None): 1, (None, "de"): 1}
-    tokens = {(r["source"], r["lang"]): r["tokens"] for r in held}
-    assert tokens["a", "en"] == 2 and tokens["b", "en"] == 0 and tokens[None, "de"] == 0
-
-
 def test_loss_of_every_recipe(spark, data):
     got = workloads.queries()["w9_recipe_loss"](spark, data).collect()
     assert {(r["recipe"], r["mask"]) for r in got} == {(x, m) for x in curriculum.RECIPES if x != "base" for m in ("all", "output")}
