@@ -123,3 +123,20 @@ def test_pipeline(spark, data, tmp_path):
     assert ids[3] == ids[2] == ids[4] and all(d.columns == ["doc_id", "text", "lang", "source", "n_chars"] for d in held[:4])
     assert not [r for r in held[3].collect() if re.search(r"AKIA[A-Z0-9]{12,}|[0-9a-f]{32,}", r["text"])]
     assert all(r["n_chars"] == len(r["text"]) for r in held[3].collect())
+
+
+@pytest.mark.parametrize("empty", [False, True])
+def test_pipeline_edges(spark, tmp_path, empty):
+    """Null ids and texts, repeated rows, ties, a long text and extra columns with clashing names; then empty tables."""
+    pipeline = pytest.importorskip("corpus_pipeline")
+    item = " ".join(f"bench{i}" for i in range(30))
+    rows = [(1, "plain words here that stay as they are", "en", "a", 7), (1, "plain words here that stay as they are", "en", "a", 7), (2, None, None, None, None), (None, "a text without an id that stays too", "en", "b", 1)]
+    rows += [(3, "", "en", "a", 0), (4, f"before {item} after", "en", "a", 1), (5, "mine: token=abcdef123456789 and words", "de", "c", 1), (6, "long " * 20000, "en", "a", 1)]
+    rows = [] if empty else [(*r, "x", 1) for r in rows]
+    spark.createDataFrame(rows, DOC + ", class string, length int").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([] if empty else [(1, 1, 0), (2, 1, None), (None, 0, 1)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    spark.createDataFrame([] if empty else [(1, item), (2, None)], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    got = pipeline.run(spark, str(tmp_path)).collect()
+    # one of the repeated rows; of the null and the empty text the smaller id; the leak is gone; the secret is masked, its row stays
+    assert collections.Counter(r["doc_id"] for r in got if r["piece"] == 0) == collections.Counter([] if empty else [1, 2, None, 5, 6])
+    assert sum(r["length"] for r in got if r["doc_id"] == 6) == (0 if empty else 20001)
