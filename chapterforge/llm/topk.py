@@ -10,6 +10,9 @@ without a look at the postings between, the block's postings are summed, the k-t
 end: block-max WAND whose pivots are blocks instead of documents, as blocks of places are alike for all terms. What is skipped can't
 reach the k-th best, so the top k are exact. An eighth of the shards goes first; its k-th best scores are where the others begin.
 
+Up to ``TOGETHER`` queries go through a shard side by side. The ``DENSE`` most frequent terms' postings of a block are a matrix, summed in one
+product for all queries that stop there; other terms' postings are added one by one.
+
 Words are split by white space, lower-cased, stripped of marks, and stand for themselves by 64-bit hashes. Scores are rounded to 6 digits;
 equal ones are ordered by doc_id.
 
@@ -33,7 +36,7 @@ from pyspark.sql import functions as F
 from .common import arrow_batches, frugal, rows_of, written
 
 K1, B = 1.2, 0.75
-SHARD, BLOCK, PLACES = 8192, 2048, 256
+SHARD, BLOCK, PLACES, DENSE, TOGETHER, TERMS = 8192, 2048, 256, 512, 128, 40_000
 MARKS = string.punctuation + "…«»“”„’‘¿¡"
 
 
@@ -113,45 +116,72 @@ class Shard:
         self.cell_max = np.maximum.reduceat(self.weight, self.cell_from) if len(key) else np.empty(0)
         self.cell_block = key[self.cell_from] % max(self.blocks, 1)
         self.first_cell = np.searchsorted(self.cell_from, np.append(self.start, len(key)))
+        # the most frequent terms' postings of a block lie as a matrix, zeros between, with their maxima and numbers by block
+        size = self.end - self.start
+        self.dense = np.sort(np.argsort(-size, kind="stable")[:DENSE])
+        self.slot = np.full(len(self.terms), -1)
+        self.slot[self.dense] = np.arange(len(self.dense))
+        self.matrix = np.zeros((self.blocks, len(self.dense), PLACES))
+        at, column = _runs(self.start[self.dense], self.end[self.dense]), np.repeat(np.arange(len(self.dense)), size[self.dense])
+        self.matrix[self.places[at] // PLACES, column, self.places[at] % PLACES] = self.weight[at]
+        self.maxima, self.filled = self.matrix.max(axis=2).T, (self.matrix > 0).sum(axis=2).T
         self.postings_read = self.postings_met = 0  # of the queries' terms: summed, and all there are
 
-    def search(self, terms: np.ndarray, weights: np.ndarray, k: int, floor: float = 0.0) -> tuple[np.ndarray, np.ndarray]:
-        """A query's term hashes and idf weights. Places and scores of its k best here that reach the floor."""
+    def search(self, queries: list[tuple[np.ndarray, np.ndarray]], k: int, floors: list[float]) -> list[tuple[np.ndarray, np.ndarray]]:
+        """queries: term hashes and idf weights of each. Places and scores of each one's k best here that reach its floor.
+
+        The queries' cursors go through the blocks side by side: at a block stop those whose pivot it is, and their scores there are one
+        sum of the rare terms' postings and one product of matrices for the frequent terms.
+        """
+        m, none = len(queries), (np.empty(0, np.int64), np.empty(0))
+        terms, weights = (np.concatenate([q[i] for q in queries]) for i in (0, 1))
+        owner = np.repeat(np.arange(m), [len(q[0]) for q in queries])
         at = np.searchsorted(self.terms, terms)
         ok = at < len(self.terms)
         ok[ok] = self.terms[at[ok]] == terms[ok]
-        at, weights = at[ok], weights[ok]
-        none = np.empty(0, np.int64), np.empty(0)
+        at, weights, owner = at[ok], weights[ok], owner[ok]
         if not len(at):
-            return none
+            return [none] * m
         self.postings_met += int((self.end[at] - self.start[at]).sum())
-        cells = _runs(self.first_cell[at], self.first_cell[at + 1])
-        weight = np.repeat(weights, self.first_cell[at + 1] - self.first_cell[at])
+        q, slot = np.zeros((m, len(self.dense))), self.slot[at]
+        q[owner[slot >= 0], slot[slot >= 0]] = weights[slot >= 0]
+        at, weights, owner = at[slot < 0], weights[slot < 0], owner[slot < 0]
+        cells, sizes = _runs(self.first_cell[at], self.first_cell[at + 1]), self.first_cell[at + 1] - self.first_cell[at]
+        weight, owner = np.repeat(weights, sizes), np.repeat(owner, sizes)
         block = self.cell_block[cells]
-        bound = np.bincount(block, weight * self.cell_max[cells], minlength=self.blocks) + 1e-6
+        bound = np.bincount(owner * self.blocks + block, weight * self.cell_max[cells], minlength=m * self.blocks).reshape(m, -1) + q @ self.maxima + 1e-6
         order = np.argsort(block, kind="stable")
-        cells, weight, ends = cells[order], weight[order], np.searchsorted(block[order], np.arange(self.blocks + 1))
-        best, found, b = np.full(k, floor), [], 0  # the k best scores so far, at least the floor; a result scores above 0
-        while b < self.blocks:
-            ahead = bound[b:] >= max(best[0], 1e-12)
-            b += int(ahead.argmax())  # the pivot
-            if bound[b] < max(best[0], 1e-12):
-                break
+        cells, weight, owner, ends = cells[order], weight[order], owner[order], np.searchsorted(block[order], np.arange(self.blocks + 1))
+        best = np.tile(np.array(floors, dtype=float)[:, None], k)  # the k best scores so far, at least the floor; a result scores above 0
+        found: list[list] = [[] for _ in range(m)]
+        for b in range(self.blocks):
+            stops = bound[:, b] >= np.maximum(best[:, 0], 1e-12)  # the queries whose pivot is this block
+            live = np.flatnonzero(stops)
+            if not len(live):
+                continue
             mine = slice(ends[b], ends[b + 1])
-            begin, end = self.cell_from[cells[mine]], self.cell_to[cells[mine]]
-            where = _runs(begin, end)
-            self.postings_read += len(where)
-            scores = np.round(np.bincount(self.places[where] - b * PLACES, np.repeat(weight[mine], end - begin) * self.weight[where], minlength=PLACES), 6)
-            good = np.flatnonzero((scores >= best[0]) & (scores > 0))
-            if len(good):
-                found.append((good + b * PLACES, scores[good]))
-                best = np.sort(np.concatenate([best, scores[good]]))[-k:]
-            b += 1
-        if not found:
-            return none
-        places, scores = (np.concatenate(x) for x in zip(*found))
-        order = np.lexsort((self.ids[places], -scores))[:k]
-        return places[order], scores[order]
+            here = stops[owner[mine]]
+            begin, end = self.cell_from[cells[mine][here]], self.cell_to[cells[mine][here]]
+            where, row = _runs(begin, end), (np.cumsum(stops) - 1)[owner[mine][here]]
+            self.postings_read += len(where) + int(((q[live] > 0) @ self.filled[:, b]).sum())
+            sums = np.bincount(
+                np.repeat(row * PLACES - b * PLACES, end - begin) + self.places[where], np.repeat(weight[mine][here], end - begin) * self.weight[where], minlength=len(live) * PLACES
+            )
+            scores = np.round(sums.reshape(len(live), PLACES) + q[live] @ self.matrix[b], 6)
+            good = (scores >= best[live, :1]) & (scores > 0)
+            rows = np.flatnonzero(good.any(axis=1))
+            for r in rows:
+                at_r = np.flatnonzero(good[r])
+                found[live[r]].append((at_r + b * PLACES, scores[r, at_r]))
+            if len(rows):
+                every = np.concatenate([best[live[rows]], np.where(good[rows], scores[rows], 0.0)], axis=1)
+                best[live[rows]] = np.sort(np.partition(every, -k, axis=1)[:, -k:], axis=1)
+        out = []
+        for i in range(m):
+            places, scores = (np.concatenate(x) for x in zip(*found[i])) if found[i] else none
+            order = np.lexsort((self.ids[places], -scores))[:k]
+            out.append((places[order], scores[order]))
+        return out
 
 
 def _runs(begin: np.ndarray, end: np.ndarray) -> np.ndarray:
@@ -160,6 +190,19 @@ def _runs(begin: np.ndarray, end: np.ndarray) -> np.ndarray:
     return np.repeat(begin - (np.cumsum(sizes) - sizes), sizes) + np.arange(int(sizes.sum()))
 
 
+def _together(queries: list[tuple]) -> Iterator[list[tuple]]:
+    """Runs of at most ``TOGETHER`` queries and ``TERMS`` terms; a query of more terms is alone."""
+    few, terms = [], 0
+    for query in queries:
+        if few and (len(few) == TOGETHER or terms + len(query[2]) > TERMS):
+            yield few
+            few, terms = [], 0
+        few.append(query)
+        terms += len(query[2])
+    if few:
+        yield few
+
+
 def _looked_up(index: DataFrame, held, floors: dict[int, float], k: int, mean: float) -> DataFrame:
     """q, query_id, doc_id, score of the k best of each shard that reach the query's floor. held: the queries, broadcast."""
 
@@ -167,9 +210,9 @@ def _looked_up(index: DataFrame, held, floors: dict[int, float], k: int, mean: f
         for batch in batches:
             for row in batch.to_pylist():
                 shard, out = Shard(row, mean), []
-                for q, query_id, terms, weights in held.value:
-                    places, scores = shard.search(terms, weights, k, floors.get(q, 0.0))
-                    out += [(q, query_id, None if shard.null[p] else int(shard.ids[p]), float(s)) for p, s in zip(places, scores)]
+                for few in _together(held.value):
+                    for (q, query_id, *_), (places, scores) in zip(few, shard.search([x[2:] for x in few], k, [floors.get(x[0], 0.0) for x in few])):
+                        out += [(q, query_id, None if shard.null[p] else int(shard.ids[p]), float(s)) for p, s in zip(places, scores)]
                 cols = list(zip(*out)) if out else [[], [], [], []]
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.float64()))], ["q", "query_id", "doc_id", "score"])
 
@@ -255,7 +298,7 @@ def pruning_report(docs: DataFrame, queries: DataFrame, k: int = 10, text_column
         terms = np.array(sorted(terms_of(r["text"], hashes)), np.int64)
         weights = np.array([np.log(1 + (n - df[t] + 0.5) / (df[t] + 0.5)) for t in terms.tolist()])
         for shard in shards:
-            shard.search(terms, weights, k, ranks.get(r["doc_id"], 0.0))
+            shard.search([(terms, weights)], k, [ranks.get(r["doc_id"], 0.0)])
     for shard in shards:
         read, met = read + shard.postings_read, met + shard.postings_met
     return read, met

@@ -78,8 +78,17 @@ def test_components(spark):
     assert all(got[i] == 1 for i in range(2, 10)) and got[21] == 20 and got[30] == 22
 
 
-def test_top_k_is_exact(spark, data, monkeypatch):
-    monkeypatch.setattr(topk, "PLACES", 16)
+def test_queries_go_together_within_bounds():
+    asked = [(i, i, range(n)) for i, n in enumerate([5] * 300 + [topk.TERMS + 1, 1, topk.TERMS, 0])]
+    runs = list(topk._together(asked))
+    assert [x for run in runs for x in run] == asked and max(map(len, runs)) == topk.TOGETHER and list(topk._together([])) == []
+    assert all(len(run) == 1 or sum(len(x[2]) for x in run) <= topk.TERMS for run in runs)
+
+
+@pytest.mark.parametrize("dense,together", [(512, 128), (3, 2)])
+def test_top_k_is_exact(spark, data, monkeypatch, dense, together):
+    for name, value in (("PLACES", 16), ("DENSE", dense), ("TOGETHER", together)):
+        monkeypatch.setattr(topk, name, value)
     rows = [(r["doc_id"], r["text"]) for r in spark.read.parquet(f"{data}/documents.parquet").collect()] + [(50, "same words here"), (None, "same words here"), (300, None), (350, ""), (50, "other")]
     frame = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in rows], DOC)
     got = collections.defaultdict(list)
