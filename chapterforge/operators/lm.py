@@ -42,6 +42,44 @@ def sequence_nll(texts: DataFrame, model: BigramModel) -> DataFrame:
     return token_losses(texts, model).groupBy("id").agg(F.count("*").alias("n"), F.round(F.sum("nll"), 4).alias("nll"))
 
 
+def grams_of(texts: DataFrame, order: int) -> DataFrame:
+    """id, pos, tok, ctx1 ... ctx{order - 1}: each token with what stands before it, by number of tokens; start symbols lead."""
+    words = F.concat(F.array_repeat(F.lit(BEGIN), order - 1), tokens(F.col("text")))
+    one = lambda i: F.struct(
+        i.alias("pos"), F.get("w", i + (order - 2)).alias("tok"), *[F.array_join(F.slice("w", i + (order - 1) - m, m), " ").alias(f"ctx{m}") for m in range(1, order)]
+    )
+    return texts.select("id", words.alias("w")).filter(F.size("w") > order - 1).select("id", F.inline(F.transform(F.sequence(F.lit(1), F.size("w") - (order - 1)), one)))
+
+
+class BackoffModel:
+    """Counts of each order. A token's probability is add-k smoothed after the longest context that training saw, so each context's
+    probabilities sum to 1 over the vocabulary; without any seen context it is the smoothed share of the token alone."""
+
+    def __init__(self, texts: DataFrame, order: int, k: float = 0.1):
+        grams = grams_of(texts, order)
+        self.order, self.k = order, k
+        self.counts = {m: grams.groupBy(f"ctx{m}", "tok").agg(F.count("*").alias(f"n{m}")) for m in range(1, order)}
+        self.contexts = {m: self.counts[m].groupBy(f"ctx{m}").agg(F.sum(f"n{m}").alias(f"total{m}")) for m in range(1, order)}
+        self.tokens = grams.groupBy("tok").agg(F.count("*").alias("n0"))
+        held = self.tokens.agg(F.count("*").alias("v"), F.sum("n0").alias("n")).first()
+        self.vocabulary, self.total = held["v"], held["n"] or 0
+
+    def token_losses(self, texts: DataFrame) -> DataFrame:
+        """id, pos, context (how many tokens of context were used), nll. Equal grams are joined once, by their number."""
+        keys = [f"ctx{m}" for m in range(1, self.order)]
+        grams = grams_of(texts, self.order)
+        kinds = grams.select("tok", *keys).distinct().join(self.tokens, "tok", "left")
+        for m in range(1, self.order):
+            kinds = kinds.join(self.counts[m], [f"ctx{m}", "tok"], "left").join(self.contexts[m], f"ctx{m}", "left")
+        smooth = lambda n, total: (F.coalesce(n, F.lit(0)) + self.k) / (total + self.k * self.vocabulary)
+        p, used = smooth(F.col("n0"), F.lit(self.total)), F.lit(0)
+        for m in range(1, self.order):
+            seen = F.col(f"total{m}").isNotNull()
+            p, used = F.when(seen, smooth(F.col(f"n{m}"), F.col(f"total{m}"))).otherwise(p), F.when(seen, F.lit(m)).otherwise(used)
+        scored = kinds.select("tok", *keys, used.alias("context"), (-F.log(p)).alias("nll"))
+        return grams.join(scored, ["tok", *keys]).select("id", "pos", "context", "nll")
+
+
 def loss_mask(n_in, n_out, mode: str = "output"):
     """A weight for each token: all of them, or the output's alone."""
     weight = (lambda i: F.lit(1)) if mode == "all" else (lambda i: F.when(i > n_in, 1).otherwise(0))

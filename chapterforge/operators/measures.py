@@ -120,8 +120,9 @@ def context_exceeded(prompts: DataFrame, limit: int, by: list[str]) -> DataFrame
 
 
 def input_profile(examples: DataFrame, by: list[str]) -> DataFrame:
-    """examples: n_in, n_candidates, n_gold."""
+    """examples: n_in, n_candidates, n_gold. Means, maxima and exact percentiles (between two values: in proportion)."""
     return examples.groupBy(*by).agg(
-        F.count("*").alias("questions"), F.avg("n_in").alias("avg_tokens"), F.max("n_in").alias("max_tokens"), F.avg("n_candidates").alias("avg_candidates"),
+        F.count("*").alias("questions"), F.avg("n_in").alias("avg_tokens"), F.max("n_in").alias("max_tokens"), F.percentile("n_in", 0.5).alias("p50_tokens"),
+        F.percentile("n_in", 0.95).alias("p95_tokens"), F.avg("n_candidates").alias("avg_candidates"),
         F.avg("n_gold").alias("avg_gold"), F.count_if(F.col("n_gold") > 1).alias("several_gold"),
     )

@@ -1,4 +1,4 @@
-"""Chapter 2 on the given tables: rows of nations, suppliers and customers as text; sub-schemas of the sales database."""
+"""Chapter 2 on the given tables: rows of nations, suppliers, customers and parts as text; sub-schemas of the sales database."""
 
 from __future__ import annotations
 
@@ -15,6 +15,7 @@ _ITEMS = """
 select 'nation|' || r_name as table_id, n_nationkey::bigint as row_no, n_name as name, n_nationkey::bigint as number from nation join region on n_regionkey = r_regionkey
 union all select 'supplier|' || n_name, s_suppkey, s_name, round(s_acctbal * 100)::bigint from supplier join nation on s_nationkey = n_nationkey
 union all select 'customer|' || n_name || '|' || c_mktsegment, c_custkey, c_name, round(c_acctbal * 100)::bigint from customer join nation on c_nationkey = n_nationkey
+union all select 'part|' || p_brand, p_partkey, p_name, round(p_retailprice * 100)::bigint from part
 """
 
 
@@ -25,7 +26,8 @@ def row_items(spark, sf_dir) -> DataFrame:
     one = t("nation").join(F.broadcast(t("region")), F.col("n_regionkey") == F.col("r_regionkey")).select(F.concat(F.lit("nation|"), "r_name").alias("table_id"), F.col("n_nationkey").cast("long").alias("row_no"), F.col("n_name").alias("name"), F.col("n_nationkey").cast("long").alias("number"))
     two = t("supplier").join(nation, F.col("s_nationkey") == F.col("n_nationkey")).select(F.concat(F.lit("supplier|"), "n_name"), "s_suppkey", "s_name", cents("s_acctbal"))
     three = t("customer").join(nation, F.col("c_nationkey") == F.col("n_nationkey")).select(F.concat_ws("|", F.lit("customer"), "n_name", "c_mktsegment"), "c_custkey", "c_name", cents("c_acctbal"))
-    rows = one.union(two).union(three)
+    four = t("part").select(F.concat(F.lit("part|"), "p_brand"), "p_partkey", "p_name", cents("p_retailprice"))
+    rows = one.union(two).union(three).union(four)
     cells = F.create_map(F.lit("name"), F.col("name"), F.lit("number"), F.col("number").cast("string"))
     return rows.select("table_id", "row_no", F.col("table_id").alias("page_title"), F.lit("records").alias("section_title"), F.lit("all rows").alias("caption"), F.array(F.lit("name"), F.lit("number")).alias("header"), cells.alias("cells"))
 

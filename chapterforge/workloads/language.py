@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.text import count_tokens
+from ..functions.text import count_tokens, in_sample
 from ..operators import lm
 from ..plans import curriculum
 from . import alignment as rows_of
@@ -87,8 +87,6 @@ def w9_exposure(spark, sf_dir):
 def w9_recipe_loss(spark, sf_dir):
     """Loss of held-out pairs (a tenth) under count models of each recipe's examples, over outputs and over all tokens."""
     every = examples(spark, sf_dir).withColumn("text", F.concat_ws(" ", "instruction", "data", "query", "output"))
-    from ..functions.text import in_sample
-
     held = (F.col("task") == "pairs") & in_sample(F.col("example_id"), 0.1, 31)
     test = every.filter(held).select(F.col("example_id").alias("id"), "text", "n_in")
     out = None
@@ -115,6 +113,30 @@ def w13_sequence_nll(spark, sf_dir):
     return lm.sequence_nll(texts, lm.fit_bigrams(texts))
 
 
+_HELD = sample_sql("conv_id", 0.2, 41)
+
+
+@workload(
+    f"""with w as (select conv_id * 1000 + turn as id, {_HELD} as held_out, ['<s>', '<s>'] || {tok("text")} as w from conversations),
+    grams as (select id, held_out, w[i + 2] as tok, w[i + 1] as c1, w[i] || ' ' || w[i + 1] as c2 from (select *, unnest(range(1, len(w) - 1)) as i from w)),
+    seen as (select * from grams where not held_out), size as (select count(distinct tok) as v, count(*) as n from seen),
+    n0 as (select tok, count(*) as n from seen group by 1), n1 as (select c1, tok, count(*) as n from seen group by 1, 2), n2 as (select c2, tok, count(*) as n from seen group by 1, 2),
+    t1 as (select c1, count(*) as n from seen group by 1), t2 as (select c2, count(*) as n from seen group by 1),
+    p as (select g.id, g.held_out, case when t2.n is not null then 2 when t1.n is not null then 1 else 0 end as context,
+      case when t2.n is not null then (coalesce(n2.n, 0) + 0.1::double) / (t2.n + 0.1::double * v) when t1.n is not null then (coalesce(n1.n, 0) + 0.1::double) / (t1.n + 0.1::double * v)
+      else (coalesce(n0.n, 0) + 0.1::double) / (size.n + 0.1::double * v) end as p
+      from grams g cross join size left join n0 on n0.tok = g.tok left join n1 on n1.c1 = g.c1 and n1.tok = g.tok left join n2 on n2.c2 = g.c2 and n2.tok = g.tok left join t1 on t1.c1 = g.c1 left join t2 on t2.c2 = g.c2)
+    select id, held_out, count(*) as n, count(*) filter (context < 2) as backed_off, round(round(sum(-ln(p)), 8), 3) as nll from p group by 1, 2"""
+)
+def w13_backoff_nll(spark, sf_dir):
+    """Every turn under a model of order three with back-off, learnt from four fifths of the conversations."""
+    turns = table(spark, sf_dir, "conversations")
+    texts = turns.select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), "text", in_sample(F.col("conv_id"), 0.2, 41).alias("held_out"))
+    losses = lm.BackoffModel(texts.filter(~F.col("held_out")), 3).token_losses(texts)
+    sums = losses.groupBy("id").agg(F.count("*").alias("n"), F.count_if(F.col("context") < 2).alias("backed_off"), F.round(F.round(F.sum("nll"), 8), 3).alias("nll"))
+    return sums.join(texts.select("id", "held_out"), "id")
+
+
 _NEXT = "with " + _bigram_sql("select conv_id * 1000 + turn as id, text from conversations") + ", nxt as (select ctx, tok as token, n / total as p from counts join contexts using (ctx))"
 
 

@@ -26,6 +26,8 @@ def w5_page_text(spark, sf_dir):
 
 
 SECTIONS = ("Suppliers", "Segments", "Years", "Statuses")
+#: sections that questions set against each other, for each nation of a page
+COMPARED = (("Segments", "Years"), ("Segments", "Statuses"), ("Suppliers", "Years"), ("Suppliers", "Statuses"))
 
 
 def _html_table(rows: DataFrame, group: str, order: str, header: list[str], cells: list[str]) -> DataFrame:
@@ -84,11 +86,13 @@ def w5_tables(spark, sf_dir):
 
 
 def page_questions(named: DataFrame) -> DataFrame:
-    """Two kinds that need several tables: a nation's segments against its years, and all status tables of a page."""
+    """Two kinds that need several tables: two sections of a nation against each other, and all status tables of a page."""
     by_page = named.groupBy("page_id").agg(F.array_sort(F.collect_set("table_name")).alias("names"))
-    pair = by_page.select("page_id", F.explode(F.sequence(F.lit(1), F.lit(5))).alias("k")).select(
-        F.concat_ws("-", F.lit("pair"), "page_id", "k").alias("q_id"), "page_id", F.concat(F.lit("Compare segments and years of nation number "), "k").alias("question"),
-        F.array_sort(F.array(F.concat(F.lit("Segments_"), "k"), F.concat(F.lit("Years_"), "k"), F.lit("Nations_1"))).alias("gold"),
+    sides = F.explode(F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a, b in COMPARED]))
+    pair = by_page.select("page_id", F.explode(F.sequence(F.lit(1), F.lit(5))).alias("k")).select("*", sides.alias("s")).select("page_id", "k", "s.*").select(
+        F.concat_ws("-", F.lit("pair"), "page_id", "k", "a", "b").alias("q_id"), "page_id",
+        F.concat(F.lit("Compare "), F.lower("a"), F.lit(" and "), F.lower("b"), F.lit(" of nation number "), "k").alias("question"),
+        F.array_sort(F.array(F.concat_ws("_", "a", "k"), F.concat_ws("_", "b", "k"), F.lit("Nations_1"))).alias("gold"),
     )
     every = by_page.select(F.concat_ws("-", F.lit("every"), "page_id").alias("q_id"), "page_id", F.lit("How many orders of each status are there in all nations?").alias("question"), F.filter("names", lambda n: n.startswith("Statuses")).alias("gold"))
     return pair.unionByName(every)
@@ -100,8 +104,8 @@ def examples(spark, sf_dir) -> DataFrame:
 
 
 @workload(
-    """with p as (select r_regionkey::bigint as page_id from region), q as (select 'pair-' || page_id || '-' || k as q_id, page_id, 3 as n_gold from p, range(1, 6) as r(k)
-    union all select 'every-' || page_id, page_id, 5 from p) select q_id, page_id, 21::int as n_candidates, n_gold::int as n_gold from q"""
+    f"""with p as (select r_regionkey::bigint as page_id from region), q as (select 'pair-' || page_id || '-' || k || '-' || a || '-' || b as q_id, page_id, 3 as n_gold
+    from p, range(1, 6) as r(k), (values {", ".join(map(str, COMPARED))}) as s(a, b) union all select 'every-' || page_id, page_id, 5 from p) select q_id, page_id, 21::int as n_candidates, n_gold::int as n_gold from q"""
 )
 def w5_examples(spark, sf_dir):
     return examples(spark, sf_dir).select("q_id", "page_id", F.size("candidates").alias("n_candidates"), F.size("gold").alias("n_gold"))
@@ -114,7 +118,7 @@ def w5_profile(spark, sf_dir):
     return measures.input_profile(ex, ["dataset"])
 
 
-@workload("select 'gold_echo' as predictor, 30::bigint as n, 1.0::double as accuracy union all select 'all_candidates', 30, 0.0 union all select 'missing', 30, 0.0")
+@workload("select 'gold_echo' as predictor, 105::bigint as n, 1.0::double as accuracy union all select 'all_candidates', 105, 0.0 union all select 'missing', 105, 0.0")
 def w5_accuracy(spark, sf_dir):
     ex = examples(spark, sf_dir)
     outputs = predictors.gold_echo(ex).unionByName(predictors.all_candidates(ex)).unionByName(predictors.corrupted(ex, "missing"))

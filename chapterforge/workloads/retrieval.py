@@ -176,8 +176,8 @@ def w4_examples(spark, sf_dir):
 
 @workload(
     _EXAMPLES
-    + f"""select policy, count(*) as questions, avg(len({tok("prompt")})) as avg_tokens, max(len({tok("prompt")}))::bigint as max_tokens, avg(n_candidates) as avg_candidates,
-    avg(has_gold) as avg_gold, count(*) filter (has_gold > 1) as several_gold from prompts group by 1"""
+    + f"""select policy, count(*) as questions, avg(len({tok("prompt")})) as avg_tokens, max(len({tok("prompt")}))::bigint as max_tokens, quantile_cont(len({tok("prompt")}), 0.5) as p50_tokens,
+    quantile_cont(len({tok("prompt")}), 0.95) as p95_tokens, avg(n_candidates) as avg_candidates, avg(has_gold) as avg_gold, count(*) filter (has_gold > 1) as several_gold from prompts group by 1"""
 )
 def w4_profile(spark, sf_dir):
     return measures.input_profile(w4_examples(spark, sf_dir).withColumnRenamed("has_gold", "n_gold"), ["policy"])

@@ -66,7 +66,7 @@ def w3_examples(spark, sf_dir):
     return examples(spark, sf_dir).select("q_id", F.size("candidates").alias("n_candidates"), F.size("gold").alias("n_gold"), count_tokens(F.col("prompt")).alias("n_in"), F.md5("prompt").alias("prompt_md5"))
 
 
-@workload(_W3 + f"select 'ts_schema' as dataset, count(*) as questions, avg(len({tok('prompt')})) as avg_tokens, max(len({tok('prompt')}))::bigint as max_tokens, {float(len(ALL))}::double as avg_candidates, avg(len(gold)) as avg_gold, count(*) filter (len(gold) > 1) as several_gold from ex")
+@workload(_W3 + f"select 'ts_schema' as dataset, count(*) as questions, avg(len({tok('prompt')})) as avg_tokens, max(len({tok('prompt')}))::bigint as max_tokens, quantile_cont(len({tok('prompt')}), 0.5) as p50_tokens, quantile_cont(len({tok('prompt')}), 0.95) as p95_tokens, {float(len(ALL))}::double as avg_candidates, avg(len(gold)) as avg_gold, count(*) filter (len(gold) > 1) as several_gold from ex")
 def w3_profile(spark, sf_dir):
     ex = examples(spark, sf_dir).select(F.lit("ts_schema").alias("dataset"), count_tokens(F.col("prompt")).alias("n_in"), F.size("candidates").alias("n_candidates"), F.size("gold").alias("n_gold"))
     return measures.input_profile(ex, ["dataset"])

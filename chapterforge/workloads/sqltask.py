@@ -19,14 +19,25 @@ EASY = [
     ("e4", "Which parts have the largest size?", None, "select p_partkey from part where p_size = (select max(p_size) from part)"),
     ("e5", "How many orders has each priority?", None, "select o_orderpriority, count(*) from orders group by o_orderpriority"),
     ("e6", "How many suppliers has each nation?", None, "select n_name, count(*) from supplier join nation on s_nationkey = n_nationkey group by n_name"),
-]
+] + [
+    (f"y{year}", f"What was the total of all orders of {year}?", None, f"select round(sum(o_totalprice), 0) from orders where year(o_orderdate) = {year}")
+    for year in range(1994, 1998)
+] + [
+    (f"p{size}", f"How many brands have parts of size {size}?", None, f"select count(distinct p_brand) from part where p_size = {size}")
+    for size in (1, 15, 50)
+]
 HARD = [
     ("h1", "How many premium orders did each region's customers place?", "premium: o_totalprice > 200000", "select r_name, count(*) from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey where o_totalprice > 200000 group by r_name"),
     ("h2", "Which customers never ordered?", None, "select c_custkey from customer where c_custkey not in (select o_custkey from orders)"),
     ("h3", "Which segments have loyal customers?", "loyal: 15 orders or more", "select distinct c_mktsegment from customer join (select o_custkey, count(*) as n from orders group by o_custkey) as t on o_custkey = c_custkey where n >= 15"),
     ("h4", "How many line items of each brand did suppliers of nation 3 ship?", None, "select p_brand, count(*) from lineitem join part on l_partkey = p_partkey join supplier on l_suppkey = s_suppkey where s_nationkey = 3 group by p_brand"),
-]
+] + [
+    (f"c{k}", f"How many orders did solvent customers of region {k} place?", "solvent: c_acctbal > 5000", f"select count(*) from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey where c_acctbal > 5000 and n_regionkey = {k}")
+    for k in range(5)
+]
 KINDS = {
+    # the hint's predicate on a table that the join brings in, or wrongly on the one that the question starts from
+    "wrong table": lambda s: s.replace("c_acctbal > 5000", "o_totalprice > 5000"),
     "exact": lambda s: s, "no join": lambda s: s.split(" join ")[0] + (" group by 1" if "group by" in s and " join " in s else ""), "twice": lambda s: f"select * from ({s}) as a union all select * from ({s}) as b",
     "filtered": lambda s: f"select * from ({s}) as a where 1 = 0", "syntax": lambda s: s.replace("select", "selekt", 1), "column": lambda s: s.replace("select ", "select no_such_column, ", 1),
     "table": lambda s: "select * from no_such_table", "command": lambda s: "drop view orders", "empty": lambda s: "",
