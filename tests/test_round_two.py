@@ -84,3 +84,17 @@ def test_review_loop_needs_no_checkpoint_folder(spark):
     vote = lambda drafts, turn: drafts.selectExpr("q_id", "explode(array(1, 2, 3)) as reviewer", f"q_id % 3 <= {turn} as valid")
     got = {r["q_id"]: r["round"] for r in qa.review_loop(draft, vote).collect()}
     assert got == {i: i % 3 for i in range(10)}
+
+
+def test_backoff_probabilities_sum_to_one(spark):
+    from chapterforge.operators import lm
+
+    model = lm.BackoffModel(spark.createDataFrame([(1, "a b a c"), (2, "b a"), (3, ""), (4, None)], "id long, text string"), 3)
+    # the last token of each asks for its probability: after a seen pair, a seen token behind an unseen one, an unseen token
+    asked = [(10 * i + j, f"{before} {t}") for i, before in enumerate(("b a", "c b", "a z")) for j, t in enumerate("abc")]
+    rows = model.token_losses(spark.createDataFrame(asked, "id long, text string")).filter("pos = 3").collect()
+    sums, used = {}, {}
+    for r in rows:
+        sums[r["id"] // 10] = sums.get(r["id"] // 10, 0) + np.exp(-r["nll"])
+        used[r["id"] // 10] = r["context"]
+    assert used == {0: 2, 1: 1, 2: 0} and all(v == pytest.approx(1) for v in sums.values()) and len(rows) == 9
