@@ -5,6 +5,9 @@ from __future__ import annotations
 import re
 from array import array
 from collections.abc import Iterator
+from itertools import chain
+
+import numpy as np
 
 _NOT_BY_WORD = re.compile("[\x1c-\x1f]")
 _SPACE = re.compile(r"\s")
@@ -25,24 +28,31 @@ class WordIds:
 
     For tokenizers whose own split never joins characters over white space: ids of a text are those of its
     white-space words, one after the other. Words come from a dictionary that is held to about ``most_bytes``; new
-    ones go through the tokenizer itself, many at a time. Texts are taken ``stretch`` characters at a time, so that what is
-    held besides the dictionary doesn't grow with a text or a batch. Texts with the four separator controls, which
+    ones go through the tokenizer itself, many at a time. Most words of a corpus stand in it once, so a word is held
+    lastingly only when it is learnt a second time; the others leave whenever the dictionary is full. Which words
+    came before is held as one bit each, in a fixed field that starts anew when a quarter of its bits may be set: a wrong
+    bit costs space or time, never a wrong id. Texts are taken ``stretch`` characters at a time, so that what is held besides the dictionary
+    doesn't grow with a text or a batch. Texts with the four separator controls, which
     Python takes for white space and the tokenizer doesn't, go through it whole. ``split_marks`` is for
     tokenizers that lower-case and part letters from marks: a new word then shares its letters' entry.
     """
 
     #: bytes of an entry besides its word and ids: two objects and their place in the dictionary
-    ENTRY = 170
+    ENTRY = 140
     #: longer words are not kept
     KEPT = 256
+    #: bits of the field of words that came before
+    BITS = 1 << 25
 
-    def __init__(self, path: str, most_bytes: int = 48 << 20, split_marks: bool = True, stretch: int = 1 << 18):
+    def __init__(self, path: str, most_bytes: int = 96 << 20, split_marks: bool = True, stretch: int = 1 << 18):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.most_bytes, self.split_marks, self.stretch = most_bytes, split_marks, stretch
         self.known: dict[str, bytes] = {}
         self.held = 0
+        self.young: list[str] = []
+        self.came, self.marked = bytearray(self.BITS >> 3), 0
 
     @classmethod
     def shared(cls, path: str) -> WordIds:
@@ -54,41 +64,64 @@ class WordIds:
     def _whole(self, text: str) -> bytes:
         return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
 
-    def _keep(self, word: str, ids: bytes) -> None:
-        self.known[word] = ids
-        self.held += self.ENTRY + len(word) + len(ids)
-
-    def _encode(self, words: list[str]) -> None:
+    def _encode(self, words: list[str]) -> dict[str, bytes]:
+        out = {}
         for at in range(0, len(words), 2000):
             some = words[at : at + 2000]
             found = self.tokenizer.encode(some, is_pretokenized=True, add_special_tokens=False)
-            runs: list[array] = [array("I") for _ in some]
-            for i, w in zip(found.ids, found.word_ids):
-                runs[w].append(i)
-            for w, run in zip(some, runs):
-                self._keep(w, run.tobytes())
+            ids = np.array(found.ids, dtype="<u4").tobytes()
+            ends = (4 * np.cumsum(np.bincount(np.array(found.word_ids, dtype=np.int64), minlength=len(some)))).tolist()
+            start = 0
+            for w, end in zip(some, ends):
+                out[w] = ids[start:end]
+                start = end
+        return out
 
-    def _learn(self, words: set[str]) -> None:
+    def _learn(self, words: set[str]) -> dict[str, bytes]:
+        """Ids of words that the dictionary lacks, and of their letters and marks where it lacks them too."""
         known, parts, whole = self.known, {}, []
         for w in words:
             if self.split_marks and (m := _LETTERS_MARKS(w.lower())):
                 parts[w] = m.groups()
             else:
                 whole.append(w)
-        self._encode(sorted({p for two in parts.values() for p in two if p and p not in known}.union(whole)))
+        fresh = self._encode(list({p for two in parts.values() for p in two if p and p not in known}.union(whole)))
+        ids = lambda part: fresh[part] if part in fresh else known[part]
         for w, (letters, marks) in parts.items():
-            if w not in known:
-                self._keep(w, known[letters] + known[marks] if marks else known[letters])
-
-    def _shrink(self, fresh: set[str]) -> None:
-        """By Zipf's law the earliest words are the frequent ones: they stay, as far as they take half the bytes."""
-        for w in fresh:
-            if len(w) > self.KEPT and w in self.known:
-                self.held -= self.ENTRY + len(w) + len(self.known.pop(w))
+            if w not in fresh:
+                fresh[w] = ids(letters) + ids(marks) if marks else ids(letters)
+        return fresh
+
+    def _keep(self, fresh: dict[str, bytes]) -> None:
+        known, young, came, last = self.known, self.young, self.came, self.BITS - 1
+        for w, ids in fresh.items():
+            if len(w) > self.KEPT:
+                continue
+            known[w] = ids
+            self.held += self._size(w, ids)
+            place, bit = (at := hash(w) & last) >> 3, 1 << (at & 7)
+            if not came[place] & bit:
+                came[place] |= bit
+                self.marked += 1
+                young.append(w)
         if self.held > self.most_bytes:
+            self._shrink()
+        if self.marked > self.BITS >> 2:
+            self.came, self.marked = bytearray(self.BITS >> 3), 0
+
+    def _size(self, word: str, ids: bytes) -> int:
+        return self.ENTRY + len(word) + len(ids)
+
+    def _shrink(self) -> None:
+        """The words that came once leave; if the others still take three quarters of the bytes, the latest of them leave too: by
+        Zipf's law the earliest are the frequent ones."""
+        for w in self.young:
+            self.held -= self._size(w, self.known.pop(w))
+        self.young = []
+        if self.held > self.most_bytes * 3 // 4:
             kept, self.held = {}, 0
             for w, ids in self.known.items():
-                size = self.ENTRY + len(w) + len(ids)
+                size = self._size(w, ids)
                 if self.held + size > self.most_bytes // 2:
                     break
                 kept[w] = ids
@@ -97,13 +130,18 @@ class WordIds:
 
     def _joined(self, texts: list[str]) -> list[bytes]:
         split = [t.split() for t in texts]
-        fresh = set().union(*split).difference(self.known)
-        if fresh:
-            self._learn(fresh)
-        get = self.known.__getitem__
-        out = [b"".join(map(get, s)) for s in split]
-        if fresh:
-            self._shrink(fresh)
+        words = list(chain.from_iterable(split))
+        found = list(map(self.known.get, words))
+        absent = [i for i, ids in enumerate(found) if ids is None]
+        if absent:
+            fresh = self._learn({words[i] for i in absent})
+            for i in absent:
+                found[i] = fresh[words[i]]
+            self._keep(fresh)
+        out, at = [], 0
+        for s in split:
+            out.append(b"".join(found[at : at + len(s)]))
+            at += len(s)
         return out
 
     def _stretches(self, text: str) -> Iterator[str]:
