@@ -2,10 +2,11 @@
 
 import time
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from chapterforge.operators import execacc
+from chapterforge.operators import execacc, retrieval
 
 
 def _slow(seconds):
@@ -34,3 +35,31 @@ def test_gold_that_fails_or_fits_no_file(spark):
     items = spark.createDataFrame([(str(i), "p", g if i else "select 1", g) for i, g in enumerate(gold)], "q_id string, predictor string, predicted string, gold_sql string")
     got = {r["q_id"]: (r["correct"], r["class"]) for r in execacc.execution_accuracy(spark, items).collect()}
     assert got == {"0": (0, "unknown table"), "1": (1, "right"), "2": (1, "right")}
+
+
+def unit(n, dim, seed, copies=0):
+    rng = np.random.default_rng(seed)
+    found = [v / np.linalg.norm(v) for v in rng.standard_normal((n, dim))]
+    return [(i, [float(x) for x in v]) for i, v in enumerate(found + found[:1] * copies)]
+
+
+@pytest.mark.parametrize("block_rows,pool_rows", [(2000, 20000), (7, 11)])
+def test_sign_hashes_compare_what_shares_a_key(spark, block_rows, pool_rows):
+    q, t = unit(30, 8, 1), unit(80, 8, 2, copies=40)  # a bucket of 41 copies
+    questions, pool = spark.createDataFrame(q, "q_id long, embedding array<double>"), spark.createDataFrame(t, "id long, embedding array<double>")
+    ranks = retrieval.lsh_rank(questions, pool, 5, 3, 4, 5, block_rows, pool_rows)
+    planes = np.random.default_rng(5).standard_normal((12, 8))
+    keys = lambda v: [tuple(np.array(v) @ p >= 0 for p in planes[i * 4 : i * 4 + 4]) for i in range(3)]
+    want = []
+    for i, v in q:
+        scored = [(-round(float(np.dot(v, w)), 6), j) for j, w in t if any(x == y for x, y in zip(keys(v), keys(w)))]
+        want += [(i, r + 1, j) for r, (_, j) in enumerate(sorted(scored)[:5])]
+    assert sorted((r["q_id"], r["rank"], r["id"]) for r in ranks.collect()) == want
+
+
+def test_every_fiftieth_vector_asks(spark, data):
+    from chapterforge import workloads
+
+    for name in ("w4c_lsh_recall",):
+        got = workloads.queries()[name](spark, data).first()
+        assert got["exact"] == workloads.table(spark, data, "embeddings").filter("vec_id % 50 = 0").count() and got["recall"] >= 0.9
