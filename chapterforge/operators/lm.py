@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.text import tokens
+from ..session import settled
 
 BEGIN = "<s>"
 
@@ -94,6 +95,26 @@ def corpus_loss(examples: DataFrame, model: BigramModel, mask: str = "output") -
     return sums.select(F.lit(mask).alias("mask"), "tokens", F.round("mean_nll", 4).alias("mean_nll"), F.round(F.exp("mean_nll"), 2).alias("perplexity"))
 
 
+def losses_by_weights(examples: DataFrame, weights: dict[str, Column], held: Column, k: float = 0.1) -> DataFrame:
+    """``corpus_loss`` of the examples that are ``held`` under several models at once, for both masks: mask, tokens, mean_nll,
+    perplexity, model. weights: how often the model of that name sees an example that is not held. examples: text, n_in.
+
+    A loss depends on its pair of tokens alone, so one pass counts each pair: how often it is asked, and how often each model sees it.
+    """
+    at = range(len(weights))
+    known = F.struct(held.alias("held"), F.col("n_in"), *[F.when(~held, w).otherwise(0).alias(f"w{i}") for i, w in enumerate(weights.values())])
+    asked, output = F.col("id.held"), F.col("pos") > F.col("id.n_in")
+    counts = pairs_of(examples.select(known.alias("id"), "text")).groupBy("ctx", "tok").agg(F.count_if(asked).alias("all"), F.count_if(asked & output).alias("output"), *[F.sum(f"id.w{i}").alias(f"n{i}") for i in at])
+    counts = settled(counts, "pair-counts")
+    contexts = counts.groupBy("ctx").agg(*[F.sum(f"n{i}").alias(f"total{i}") for i in at])
+    sizes = counts.groupBy("tok").agg(*[F.max(F.col(f"n{i}") > 0).alias(f"v{i}") for i in at]).agg(*[F.count_if(f"v{i}") for i in at]).first()
+    nll = lambda i: -F.log((F.col(f"n{i}") + k) / (F.col(f"total{i}") + k * sizes[i]))
+    masks = ("all", "output")
+    sums = counts.filter(F.col("all") > 0).join(contexts, "ctx").agg(*[F.sum(m).alias(m) for m in masks], *[F.sum(F.col(m) * nll(i)).alias(f"{m}{i}") for m in masks for i in at])
+    each = F.inline(F.array(*[F.struct(F.lit(m).alias("mask"), F.col(m).alias("tokens"), F.try_divide(f"{m}{i}", m).alias("mean"), F.lit(name).alias("model")) for i, name in enumerate(weights) for m in masks]))
+    return sums.select(each).select("mask", "tokens", F.round("mean", 4).alias("mean_nll"), F.round(F.exp("mean"), 2).alias("perplexity"), "model")
+
+
 def temper(next_tokens: DataFrame, t: float) -> DataFrame:
     """next_tokens: ctx, token, p. Probabilities at a temperature; at 0 the most likely (first of equals) has all."""
     ctx = W.partitionBy("ctx")

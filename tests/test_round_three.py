@@ -6,7 +6,10 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from chapterforge.operators import execacc, retrieval
+from chapterforge.functions.text import in_sample
+from chapterforge.operators import execacc, lm, retrieval
+from chapterforge.plans import curriculum
+from chapterforge.workloads import language
 
 
 def _slow(seconds):
@@ -76,3 +79,26 @@ def test_every_fiftieth_vector_asks(spark, data):
     for name in ("w4c_ivf_recall", "w4c_lsh_recall"):
         got = workloads.queries()[name](spark, data).first()
         assert got["exact"] == workloads.table(spark, data, "embeddings").filter("vec_id % 50 = 0").count() and got["recall"] >= 0.9
+
+
+def test_losses_of_all_recipes_in_one_pass(spark):
+    """Each recipe's plan, model and loss apart give the same; the counts that serve all are read from files, not from the examples."""
+    rng = np.random.default_rng(7)
+    kinds = [(1, "pairs"), (1, "plain text"), (2, "row to text"), (3, "table selection")]
+    rows = [(f"x{i}", *kinds[i % 4], " ".join(rng.choice(list("abcdefg"), 9)), 4, 5) for i in range(120)] + [("none", 1, "pairs", "", 0, 0)]
+    every = spark.createDataFrame(rows, "example_id string, chapter int, task string, text string, n_in int, n_out int")
+    held = (F.col("task") == "pairs") & in_sample(F.col("example_id"), 0.3, 31)
+    test = every.filter(held).select(F.col("example_id").alias("id"), "text", "n_in")
+    times, want = {}, {}
+    for recipe in language._USED:
+        times[recipe] = curriculum.times_seen(*language._recipe_parts(recipe))
+        plan = language.recipe_plan(every.filter(~held), recipe)
+        shown = {r["example_id"]: r["count"] for r in plan.groupBy("example_id").count().collect()}
+        assert shown == {r["example_id"]: r["n"] for r in every.filter(~held).select("example_id", times[recipe].alias("n")).collect() if r["n"]}
+        model = lm.fit_bigrams(plan.select(F.col("example_id").alias("id"), "text"))
+        for mask in ("all", "output"):
+            want[recipe, mask] = tuple(lm.corpus_loss(test, model, mask).select("tokens", "mean_nll", "perplexity").first())
+    found = lm.losses_by_weights(every, times, held)
+    got = {(r["model"], r["mask"]): (r["tokens"], r["mean_nll"], r["perplexity"]) for r in found.collect()}
+    assert got.keys() == want.keys() and all(got[x] == pytest.approx(want[x], abs=0.011) for x in want)
+    assert "LocalTableScan" not in found._jdf.queryExecution().executedPlan().toString()
