@@ -102,3 +102,15 @@ def test_losses_of_all_recipes_in_one_pass(spark):
     got = {(r["model"], r["mask"]): (r["tokens"], r["mean_nll"], r["perplexity"]) for r in found.collect()}
     assert got.keys() == want.keys() and all(got[x] == pytest.approx(want[x], abs=0.011) for x in want)
     assert "LocalTableScan" not in found._jdf.queryExecution().executedPlan().toString()
+
+
+def reads(spark, data, name):
+    from chapterforge import workloads
+
+    plan = workloads.queries()[name](spark, data)._jdf.queryExecution().executedPlan().toString()
+    return "FileScan parquet" in plan or "Scan parquet" in plan
+
+
+@pytest.mark.parametrize("name", ["w12_examples", "w12_acceptance"])
+def test_scenarios_read_customers(spark, data, name):
+    assert reads(spark, data, name)
