@@ -114,3 +114,8 @@ def reads(spark, data, name):
 @pytest.mark.parametrize("name", ["w12_examples", "w12_acceptance"])
 def test_scenarios_read_customers(spark, data, name):
     assert reads(spark, data, name)
+
+
+@pytest.mark.parametrize("name", ["w3_accuracy", "w3_context_failures", "w3_examples", "w3_format_errors", "w3_gold_tables", "w3_profile", "w6_examples", "w7_examples"])
+def test_items_come_from_tables(spark, data, name):
+    assert reads(spark, data, name)
