@@ -119,3 +119,12 @@ def test_scenarios_read_customers(spark, data, name):
 @pytest.mark.parametrize("name", ["w3_accuracy", "w3_context_failures", "w3_examples", "w3_format_errors", "w3_gold_tables", "w3_profile", "w6_examples", "w7_examples"])
 def test_items_come_from_tables(spark, data, name):
     assert reads(spark, data, name)
+
+
+def test_schedule_is_as_long_as_the_conversations(spark, data):
+    from chapterforge import workloads
+    from chapterforge.functions.text import count_tokens
+
+    turns = workloads.table(spark, data, "conversations").select(count_tokens(F.col("text")).alias("n")).collect()
+    got = [r["lr_millionths"] for r in workloads.queries()["w13_lr"](spark, data).orderBy("step").collect()]
+    assert len(got) == -(-sum(r["n"] for r in turns) // language.STEP_TOKENS) + 1 and (got[0], got[-1]) == (1.0, 0.0)
