@@ -128,3 +128,13 @@ def test_schedule_is_as_long_as_the_conversations(spark, data):
     turns = workloads.table(spark, data, "conversations").select(count_tokens(F.col("text")).alias("n")).collect()
     got = [r["lr_millionths"] for r in workloads.queries()["w13_lr"](spark, data).orderBy("step").collect()]
     assert len(got) == -(-sum(r["n"] for r in turns) // language.STEP_TOKENS) + 1 and (got[0], got[-1]) == (1.0, 0.0)
+
+
+def test_published_corpus_beside_the_one_made(spark, data):
+    from chapterforge import workloads
+
+    assert reads(spark, data, "w10_published_corpus")
+    got = {(r["chapter"], r["task"], r["level"]): r for r in workloads.queries()["w10_published_corpus"](spark, data).collect()}
+    made = {(r["chapter"], r["task"]): r for r in workloads.queries()["w10_overview"](spark, data).collect() if r["task"] != "all"}
+    assert all(got[(*x, 0)]["made"] == r["examples"] and got[(*x, 0)]["made_tokens"] == r["tokens"] for x, r in made.items())
+    assert got[0, "all", 3]["made"] == sum(r["examples"] for r in made.values()) and got[1, "pairs", 0]["examples"] == 8.8e6
