@@ -149,3 +149,26 @@ def test_pipeline_edges(spark, tmp_path, empty):
     # one of the repeated rows; of the null and the empty text the smaller id; the leak is gone; the secret is masked, its row stays
     assert collections.Counter(r["doc_id"] for r in got if r["piece"] == 0) == collections.Counter([] if empty else [1, 2, None, 5, 6])
     assert sum(r["length"] for r in got if r["doc_id"] == 6) == (0 if empty else 20001)
+
+
+def test_rows_below_their_floor_are_not_scored_further():
+    """Rounding and ranking meet only the queries whose best sum of a block may reach their floor; sums that rounding lifts to it still count."""
+    rng = np.random.default_rng(5)
+    n, kinds = 600, np.arange(1, 41)
+    held = [np.flatnonzero(rng.random(n) < 0.3) for _ in kinds]
+    places = np.concatenate(held).astype(np.int32)
+    row = {
+        "ids": list(range(n)), "lengths": np.full(n, 12, np.int64).tobytes(), "terms": kinds.astype(np.int64).tobytes(), "places": places.tobytes(),
+        "ends": np.cumsum([len(h) for h in held]).astype(np.int64).tobytes(), "tfs": rng.integers(1, 4, len(places)).astype(np.int32).tobytes(),
+    }
+    shard = topk.Shard(row, 12.0)
+    assert shard.cell_block.dtype == np.int16
+    table = np.zeros((len(kinds), n))
+    table[np.repeat(np.arange(len(kinds)), [len(h) for h in held]), places] = shard.weight
+    queries = [(np.sort(rng.choice(kinds, 9, replace=False)).astype(np.int64), rng.random(9) / 3) for _ in range(50)]
+    exact = [np.round(w @ table[t - 1], 6) for t, w in queries]
+    for floors in ([0.0] * 50, [float(np.sort(x)[-5]) for x in exact], [float(x.max()) for x in exact], [float(x.max()) + 1e-6 for x in exact]):
+        for few in (queries, queries[:1]):
+            for (places_found, scores), want, floor in zip(shard.search(few, 5, floors[: len(few)]), exact, floors):
+                order = [i for i in np.lexsort((np.arange(n), -want))[:5] if want[i] >= floor and want[i] > 0]
+                assert places_found.tolist() == order and scores.tolist() == want[order].tolist()
