@@ -4,14 +4,16 @@ A shard is what one task reads of the documents, in parts of ``SHARD`` documents
 place, term frequencies and lengths. Document frequencies, number and mean length are global, so shards' scores can be merged.
 
 Queries go out in blocks of about ``BLOCK`` rows, a bounded broadcast each. Within a shard, documents lie in blocks of ``PLACES`` places, the same
-for all terms, and each term's postings know where a block's begin and the largest weight there. A query's cursors stand on a block; the pivot
-is the next block in which the largest weights of all its terms together reach the query's k-th best score so far. All cursors skip to it
-without a look at the postings between, the block's postings are summed, the k-th best score rises, and so on to the shard's
-end: block-max WAND whose pivots are blocks instead of documents, as blocks of places are alike for all terms. What is skipped can't
-reach the k-th best, so the top k are exact. An eighth of the shards goes first; its k-th best scores are where the others begin.
+for all terms. Of the ``DENSE`` most frequent terms, those with ``FULL`` postings or more in a block are a row of that block's matrix, and their largest
+weight there is known; all other postings are rare. A query's rare postings are summed first, over the whole shard; the largest of these sums in a
+block and the largest weights of the frequent terms there bound what the block can give. A query's cursor goes from block to block, those of the largest
+bounds first, and its pivot is the next one whose bound reaches the query's k-th best score so far: block-max WAND whose pivots are blocks
+instead of documents, as blocks of places are alike for all terms. What is skipped can't reach the k-th best, so the top k are exact. An eighth of the
+shards goes first; its k-th best scores are where the others begin.
 
-Up to ``TOGETHER`` queries go through a shard side by side. The ``DENSE`` most frequent terms' postings of a block are a matrix, summed in one
-product for all queries that stop there; other terms' postings are added one by one.
+Up to ``TOGETHER`` alike queries go through a shard side by side, and a block's matrix meets all that stop there in one product. That is in single
+precision, whose error is bounded (all products are positive): it only tells which documents can't be among the k best. The others, some k a
+query and shard and fewer where there is a floor, are scored again from their own postings in double precision.
 
 Words are split by white space, lower-cased, stripped of marks, and stand for themselves by 64-bit hashes. Scores are rounded to 6 digits;
 equal ones are ordered by doc_id.
@@ -36,7 +38,7 @@ from pyspark.sql import functions as F
 from .common import arrow_batches, frugal, rows_of, written
 
 K1, B = 1.2, 0.75
-SHARD, BLOCK, PLACES, DENSE, TOGETHER, TERMS = 8192, 2048, 256, 512, 128, 40_000
+SHARD, BLOCK, PLACES, DENSE, FULL, TOGETHER, TERMS, RARE = 8192, 8192, 256, 2048, 8, 256, 400_000, 65_536
 MARKS = string.punctuation + "…«»“”„’‘¿¡"
 
 
@@ -108,86 +110,131 @@ class Shard:
         tf = np.frombuffer(row["tfs"], np.int32).astype(float)
         norm = K1 * (1 - B + B * lengths / max(mean, 1e-9))
         self.weight = tf * (K1 + 1) / (tf + norm[self.places])
-        # each term's cells: the blocks where it is, where its postings of that block begin and end, their largest weight
-        self.blocks = -(-self.n // PLACES)
-        key = np.repeat(np.arange(len(self.terms)), self.end - self.start) * max(self.blocks, 1) + self.places // PLACES
-        self.cell_from = np.flatnonzero(np.diff(key, prepend=-1))
-        self.cell_to = np.append(self.cell_from[1:], len(key))
-        self.cell_max = np.maximum.reduceat(self.weight, self.cell_from) if len(key) else np.empty(0)
-        block = key[self.cell_from] % max(self.blocks, 1)
-        self.cell_block = block.astype(np.int16) if self.blocks < 1 << 15 else block  # numpy sorts short keys by their digits
-        self.first_cell = np.searchsorted(self.cell_from, np.append(self.start, len(key)))
-        # the most frequent terms' postings of a block lie as a matrix, zeros between, with their maxima and numbers by block
-        size = self.end - self.start
-        self.dense = np.sort(np.argsort(-size, kind="stable")[:DENSE])
+        self.blocks, size = -(-self.n // PLACES), self.end - self.start
+        # the frequent terms' cells: the blocks where each is; a cell of FULL postings is a row of its block's matrix, zeros between
+        dense = np.sort(np.argsort(-size, kind="stable")[:DENSE])
         self.slot = np.full(len(self.terms), -1)
-        self.slot[self.dense] = np.arange(len(self.dense))
-        self.matrix = np.zeros((self.blocks, len(self.dense), PLACES))
-        at, column = _runs(self.start[self.dense], self.end[self.dense]), np.repeat(np.arange(len(self.dense)), size[self.dense])
-        self.matrix[self.places[at] // PLACES, column, self.places[at] % PLACES] = self.weight[at]
-        self.maxima, self.filled = self.matrix.max(axis=2).T, (self.matrix > 0).sum(axis=2).T.astype(float)
+        self.slot[dense] = np.arange(len(dense))
+        at = _runs(self.start[dense], self.end[dense])
+        key = np.repeat(np.arange(len(dense), dtype=np.int32) * max(self.blocks, 1), size[dense]) + self.places[at] // PLACES
+        first = np.flatnonzero(np.diff(key, prepend=-1))
+        filled = np.diff(first, append=len(key))
+        cells = np.flatnonzero(filled >= FULL)
+        column, block = np.divmod(key[first[cells]], max(self.blocks, 1))
+        self.cell_block = block.astype(np.int16) if self.blocks < 1 << 15 else block  # numpy sorts short keys by their digits
+        order = np.argsort(self.cell_block, kind="stable")
+        self.cell_column, self.cell_end = column[order], np.append(0, np.cumsum(np.bincount(block, minlength=self.blocks)))
+        del key
+        row_of = np.full(len(first), -1, np.int32)
+        row_of[cells[order]] = np.arange(len(cells))
+        row_of = np.repeat(row_of, filled)
+        at, row_of = at[row_of >= 0], row_of[row_of >= 0]
+        self.matrix = np.zeros((len(cells), PLACES), np.float32)
+        self.matrix[row_of, self.places[at] % PLACES] = self.weight[at]
+        self.maxima, self.filled = (np.zeros((len(dense), self.blocks), np.float32) for _ in range(2))
+        self.maxima[column, block], self.filled[column, block] = self.matrix.max(axis=1)[np.argsort(order)] if len(cells) else 0, filled[cells]
+        # all other postings by term
+        rare = np.ones(len(self.places), bool)
+        rare[at] = False
+        self.rare = self.places[rare].astype(np.int64) << 32 | self.weight[rare].astype(np.float32).view(np.uint32)  # place and weight, read at once
+        del at, row_of
+        ends = np.append(0, np.cumsum(rare))
+        self.rare_start, self.rare_end = ends[self.start], ends[self.end]
+        # each document's postings, for exact scores
+        by = np.argsort(self.places.astype(np.int16) if self.n < 1 << 15 else self.places, kind="stable")
+        self.doc_terms, self.doc_weights = np.repeat(np.arange(len(self.terms), dtype=np.int32), size)[by], self.weight[by]
+        self.doc_end = np.append(0, np.cumsum(np.bincount(self.places, minlength=self.n)))
+        # single precision: a sum of so many positive products is off by this share at most
+        self.off = (int(np.diff(self.cell_end).max(initial=0)) + 16) * 2.0**-24
         self.postings_read = self.postings_met = 0  # of the queries' terms: summed, and all there are
 
-    def search(self, queries: list[tuple[np.ndarray, np.ndarray]], k: int, floors: list[float]) -> list[tuple[np.ndarray, np.ndarray]]:
-        """queries: term hashes and idf weights of each. Places and scores of each one's k best here that reach its floor.
-
-        The queries' cursors go through the blocks side by side: at a block stop those whose pivot it is, and their scores there are one
-        sum of the rare terms' postings and one product of matrices for the frequent terms.
-        """
-        m, none = len(queries), (np.empty(0, np.int64), np.empty(0))
-        terms, weights = (np.concatenate([q[i] for q in queries]) for i in (0, 1))
-        owner = np.repeat(np.arange(m), [len(q[0]) for q in queries])
+    def find(self, terms: np.ndarray) -> np.ndarray:
+        """Where each term is among this shard's, -1 if it is not there."""
         at = np.searchsorted(self.terms, terms)
         ok = at < len(self.terms)
         ok[ok] = self.terms[at[ok]] == terms[ok]
+        return np.where(ok, at, -1)
+
+    def search(self, queries: list[tuple[np.ndarray, np.ndarray]], k: int, floors: list[float]) -> list[tuple[np.ndarray, np.ndarray]]:
+        """queries: term hashes and idf weights of each. Places and scores of each one's k best here that reach its floor."""
+        terms, weights = (np.concatenate([q[i] for q in queries]) for i in (0, 1))
+        return self.ranked(self.find(terms), weights, np.array([len(q[0]) for q in queries]), k, np.array(floors, dtype=float))
+
+    def ranked(self, at: np.ndarray, weights: np.ndarray, sizes: np.ndarray, k: int, floors: np.ndarray) -> list[tuple[np.ndarray, np.ndarray]]:
+        """``search`` for terms by their places among this shard's, -1 for others; sizes: how many are each query's.
+
+        The rare postings' sums come first. With the largest weights of the frequent terms they bound what a block can give; the queries'
+        cursors go through the blocks side by side, the most promising first, and at a block stop those whose pivot it is: one product in
+        single precision gives their scores up to ``off``. What may be among the k best by that is scored again exactly.
+        """
+        m, none, width = len(sizes), (np.empty(0, np.int64), np.empty(0)), self.blocks * PLACES
+        owner, ok = np.repeat(np.arange(m), sizes), at >= 0
         at, weights, owner = at[ok], weights[ok], owner[ok]
         if not len(at):
             return [none] * m
+        slot, begin, end = self.slot[at], self.rare_start[at], self.rare_end[at]
+        q = np.zeros((len(self.maxima), m), np.float32)
+        q[slot[slot >= 0], owner[slot >= 0]] = weights[slot >= 0]
+        first = np.searchsorted(owner, np.arange(m + 1))
+        many = np.append(0, np.cumsum(end - begin))
+        self.postings_read += int(many[-1])
         self.postings_met += int((self.end[at] - self.start[at]).sum())
-        q, slot = np.zeros((m, len(self.dense))), self.slot[at]
-        q[owner[slot >= 0], slot[slot >= 0]] = weights[slot >= 0]
-        dense_read = (q > 0).astype(float) @ self.filled
-        at, weights, owner = at[slot < 0], weights[slot < 0], owner[slot < 0]
-        cells, sizes = _runs(self.first_cell[at], self.first_cell[at + 1]), self.first_cell[at + 1] - self.first_cell[at]
-        weight, owner = np.repeat(weights, sizes), np.repeat(owner, sizes)
-        block = self.cell_block[cells]
-        bound = np.bincount(owner * self.blocks + block, weight * self.cell_max[cells], minlength=m * self.blocks).reshape(m, -1) + q @ self.maxima + 1e-6
-        order = np.argsort(block, kind="stable")
-        cells, weight, owner = cells[order], weight[order], owner[order]
-        begin_of, end_of = self.cell_from[cells], self.cell_to[cells]
-        ends = np.append(0, np.cumsum(np.bincount(block, minlength=self.blocks)))
-        best = np.tile(np.array(floors, dtype=float)[:, None], k)  # the k best scores so far, at least the floor; a result scores above 0
+        rare, x = np.zeros((m, width), np.float32), 0
+        while x < m:  # a few queries' postings at a time
+            y = max(x + 1, int(np.searchsorted(many[first], many[first[x]] + RARE, "right")) - 1)
+            mine = slice(first[x], first[y])
+            length = end[mine] - begin[mine]
+            postings = self.rare[_runs(begin[mine], end[mine])]
+            sums = postings.astype(np.uint32).view(np.float32) * np.repeat(weights[mine], length)
+            postings >>= 32
+            postings += np.repeat((owner[mine] - x) * width, length)
+            rare[x:y] = np.bincount(postings, sums, minlength=(y - x) * width).reshape(y - x, width)
+            x = y
+        rare = rare.reshape(m, self.blocks, PLACES)
+        bound = (rare.max(axis=2) + q.T @ self.maxima) * np.float32(1 + 4 * self.off)
+        filled = (q > 0).astype(np.float32).T @ self.filled
+        # what a score in single precision has to reach: the floor, and the k-th best so far; a result rounds to above 0
+        need = np.maximum(floors * (1 - 2 * self.off) - 1e-6, 4e-7).astype(np.float32)
+        best = np.zeros((m, k), np.float32)
         found: list[list] = [[] for _ in range(m)]
-        for b in range(self.blocks):
-            stops = bound[:, b] >= np.maximum(best[:, 0], 1e-12)  # the queries whose pivot is this block
-            live = np.flatnonzero(stops)
+        for b in np.argsort(-bound.sum(axis=0), kind="stable").tolist():
+            live = np.flatnonzero(bound[:, b] >= need)  # the queries whose pivot is this block
             if not len(live):
                 continue
-            mine, every = slice(ends[b], ends[b + 1]), len(live) == m
-            row, weigh, begin, end = owner[mine], weight[mine], begin_of[mine], end_of[mine]
-            if not every:
-                here = stops[row]
-                row, weigh, begin, end = (np.cumsum(stops) - 1)[row[here]], weigh[here], begin[here], end[here]
-            where, sizes = _runs(begin, end), end - begin
-            self.postings_read += len(where) + int(dense_read[live, b].sum())
-            sums = np.bincount(np.repeat(row * PLACES - b * PLACES, sizes) + self.places[where], np.repeat(weigh, sizes) * self.weight[where], minlength=len(live) * PLACES)
-            sums = sums.reshape(len(live), PLACES) + (q if every else q[live]) @ self.matrix[b]
-            # rounding adds less than a millionth: only rows that may reach their k-th best are looked at
-            rows = np.flatnonzero(sums.max(axis=1) >= best[live, 0] - 1e-6)
-            scores = np.round(sums[rows], 6)
-            good = (scores >= best[live[rows], :1]) & (scores > 0)
-            some = good.any(axis=1)
-            rows, scores, good = live[rows[some]], scores[some], good[some]
-            r, at_r = np.nonzero(good)
-            values, first = scores[r, at_r], np.searchsorted(r, np.arange(len(rows) + 1)).tolist()
-            for i, x, y in zip(rows.tolist(), first, first[1:]):
-                found[i].append((at_r[x:y] + b * PLACES, values[x:y]))
-            if len(rows):
-                every_score = np.concatenate([best[rows], np.where(good, scores, 0.0)], axis=1)
-                best[rows] = np.sort(np.partition(every_score, -k, axis=1)[:, -k:], axis=1)
-        out = []
+            mine = slice(self.cell_end[b], self.cell_end[b + 1])
+            if 2 * len(live) > live[-1] + 1 - live[0]:  # alike queries are neighbours
+                live = slice(live[0], live[-1] + 1)
+            asked = q[self.cell_column[mine], live] if isinstance(live, slice) else q[self.cell_column[mine]].take(live, axis=1)
+            sums = rare[live, b] + (self.matrix[mine].T @ asked).T
+            self.postings_read += int(filled[live, b].sum())
+            some = np.flatnonzero(sums.max(axis=1) >= need[live])
+            if not len(some):
+                continue
+            rows, sums = np.arange(m)[live][some], sums[some]
+            good = sums >= need[rows, None]
+            r, place = np.nonzero(good)
+            values, cut = sums[r, place], np.searchsorted(r, np.arange(len(rows) + 1)).tolist()
+            for i, x, y in zip(rows.tolist(), cut, cut[1:]):
+                found[i].append((place[x:y] + b * PLACES, values[x:y]))
+            every_score = np.concatenate([best[rows], np.where(good, sums, 0)], axis=1)
+            best[rows] = np.partition(every_score, -k, axis=1)[:, -k:]
+            need[rows] = np.maximum(need[rows], best[rows].min(axis=1) * (1 - 4 * self.off) - 2e-6)
+        out, by_term = [], np.zeros(len(self.terms))
         for i in range(m):
-            places, scores = (np.concatenate(x) for x in zip(*found[i])) if found[i] else none
+            places, sums = (np.concatenate(x) for x in zip(*found[i])) if found[i] else none
+            places = places[sums >= need[i]]
+            if not len(places):
+                out.append(none)
+                continue
+            mine = slice(first[i], first[i + 1])
+            by_term[at[mine]] = weights[mine]
+            start, stop = self.doc_end[places], self.doc_end[places + 1]
+            where = _runs(start, stop)
+            scores = np.bincount(np.repeat(np.arange(len(places)), stop - start), by_term[self.doc_terms[where]] * self.doc_weights[where], minlength=len(places))
+            by_term[at[mine]] = 0
+            scores = np.round(scores, 6)
+            good = (scores >= floors[i]) & (scores > 0)
+            places, scores = places[good], scores[good]
             order = np.lexsort((self.ids[places], -scores))[:k]
             out.append((places[order], scores[order]))
         return out
@@ -195,8 +242,13 @@ class Shard:
 
 def _runs(begin: np.ndarray, end: np.ndarray) -> np.ndarray:
     """begin[0], ..., end[0] - 1, begin[1], ..., one after the other."""
-    sizes = end - begin
-    return np.repeat(begin - (np.cumsum(sizes) - sizes), sizes) + np.arange(int(sizes.sum()))
+    some = end > begin
+    begin, end = begin[some], end[some]
+    steps = np.ones(int((end - begin).sum()), np.int64)
+    if len(begin):
+        steps[0] = begin[0]
+        steps[np.cumsum(end - begin)[:-1]] = begin[1:] - end[:-1] + 1
+    return np.cumsum(steps, out=steps)
 
 
 def _together(queries: list[tuple]) -> Iterator[list[tuple]]:
@@ -212,18 +264,46 @@ def _together(queries: list[tuple]) -> Iterator[list[tuple]]:
         yield few
 
 
-def _looked_up(index: DataFrame, held, floors: dict[int, float], k: int, mean: float) -> DataFrame:
-    """q, query_id, doc_id, score of the k best of each shard that reach the query's floor. held: the queries, broadcast."""
+def _asked(rows: pa.Table) -> tuple[list[tuple], np.ndarray, np.ndarray]:
+    """Queries (q, query_id, places of its terms in the vocabulary), alike ones side by side; the vocabulary, sorted; its idf weights."""
+    lists = [rows.column(n).combine_chunks() for n in ("term", "w")]
+    sizes = np.diff(lists[0].offsets.to_numpy())
+    terms, weights = (x.flatten().to_numpy() for x in lists)
+    vocabulary, one, at = np.unique(terms, return_index=True, return_inverse=True)
+    ends = np.cumsum(sizes)
+    # by the most frequent term (which tells languages apart), then by length: they stop at the same blocks
+    order = np.lexsort((sizes, np.minimum.reduceat(weights, ends - sizes))) if len(sizes) else ends
+    ids, parts = list(zip(*(rows.column(n).to_pylist() for n in ("q", "query_id")))), np.split(at.astype(np.int32), ends[:-1])
+    return [(*ids[i], parts[i]) for i in order], vocabulary, weights[one]
+
+
+def _looked_up(index: DataFrame, held, floors: np.ndarray, k: int, mean: float) -> DataFrame:
+    """q, query_id, doc_id, score of the k best of each shard that reach the query's floor. held: what ``_asked`` gives, broadcast."""
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        queries, vocabulary, idf = held.value
+        q, null = np.array([x[0] for x in queries], np.int64), np.array([x[1] is None for x in queries])
+        query_id = np.array([x[1] or 0 for x in queries], np.int64)
+        reached, groups = floors.copy(), []  # a shard's k-th best is a floor for the next ones of its task
+        for few in _together(queries):
+            at = np.concatenate([x[2] for x in few])
+            groups.append((at, idf[at], np.array([len(x[2]) for x in few])))
         for batch in batches:
-            for row in batch.to_pylist():
-                shard, out = Shard(row, mean), []
-                for few in _together(held.value):
-                    for (q, query_id, *_), (places, scores) in zip(few, shard.search([x[2:] for x in few], k, [floors.get(x[0], 0.0) for x in few])):
-                        out += [(q, query_id, None if shard.null[p] else int(shard.ids[p]), float(s)) for p, s in zip(places, scores)]
-                cols = list(zip(*out)) if out else [[], [], [], []]
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.float64()))], ["q", "query_id", "doc_id", "score"])
+            rows = batch.to_pylist()
+            while rows:
+                shard, best = Shard(rows.pop(), mean), []
+                there = shard.find(vocabulary)
+                for at, weights, sizes in groups:
+                    best += shard.ranked(there[at], weights, sizes, k, reached[len(best) : len(best) + len(sizes)])
+                for i, (_, scores) in enumerate(best):
+                    if len(scores) == k:
+                        reached[i] = max(reached[i], scores[-1])
+                owner = np.repeat(np.arange(len(best)), [len(x) for x, _ in best])
+                places, scores = (np.concatenate([x[i] for x in best]) for i in (0, 1))
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(q[owner]), pa.array(query_id[owner], mask=null[owner]), pa.array(shard.ids[places], mask=shard.null[places]), pa.array(scores)],
+                    ["q", "query_id", "doc_id", "score"],
+                )
 
     return index.mapInArrow(frugal(look), "q long, query_id long, doc_id long, score double")
 
@@ -274,13 +354,16 @@ def search_all(docs: DataFrame, queries: DataFrame, k: int = 10, block: int = BL
     # and return only what reaches it
     early = F.pmod(F.xxhash64("lengths"), F.lit(8)) == 0
     for b in range(max(1, -(-asked.count() // block))):
-        some = weighed.filter(F.col("block") == b).select("q", "query_id", "terms.term", "terms.w").collect()  # about ``block`` queries
-        if not some:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1024")
+        asked_now = _asked(weighed.filter(F.col("block") == b).select("q", "query_id", "terms.term", "terms.w").toArrow())  # about ``block`` queries
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1")
+        if not asked_now[0]:
             continue
-        held = spark.sparkContext.broadcast([(r["q"], r["query_id"], np.array(r["term"], np.int64), np.array(r["w"])) for r in some])
-        del some
-        first = written(best(_looked_up(index.filter(early), held, {}, k, mean)), "first-shards")
+        held, numbers = spark.sparkContext.broadcast(asked_now), [x[0] for x in asked_now[0]]
+        del asked_now
+        first = written(best(_looked_up(index.filter(early), held, np.zeros(len(numbers)), k, mean)), "first-shards")
         floors = {r["q"]: r["score"] for r in first.filter(F.col("rank") == k).collect()}  # a row a query of the block
+        floors = np.array([floors.get(x, 0.0) for x in numbers])
         one = written(best(first.drop("rank").unionByName(_looked_up(index.filter(~early), held, floors, k, mean))), "found")
         held.unpersist()  # this block's results are written
         out = one if out is None else out.unionByName(one)
